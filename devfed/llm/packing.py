@@ -29,9 +29,9 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-CAPACITY, END_ID, PIECE, GROUP = 2048, 1, 512, 64
+CAPACITY, END_ID, PIECE, GROUP = 2048, 1, 384, 64
 #: Ids of each window that a full group leaves open, so that slightly unequal windows fit.
-SLACK = 6
+SLACK = 8
 CACHE = 500_000
 
 #: Characters at which str.split cuts although they aren't white space in Unicode.
