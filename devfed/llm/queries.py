@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, neardup, packing, quality, substring
+from . import bpe, fingerprint, neardup, packing, quality, substring, tokencount
 
 
 def _tokenizers():
@@ -34,15 +34,26 @@ def op4_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.link(_table(spark, sf_dir, "documents"))
 
 
+def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = fingerprint.with_next(_table(spark, sf_dir, "documents"))
+    digests = [F.lower(F.hex(c)).alias(c) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")]
+    return found.select("doc_id", "n_chars", *digests, "near_edited", "near_next")
+
+
 def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = substring.measure(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    files = _tokenizers()
+    return tokencount.count(_table(spark, sf_dir, "documents"), files.path("byte_bpe_multi_50k.tiktoken"), files.PATTERN)
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = quality.measure(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op3_byte_bpe, op4_near_dedup, op7_substring_dedup, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_packing, op3_byte_bpe, op4_near_dedup, op6_fingerprints, op7_substring_dedup, op9_token_counts, op10_quality_rules)}
 ORACLES: dict[str, str] = {}
