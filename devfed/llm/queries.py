@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprint, neardup, packing, quality, substring, tokencount
+from . import bpe, fingerprint, lmscore, neardup, packing, quality, substring, tokencount, urlfilter
 
 
 def _tokenizers():
@@ -34,6 +34,10 @@ def op4_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.link(_table(spark, sf_dir, "documents"))
 
 
+def op5_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(_table(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
+
+
 def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = fingerprint.with_next(_table(spark, sf_dir, "documents"))
     digests = [F.lower(F.hex(c)).alias(c) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")]
@@ -45,6 +49,11 @@ def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    target = _table(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
+    return lmscore.score(_table(spark, sf_dir, "documents"), target)
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     files = _tokenizers()
     return tokencount.count(_table(spark, sf_dir, "documents"), files.path("byte_bpe_multi_50k.tiktoken"), files.PATTERN)
@@ -55,5 +64,5 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op3_byte_bpe, op4_near_dedup, op6_fingerprints, op7_substring_dedup, op9_token_counts, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_packing, op3_byte_bpe, op4_near_dedup, op5_url_filter, op6_fingerprints, op7_substring_dedup, op8_lm_scoring, op9_token_counts, op10_quality_rules)}
 ORACLES: dict[str, str] = {}
