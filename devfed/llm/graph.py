@@ -4,15 +4,23 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """df, computed and written to the shared checkpoint folder of the session, so that lost executors cost no lineage. Only where no folder is set (tests) a temporary one is."""
-    context = df.sparkSession.sparkContext
-    if context.getConf().get("spark.checkpoint.dir") is None and context._jsc.sc().getCheckpointDir().isEmpty():
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The shared folder of the session's checkpoints. Only where none is set (tests) a temporary one is made."""
+    context = spark.sparkContext
+    if (folder := context.getConf().get("spark.checkpoint.dir")) is not None:
+        return folder
+    if context.getCheckpointDir() is None:
         context.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
+    return context.getCheckpointDir()
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """df, computed and written to the shared checkpoint folder, so that lost executors cost no lineage."""
+    checkpoint_folder(df.sparkSession)
     return df.checkpoint()
 
 
