@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprint, lmscore, neardup, packing, quality, substring, tokencount, urlfilter
+from . import bpe, fingerprint, htmltext, lmscore, neardup, packing, quality, substring, tokencount, urlfilter
 
 
 def _tokenizers():
@@ -23,6 +23,10 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 
+def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.extract(_table(spark, sf_dir, "pages"))
+
+
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     files = _tokenizers()
     path, pattern = files.path("byte_bpe_multi_50k.tiktoken"), files.PATTERN
@@ -64,5 +68,5 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op3_byte_bpe, op4_near_dedup, op5_url_filter, op6_fingerprints, op7_substring_dedup, op8_lm_scoring, op9_token_counts, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_packing, op2_html_text, op3_byte_bpe, op4_near_dedup, op5_url_filter, op6_fingerprints, op7_substring_dedup, op8_lm_scoring, op9_token_counts, op10_quality_rules)}
 ORACLES: dict[str, str] = {}
