@@ -20,6 +20,7 @@ from __future__ import annotations
 import base64
 import functools
 from array import array
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,8 +29,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Entries of each cache of a Python worker.
-CACHE = 500_000
+#: Entries of each cache of a Python worker (of words: of each of two generations).
+CACHE = 300_000
 
 #: The characters with the Unicode property White_Space, as ranges of a character class.
 WHITE_SPACE = r"\t-\r \x85\xa0  -     　"
@@ -49,19 +50,21 @@ class Vocabulary:
         self.tokens, self.ranks = tokens, {t: i for i, t in enumerate(tokens)}
         self.longest = max(map(len, tokens))
         self.halves: dict[int, tuple[int, int] | None] = {}
-        self.beside: dict[int, bool] = {}
-        #: A trie: the node after a node and a byte, and the token that ends in a node (-1: none).
-        self.next: dict[int, int] = {}
-        self.token_at = [-1]
+        #: By left token: which tokens may follow it, as far as known.
+        self.beside: dict[int, dict[int, bool]] = defaultdict(dict)
+        self.n_beside = 0
+        #: A trie: by byte, the next node and the token that ends there (-1: none). Leaves share one node.
+        self.root: dict[int, tuple[dict, int]] = {}
+        leaf: dict[int, tuple[dict, int]] = {}
         for i, token in enumerate(tokens):
-            node = 0
-            for b in token:
-                key = node << 8 | b
-                node = self.next.get(key, 0)
-                if not node:
-                    node = self.next[key] = len(self.token_at)
-                    self.token_at.append(-1)
-            self.token_at[node] = i
+            node, inner = self.root, token[:-1]
+            for b in inner:
+                child, own = node.get(b, (leaf, -1))
+                if child is leaf:
+                    child = {}
+                    node[b] = child, own
+                node = child
+            node[token[-1]] = node.get(token[-1], (leaf, -1))[0], i
 
     def split(self, token: int) -> tuple[int, int] | None:
         """The two tokens whose merge makes a token; itself twice for a byte; None if no merge makes it."""
@@ -79,12 +82,14 @@ class Vocabulary:
 
     def may_follow(self, left: int, right: int) -> bool:
         """Whether a valid encoding can hold left and then right: undoes the later merge of the two again and again, and looks for an earlier one across the border."""
-        key = left << 32 | right
-        known = self.beside.get(key)
+        known = self.beside[left].get(right)
         if known is None:
-            if len(self.beside) >= 2 * CACHE:
-                self.beside.clear()
-            known = self.beside[key] = self._may_follow(left, right)
+            if self.n_beside >= CACHE:
+                for row in self.beside.values():
+                    row.clear()
+                self.n_beside = 0
+            known = self.beside[left][right] = self.split(right) is not None and self._may_follow(left, right)
+            self.n_beside += 1
         return known
 
     def _may_follow(self, left: int, right: int) -> bool:
@@ -117,29 +122,34 @@ class PrefixTable:
         self.last: list[int | None] = [-1]
         self.append(data)
 
-    def _fill(self, begin: int, end: int) -> None:
-        """Fills the open (None) entries up to end with the tokens that begin at one place; the first that is valid is the longest."""
-        vocabulary, data, last = self.vocabulary, self.data, self.last
-        step, token_at, beside = vocabulary.next.get, vocabulary.token_at, vocabulary.beside.get
-        before, node = last[begin], 0
-        for i in range(begin, min(end, begin + vocabulary.longest)):
-            node = step(node << 8 | data[i])
-            if node is None:
-                break
-            token = token_at[node]
-            if token >= 0 and last[i + 1] is None:
-                known = begin == 0 or beside(before << 32 | token)
-                if known is None:
-                    known = vocabulary.may_follow(before, token)
-                if known and (i == begin or vocabulary.halves.get(token) or vocabulary.split(token)):
-                    last[i + 1] = token
+    def _fill(self, first: int, stop: int) -> None:
+        """Fills open (None) entries with the tokens that begin at each place from first to stop; the first that is valid is the longest."""
+        vocabulary, data, last, n = self.vocabulary, self.data, self.last, len(self.data)
+        root, beside = vocabulary.root, vocabulary.beside
+        for begin in range(first, stop):
+            node, i, before = root, begin, last[begin]
+            known = beside[before]
+            while i < n:
+                found = node.get(data[i])
+                if found is None:
+                    break
+                node, token = found
+                i += 1
+                if token >= 0 and last[i] is None:
+                    if begin:
+                        fits = known.get(token)
+                        if fits is None:
+                            fits = vocabulary.may_follow(before, token)
+                    else:
+                        fits = vocabulary.split(token) is not None
+                    if fits:
+                        last[i] = token
 
     def append(self, data: bytes) -> None:
         """Adds bytes; the stored entries stay as they are."""
         n, self.data = len(self.data), self.data + data
         self.last += [None] * len(data)
-        for begin in range(max(0, n - self.vocabulary.longest + 1), len(self.data)):
-            self._fill(begin, len(self.data))
+        self._fill(max(0, n - self.vocabulary.longest + 1) if n else 0, len(self.data))
 
     def replace(self, begin: int, end: int, data: bytes) -> int:
         """Replaces bytes; returns how many entries had to be computed."""
@@ -148,7 +158,7 @@ class PrefixTable:
         self.last = old[: begin + 1] + [None] * (len(self.data) - begin)
         agreed, computed = 0, 0
         for at in range(max(0, begin - longest + 1), len(self.data)):
-            self._fill(at, len(self.data))
+            self._fill(at, at + 1)
             if at < begin:
                 continue
             # entry at + 1 is settled now
@@ -178,7 +188,9 @@ class Encoder:
         #: A space that follows a space, or is followed by white space: there the text can't be cut.
         self.uncut = regex.compile(rf" [{WHITE_SPACE}]| $")
         self.pieces: dict[str, list[int]] = {}
+        #: Words with the space before them: the younger generation, and the one before it.
         self.units: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
 
     def _of(self, text: str) -> list[int]:
         out: list[int] = []
@@ -205,15 +217,37 @@ class Encoder:
                     word = rest[k]
                     ids = units.get(word)
                     if ids is None:
-                        if len(units) >= CACHE:
-                            units.clear()
-                        ids = array("i", self._of(" " + word)).tobytes()
+                        ids = self.older.get(word)
+                        if ids is None:
+                            ids = array("i", self._of(" " + word)).tobytes()
                         if len(word) <= 64:
                             units[word] = ids
                     found[k] = ids
+            if len(units) >= CACHE:
+                self.older, self.units = units, {}
         return np.concatenate([np.array(self._of(first), np.int32), np.frombuffer(b"".join(found), np.int32)])
 
 
+class TokenBytes:
+    """The bytes of all tokens in one array."""
+
+    def __init__(self, tokens: list[bytes]) -> None:
+        self.data, self.lengths = np.frombuffer(b"".join(tokens), np.uint8), np.array([len(t) for t in tokens], np.int64)
+        self.starts = np.cumsum(self.lengths) - self.lengths
+
+    def join(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bytes of tokens one after another, and where each begins, with the end."""
+        lengths = self.lengths[ids]
+        at = np.zeros(len(ids) + 1, np.int64)
+        np.cumsum(lengths, out=at[1:])
+        return self.data[np.arange(at[-1]) + np.repeat(self.starts[ids] - at[:-1], lengths)], at
+
+
+@functools.lru_cache(maxsize=4)
+def token_bytes(path: str) -> TokenBytes:
+    return TokenBytes(read_ranks(path))
+
+
 @functools.lru_cache(maxsize=4)
 def encoder(path: str, pattern: str) -> Encoder:
     """One for each file and pattern in a Python process."""
@@ -236,17 +270,19 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
     return source.mapInArrow(run, f"`{id_col}` {source.schema['id'].dataType.simpleString()}, ids array<int>")
 
 
-def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id") -> DataFrame:
+def decode(encoded: DataFrame, path: str, id_col: str = "doc_id") -> DataFrame:
     """Adds ``decoded binary``, the bytes of ``ids``; null ids give no bytes. No shuffle."""
     source = encoded.select(id_col, "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokens = encoder(path, pattern).vocabulary.tokens
+        table = token_bytes(path)
         for batch in batches:
             for part in (batch.slice(i, 500) for i in range(0, len(batch), 500)):
                 lists = part.column(1)
-                ends, flat = np.cumsum(lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)), lists.flatten().to_pylist()
-                found = [b"".join([tokens[i] for i in flat[a:b]]) for a, b in zip([0, *ends], ends, strict=False)]
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(found, pa.binary())], [id_col, "ids", "decoded"])
+                ends = np.cumsum([0, *lists.value_lengths().fill_null(0).to_pylist()])
+                data, at = table.join(lists.flatten().to_numpy())
+                offsets = pa.py_buffer(at[ends].astype(np.int64))
+                found = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(part), [None, offsets, pa.py_buffer(data)]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([*part.columns, found], [id_col, "ids", "decoded"])
 
     return source.mapInArrow(run, f"`{id_col}` {source.schema[id_col].dataType.simpleString()}, ids array<int>, decoded binary")

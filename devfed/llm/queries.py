@@ -30,7 +30,7 @@ def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     files = _tokenizers()
     path, pattern = files.path("byte_bpe_multi_50k.tiktoken"), files.PATTERN
-    done = bpe.decode(bpe.encode(_table(spark, sf_dir, "documents"), path, pattern), path, pattern)
+    done = bpe.decode(bpe.encode(_table(spark, sf_dir, "documents"), path, pattern), path)
     return done.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(F.array_join(F.col("ids").cast("array<string>"), ","), 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
