@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import textnp
-from .graph import checkpointed, components
+from .graph import Filter, checkpointed, components
 
 SHINGLE, PERCENT = 5, 75
 BANDS, ROWS = 32, 4
@@ -123,21 +123,24 @@ def _compare(pairs: DataFrame) -> DataFrame:
     return pairs.mapInArrow(run, "key long, cls long, sketch binary, lead long, like int")
 
 
-def _candidates(classes: DataFrame) -> DataFrame:
+def _candidates(described: DataFrame) -> DataFrame:
     """Edges (a, b) that join whatever may be linked into clusters."""
-    active, found = classes.select("cls", F.explode("bands").alias("key")), None
-    sketches = classes.select("cls", "sketch")
+    rows = described.where("cls IS NOT NULL").select("cls", F.explode("bands").alias("key"))
+    # copies of one class are no company; the filter keeps all keys that hold two classes
+    shared = rows.groupBy("key").agg(F.min("cls").alias("a"), F.max("cls").alias("z")).where("a < z").select("key")
+    active, found = checkpointed(Filter(shared).of(rows, "key").distinct()), None
+    lead = active.groupBy("key").agg(F.min("cls").alias("lead"), F.max("cls").alias("z")).where("lead < z").select("key", "lead")
+    of_these = Filter(active.select("cls")).of(described.where("cls IS NOT NULL").select("cls", "sketch"), "cls")
+    sketches = checkpointed(of_these.dropDuplicates(["cls"]))
     for k in range(ROUNDS):
-        lead = active.groupBy("key").agg(F.min("cls").alias("lead"), F.count("*").alias("n")).where("n > 1").drop("n")
-        lead = lead.join(sketches.toDF("lead", "lead_sketch"), "lead")
-        pairs = active.join(lead, "key").where("cls <> lead")
+        pairs = active.join(lead.join(sketches.toDF("lead", "lead_sketch"), "lead"), "key").where("cls <> lead")
         pairs = pairs.select("key", "cls", "sketch", "lead", "lead_sketch") if k else pairs.join(sketches, "cls").select("key", "cls", "sketch", "lead", "lead_sketch")
         pairs = checkpointed(_compare(pairs))
         edges = pairs.where(F.col("like") >= LOOSE).select(F.col("cls").alias("a"), F.col("lead").alias("b"))
         found = edges if found is None else found.union(edges)
         active = pairs.where(F.col("like") < TIGHT).select("key", "cls", "sketch")
-    rest = active.groupBy("key").agg(F.min("cls").alias("b"))
-    return found.union(active.join(rest, "key").select(F.col("cls").alias("a"), "b")).distinct()
+        lead = active.groupBy("key").agg(F.min("cls").alias("lead"), F.max("cls").alias("z")).where("lead < z").select("key", "lead")
+    return found.union(active.join(lead, "key").select(F.col("cls").alias("a"), F.col("lead").alias("b"))).distinct()
 
 
 def _meets(sets: list[np.ndarray], rows: int | None = None) -> np.ndarray:
@@ -276,19 +279,19 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     described = checkpointed(_describe(texts))
     plain = described.select("id", "n", "cls")
     least = plain.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("rep"))
-    classes = checkpointed(described.join(least, "cls").where(F.col("id").eqNullSafe(F.col("rep"))).select("cls", "rep", "bands", "sketch").dropDuplicates(["cls"]))
-    clusters = components(_candidates(classes)).withColumnRenamed("node", "cls").withColumnRenamed("component", "cluster")
+    clusters = components(_candidates(described)).withColumnRenamed("node", "cls").withColumnRenamed("component", "cluster")
     sizes = clusters.groupBy("cluster").agg(F.count("*").alias("size"))
-    members = checkpointed(clusters.join(sizes, "cluster").join(classes.select("cls", "rep"), "cls"))
+    members = checkpointed(clusters.join(sizes, "cluster").join(least, "cls"))
     large = members.where(F.col("size") > BLOCK).select("cluster").limit(1).count() > 0
-    sets = texts.join(members.withColumnRenamed("rep", "id"), "id").select("cls", "cluster", "size", "text")
+    of_these = Filter(members.select("rep")).of(texts, "id")
+    sets = of_these.join(members.withColumnRenamed("rep", "id"), "id").select("cls", "cluster", "size", "text")
     small = _sets(sets.where(F.col("size") <= BLOCK))
     bins = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) * 4, members.count() // 2000)
     edges = small.withColumn("bin", F.pmod(F.xxhash64("cluster"), F.lit(bins))).groupBy("bin").applyInArrow(_solve_bin, "a long, b long")
     if large:
         edges = edges.union(_solve_large(_sets(sets.where(F.col("size") > BLOCK))))
     parts = components(edges)
-    named = parts.withColumnRenamed("node", "cls").join(classes.select("cls", "rep"), "cls")
+    named = parts.withColumnRenamed("node", "cls").join(members.select("cls", "rep"), "cls")
     final = named.join(named.groupBy("component").agg(F.min("rep").alias("component_id")), "component").select("cls", "component_id")
     by_class = checkpointed(least.join(final, "cls", "left").select("cls", F.coalesce("component_id", "rep").alias("component_id")))
     out = plain.join(by_class, "cls", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
