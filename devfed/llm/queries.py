@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprint, htmltext, lmscore, neardup, packing, quality, substring, tokencount, urlfilter
+from . import bpe, fingerprint, htmltext, lmscore, neardup, packing, quality, sqltext, substring, tokencount, urlfilter
 
 
 def _tokenizers():
@@ -69,4 +69,9 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_packing, op2_html_text, op3_byte_bpe, op4_near_dedup, op5_url_filter, op6_fingerprints, op7_substring_dedup, op8_lm_scoring, op9_token_counts, op10_quality_rules)}
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op4_near_dedup": sqltext.near_dedup(),
+    "op5_url_filter": sqltext.url_filter(),
+    "op7_substring_dedup": sqltext.substring_dedup(),
+    "op10_quality_rules": sqltext.quality_rules(),
+}
