@@ -40,8 +40,8 @@ from pyspark.sql import functions as F
 from . import textnp
 
 WINDOW = 13
-#: Text in a chunk, and about as much text's windows in a bucket, in bytes.
-CHUNK_BYTES = 8 << 20
+#: Text in a chunk, and text whose windows make a bucket (about), in bytes.
+CHUNK_BYTES, BUCKET_BYTES = 4 << 20, 16 << 20
 
 _LARGEST = np.iinfo(np.int64).max
 
@@ -125,11 +125,10 @@ def _smaller_elsewhere(data: list[bytes]) -> list[np.ndarray]:
 
 
 def _sizes(docs: DataFrame, text_col: str, chunk_bytes: int) -> tuple[int, int]:
-    """Numbers of chunks and of buckets: by the texts' bytes, and enough for all tasks."""
+    """Numbers of chunks and of buckets: by the texts' bytes, and enough for the tasks. Small tables get fewer buckets than tasks, as every chunk may send a blob to each."""
     total = docs.select(F.sum(F.octet_length(text_col).cast("double"))).first()[0] or 0
     tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    by_size = math.ceil(total / chunk_bytes)
-    return max(by_size, 2 * tasks), max(by_size, tasks)
+    return max(math.ceil(total / chunk_bytes), tasks), max(math.ceil(total / BUCKET_BYTES), math.ceil(tasks / 4))
 
 
 def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], window: int, chunk_bytes: int, finish: Callable[[_Chunk, np.ndarray, pa.Table], pa.Table], schema: str) -> DataFrame:

@@ -16,6 +16,8 @@ import pyarrow as pa
 
 #: Bytes of text handled at once; a longer text is handled alone.
 SLICE_BYTES = 4 << 20
+#: Bytes over which one prefix sum reaches.
+SPAN_BYTES = 1 << 18
 
 _U = np.uint64
 _BYTE_BASE, _WORD_BASE = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
@@ -65,7 +67,7 @@ class Texts:
     """Texts ``i`` of a buffer: bytes ``offsets[i]`` to ``offsets[i + 1]``."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, fold_case: bool = False) -> None:
-        self.data, self.offsets, self.fold_case, self._hashes = data, offsets, fold_case, None
+        self.data, self.offsets, self.fold_case = data, offsets, fold_case
         self.n = len(offsets) - 1
         self.in_word = ~_SPACE[data]
         begin, end = self.in_word.copy(), self.in_word.copy()
@@ -86,11 +88,17 @@ class Texts:
         return np.diff(_prefix(flags.astype(np.int64))[self.offsets])
 
     def span_hashes(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """64-bit hashes of the bytes between positions."""
-        up, down = _OF_BYTES.get(len(self.data))
-        if self._hashes is None:
-            self._hashes = _prefix((_LOWER if self.fold_case else _VALUES)[self.data] * up[:-1])
-        return mix((self._hashes[ends] - self._hashes[starts]) * down[starts] + (ends - starts).astype(np.uint64) * _U(0xA24BAED4963EE407))
+        """64-bit hashes of the bytes between positions (starts ascending). Prefix sums reach over SPAN_BYTES, or one longer span, at a time."""
+        out, values, i = np.empty(len(starts), np.uint64), _LOWER if self.fold_case else _VALUES, 0
+        while i < len(starts):
+            j = max(i + 1, int(np.searchsorted(starts, starts[i] + SPAN_BYTES)))
+            low, high = starts[i], ends[i:j].max()
+            up, down = _OF_BYTES.get(int(high - low))
+            sums = _prefix(values[self.data[low:high]] * up[: high - low])
+            a, b = starts[i:j] - low, ends[i:j] - low
+            out[i:j] = (sums[b] - sums[a]) * down[a] + (b - a).astype(np.uint64) * _U(0xA24BAED4963EE407)
+            i = j
+        return mix(out)
 
     def words(self) -> np.ndarray:
         return self.span_hashes(self.starts, self.ends)
