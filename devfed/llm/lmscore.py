@@ -2,15 +2,17 @@ r"""Cross-entropy difference of two matched n-gram language models.
 
 A target model is counted on the documents of a given set of ids and a background model on
 all documents. Both are bigram models with the same vocabulary (all words of all documents),
-order and smoothing: p(w | v) = LAMBDA * c(v w) / c(v .) + (1 - LAMBDA) * (c(w) + 1) / (N + V),
-where the first part falls away, and the second counts in full, if v was never seen before a
-word. A document's score is the mean over its words of the target's loss minus the
+order and smoothing: p(w | v) = LAMBDA * c(v w) / c(v) + (1 - LAMBDA) * (c(w) + 1) / (N + V),
+where the first part falls away, and the second counts in full, if v was never seen (c of the
+start mark is the number of texts). A document's score is the mean over its words of the target's loss minus the
 background's, in nats: the lower, the more the document resembles the target.
 
 Counting: texts are dealt into chunks by a hash of the id. A chunk reduces its words and pairs
 to distinct hashes with counts, so that a frequent word is one entry for each chunk, sends
 them to buckets by hash, and gets the corpus counts back in the same order; then it scores its
-texts. The chunks' texts are exchanged once and read in both passes.
+texts. The chunks' texts are exchanged once and read in both passes. A hash travels as its low
+48 bits, as the bucket stands for the high ones; two keys of one bucket that agree in them (a few
+in 10**7 buckets' worth of keys) would share their counts.
 
 Words are ``[^\x20\x09-\x0D]+``; a text's first word follows a start mark. Defined results: a
 text without words has n_words 0 and null losses; null texts are empty; a null id is never in
@@ -35,15 +37,15 @@ _U = np.uint64
 
 
 def _grams(text: pa.ChunkedArray) -> tuple[textnp.Texts, np.ndarray, np.ndarray, np.ndarray]:
-    """Texts, and for each word the hashes of the word, of its history and of the pair."""
+    """Texts, and for each word the hashes of the word, of the one before it (or the start mark), and of the pair."""
     column = text.combine_chunks()
     data, offsets = textnp.buffers(column if isinstance(column, pa.Array) else pa.concat_arrays(column.chunks))
     t = textnp.Texts(data[offsets[0] : offsets[-1]], offsets - offsets[0])
     words = t.words()
     before = np.full(len(words), _START)
     before[1:] = np.where(t.doc[1:] == t.doc[:-1], words[:-1], _START)
-    # three kinds of counts are told apart by the hash: words, histories, pairs
-    return t, textnp.mix(words ^ _U(1)), textnp.mix(before ^ _U(2)), textnp.mix(textnp.mix(before) + words)
+    # words and pairs are told apart by the hash
+    return t, textnp.mix(words ^ _U(1)), textnp.mix(before ^ _U(1)), textnp.mix(textnp.mix(before) + words)
 
 
 def losses(pair: np.ndarray, history: np.ndarray, word: np.ndarray, n: float, v: float, weight: float = LAMBDA) -> np.ndarray:
@@ -67,27 +69,34 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         ids = table["i"]
         return np.isin(ids.fill_null(0).to_numpy(), wanted) & ids.is_valid().to_numpy()
 
-    def distinct(keys: tuple[np.ndarray, ...]) -> tuple[np.ndarray, np.ndarray]:
-        return np.unique(np.concatenate(keys), return_inverse=True)
+    def keys_of(t: textnp.Texts, word: np.ndarray, pair: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct keys, the place of each word, pair and text's start mark among them, and the text of each."""
+        begun = np.flatnonzero(t.n_words > 0)
+        marks = textnp.mix(np.full(len(begun), _START) ^ _U(1))
+        values, place = np.unique(np.concatenate([word, pair, marks]), return_inverse=True)
+        return values, place, np.concatenate([t.doc, t.doc, begun])
 
     def send(table: pa.Table, right: pa.Table) -> pa.Table:
         if not table.num_rows:
             return pa.table({"chunk": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32()), "data": pa.array([], pa.binary())})
-        t, *keys = _grams(table["t"])
-        values, place = distinct(tuple(keys))
-        own = np.tile(in_target(table, right)[t.doc], 3)
+        t, word, _, pair = _grams(table["t"])
+        values, place, doc = keys_of(t, word, pair)
+        own = in_target(table, right)[doc]
         every = np.bincount(place, minlength=len(values)).astype(np.uint32)
         some = np.bincount(place[own], minlength=len(values)).astype(np.uint32)
         kind = np.zeros(len(values), np.uint8)
-        kind[place[: len(keys[0])]] = 1
+        kind[place[: len(word)]] = 1
+        low = values.view(np.uint8).reshape(-1, 8)[:, :6]
         edges = np.searchsorted(_bucket(values, buckets), np.arange(buckets + 1))
         used = np.flatnonzero(np.diff(edges))
-        data = [b"".join(x[edges[b] : edges[b + 1]].tobytes() for x in (values, every, some, kind)) for b in used]
+        data = [b"".join(x[edges[b] : edges[b + 1]].tobytes() for x in (low, every, some, kind)) for b in used]
         return pa.table({"chunk": pa.array(np.full(len(used), table["chunk"][0].as_py(), np.int32)), "bucket": pa.array(used.astype(np.int32)), "data": pa.array(data, pa.binary())})
 
     def unpack(data: bytes) -> tuple[np.ndarray, ...]:
-        n = len(data) // 17
-        return np.frombuffer(data, _U, n), np.frombuffer(data, np.uint32, n, 8 * n), np.frombuffer(data, np.uint32, n, 12 * n), np.frombuffer(data, np.uint8, n, 16 * n)
+        n = len(data) // 15
+        whole = np.zeros((n, 8), np.uint8)
+        whole[:, :6] = np.frombuffer(data, np.uint8, 6 * n).reshape(n, 6)
+        return whole.view(_U).ravel(), np.frombuffer(data, np.uint32, n, 6 * n), np.frombuffer(data, np.uint32, n, 10 * n), np.frombuffer(data, np.uint8, n, 14 * n)
 
     def add_up(table: pa.Table) -> pa.Table:
         parts = [unpack(x) for x in table["data"].to_pylist()]
@@ -106,7 +115,8 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
 
     def finish(table: pa.Table, right: pa.Table, n_all: float, n_target: float, v: float) -> pa.Table:
         t, word, history, pair = _grams(table["t"])
-        values, place = distinct((word, history, pair))
+        values, place, _ = keys_of(t, word, pair)
+        at = place[: len(word)], np.searchsorted(values, history), place[len(word) : 2 * len(word)]
         edges = np.searchsorted(_bucket(values, buckets), np.arange(buckets + 1))
         counts = np.zeros((2, len(values)), np.uint32)
         for bucket, data in zip(right["bucket"].to_pylist(), right["data"].to_pylist(), strict=True):
@@ -114,7 +124,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
                 counts[:, edges[bucket] : edges[bucket + 1]] = np.frombuffer(data, np.uint32).reshape(2, -1)
         means = []
         for row, n in ((1, n_target), (0, n_all)):
-            of_word, of_history, of_pair = np.split(counts[row][place].astype(float), 3)
+            of_word, of_history, of_pair = (counts[row][k].astype(float) for k in at)
             sums = np.bincount(t.doc, losses(of_pair, of_history, of_word, n, v, weight), t.n)
             means.append(np.divide(sums, t.n_words, out=np.zeros(t.n), where=t.n_words > 0))
         none = t.n_words == 0
