@@ -33,7 +33,7 @@ from pyspark.sql.window import Window
 
 from . import textnp
 from .graph import checkpointed
-from .neardup import shingles
+from .neardup import shingle_rows
 
 BINS, BITS = 512, 4
 ROWS = 200
@@ -47,11 +47,7 @@ def densified(hashes: np.ndarray, doc: np.ndarray, n: int, bins: int = BINS) ->
     mixed = textnp.mix(hashes ^ _U(0x9D8AF066F3C1E6B5))
     key = doc.astype(np.int64) * bins + ((mixed >> _U(32)) * _U(bins) >> _U(32)).astype(np.int64)
     out = np.full(n * bins, _EMPTY)
-    order = np.argsort(key, kind="stable")
-    ranked = key[order]
-    first = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]])) if len(key) else np.zeros(0, np.int64)
-    if len(first):
-        out[ranked[first]] = np.minimum.reduceat(textnp.mix(mixed)[order], first)
+    np.minimum.at(out, key, textnp.mix(mixed))
     out = out.reshape(n, bins)
     full = out != _EMPTY
     rows, columns = np.nonzero(~full & full.any(axis=1)[:, None])
@@ -69,7 +65,7 @@ def fingerprints(texts: list[str], bins: int = BINS, bits: int = BITS) -> np.nda
     """A row of bins of the given bits (as bytes, not yet packed) for each text, and a last column that is 1 for a text without words."""
     column, parts = pa.array(texts, pa.large_string()), []
     for _, _, t in textnp.slices(column, True):
-        bins_of = densified(*shingles(t), t.n, bins)
+        bins_of = densified(*shingle_rows(t), t.n, bins)
         none = t.n_words == 0
         low = (textnp.mix(bins_of) & _U((1 << bits) - 1)).astype(np.uint8)
         low[none] = 0

@@ -47,8 +47,8 @@ BLOCK, HUBS = 512, 4
 _U = np.uint64
 
 
-def shingles(t: textnp.Texts) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingle hashes of all texts, ascending within each text, and their texts."""
+def shingle_rows(t: textnp.Texts) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all shingles, repeated ones too, and their texts."""
     words = t.words()
     windows = textnp.Windows(words, t.doc)
     at, hashes = windows.of(SHINGLE)
@@ -58,6 +58,12 @@ def shingles(t: textnp.Texts) -> tuple[np.ndarray, np.ndarray]:
         if len(some):
             _, short = windows.of(n, t.word_offsets[some])
             hashes, doc = np.concatenate([hashes, short]), np.concatenate([doc, some])
+    return hashes, doc
+
+
+def shingles(t: textnp.Texts) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct shingle hashes of all texts, ascending within each text, and their texts."""
+    hashes, doc = shingle_rows(t)
     order = np.lexsort((hashes, doc))
     hashes, doc = hashes[order], doc[order]
     new = np.ones(len(hashes), bool)
