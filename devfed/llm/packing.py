@@ -32,41 +32,57 @@ from pyspark.sql import functions as F
 CAPACITY, END_ID, PIECE, GROUP = 2048, 1, 384, 64
 #: Ids of each window that a full group leaves open, so that slightly unequal windows fit.
 SLACK = 8
-CACHE = 500_000
+#: Pieces in each of two generations of a worker's cache.
+CACHE = 400_000
 
 #: Characters at which str.split cuts although they aren't white space in Unicode.
 _NOT_SPACE = re.compile("[\x1c-\x1f]")
+#: Lower-cased texts of ASCII and Latin-1 letters only, and how the tokenizer's own pattern cuts them.
+_PLAIN = re.compile("[\t-\r -~\xdf-\xf6\xf8-\xff]*")
+_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^\sa-z0-9\xdf-\xf6\xf8-\xff]+")
 
 
 class WordTokenizer:
-    """Ids of whole texts from a tokenizer that drops white space and never joins words across it, by a cache of words."""
+    """Ids of whole texts from a tokenizer that lower-cases, drops white space and never joins pieces across it, by a cache.
+
+    Texts of plain letters are cut into the tokenizer's own pieces, others at white space; texts with special tokens or control characters are
+    encoded whole.
+    """
 
     def __init__(self, path: str) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.inner, self.words = Tokenizer.from_file(path), {}
+        self.inner, self.young, self.old = Tokenizer.from_file(path), {}, {}
         self.specials = [t.content for t in self.inner.get_added_tokens_decoder().values()]
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.inner.encode_batch(texts, add_special_tokens=False)]
 
+    def _parts(self, text: str) -> list[str] | None:
+        lower = text.lower()
+        if any(s in text for s in self.specials):
+            return None
+        if _PLAIN.fullmatch(lower):
+            return _PIECES.findall(lower)
+        return None if _NOT_SPACE.search(text) else text.split()
+
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
-        out: list[bytes | None] = []
-        parts = [None if _NOT_SPACE.search(t) or any(s in t for s in self.specials) else t.split() for t in texts]
-        words = self.words
-        found = [p and list(map(words.get, p)) for p in parts]
-        if missing := list({w: None for p, ids in zip(parts, found, strict=True) if p and None in ids for w, x in zip(p, ids, strict=True) if x is None}):
-            fresh = dict(zip(missing, self._ids(missing), strict=True))
-            found = [ids and [fresh[w] if x is None else x for w, x in zip(p, ids, strict=True)] if p and None in ids else ids for p, ids in zip(parts, found, strict=True)]
-            if len(words) + len(fresh) > CACHE:
-                words.clear()
-            words.update((w, x) for w, x in fresh.items() if len(w) <= 64)
-        out = [None if p is None else b"".join(ids) for p, ids in zip(parts, found, strict=True)]
-        if whole := [i for i, x in enumerate(out) if x is None]:
-            for i, ids in zip(whole, self._ids([texts[i] for i in whole]), strict=True):
-                out[i] = ids
-        return [np.frombuffer(x, np.uint32) for x in out]
+        parts = [self._parts(t) for t in texts]
+        found = [p and list(map(self.young.get, p)) for p in parts]
+        gaps = [(p, ids) for p, ids in zip(parts, found, strict=True) if p and None in ids]
+        missing = {w for p, ids in gaps for w, x in zip(p, ids, strict=True) if x is None}
+        if missing:
+            fresh = {w: x for w in missing if (x := self.old.get(w)) is not None}
+            unknown = list(missing.difference(fresh))
+            fresh.update(zip(unknown, self._ids(unknown), strict=True))
+            for p, ids in gaps:
+                ids[:] = [fresh[w] if x is None else x for w, x in zip(p, ids, strict=True)]
+            self.young.update((w, x) for w, x in fresh.items() if len(w) <= 64)
+            if len(self.young) >= CACHE:
+                self.old, self.young = self.young, {}
+        whole = iter(self._ids([t for t, p in zip(texts, parts, strict=True) if p is None]))
+        return [np.frombuffer(next(whole) if p is None else b"".join(ids), np.uint32) for p, ids in zip(parts, found, strict=True)]
 
 
 @functools.lru_cache(maxsize=2)
