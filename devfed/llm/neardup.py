@@ -305,6 +305,6 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose id is the smallest of their component; of rows with equal ids all stay or go by their own text."""
+    """The rows of ``docs`` whose id is the smallest of their component; rows with equal ids go together if any of them goes."""
     gone = link(docs, id_col, text_col).where("NOT kept").select(F.col(id_col).alias("gone")).distinct()
     return docs.join(gone, F.col(f"`{id_col}`") == F.col("gone"), "left_anti")
