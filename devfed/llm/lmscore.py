@@ -23,6 +23,8 @@ bounded by a chunk, a bucket and the longest text.
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -89,14 +91,17 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         low = values.view(np.uint8).reshape(-1, 8)[:, :6]
         edges = np.searchsorted(_bucket(values, buckets), np.arange(buckets + 1))
         used = np.flatnonzero(np.diff(edges))
-        data = [b"".join(x[edges[b] : edges[b + 1]].tobytes() for x in (low, every, some, kind)) for b in used]
+        # the counts, nearly all of them 0 or 1, travel deflated
+        small = lambda a, b: zlib.compress(b"".join(x[a:b].tobytes() for x in (every, some, kind)), 1)
+        data = [low[edges[b] : edges[b + 1]].tobytes() + small(edges[b], edges[b + 1]) + int(edges[b + 1] - edges[b]).to_bytes(4, "little") for b in used]
         return pa.table({"chunk": pa.array(np.full(len(used), table["chunk"][0].as_py(), np.int32)), "bucket": pa.array(used.astype(np.int32)), "data": pa.array(data, pa.binary())})
 
     def unpack(data: bytes) -> tuple[np.ndarray, ...]:
-        n = len(data) // 15
+        n = int.from_bytes(data[-4:], "little")
+        counts = zlib.decompress(data[6 * n : -4])
         whole = np.zeros((n, 8), np.uint8)
         whole[:, :6] = np.frombuffer(data, np.uint8, 6 * n).reshape(n, 6)
-        return whole.view(_U).ravel(), np.frombuffer(data, np.uint32, n, 6 * n), np.frombuffer(data, np.uint32, n, 10 * n), np.frombuffer(data, np.uint8, n, 14 * n)
+        return whole.view(_U).ravel(), np.frombuffer(counts, np.uint32, n), np.frombuffer(counts, np.uint32, n, 4 * n), np.frombuffer(counts, np.uint8, n, 8 * n)
 
     def add_up(table: pa.Table) -> pa.Table:
         parts = [unpack(x) for x in table["data"].to_pylist()]
@@ -105,7 +110,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         sums = [np.bincount(place, x, len(distinct_values)) for x in (every, some)]
         cuts = np.cumsum([len(p[0]) for p in parts])[:-1]
         replies = [np.minimum(s[place], 2**32 - 1).astype(np.uint32) for s in sums]
-        data = [a.tobytes() + b.tobytes() for a, b in zip(np.split(replies[0], cuts), np.split(replies[1], cuts), strict=True)]
+        data = [zlib.compress(a.tobytes() + b.tobytes(), 1) for a, b in zip(np.split(replies[0], cuts), np.split(replies[1], cuts), strict=True)]
         word = kind == 1
         is_word = np.zeros(len(distinct_values), bool)
         is_word[place[word]] = True
@@ -121,7 +126,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         counts = np.zeros((2, len(values)), np.uint32)
         for bucket, data in zip(right["bucket"].to_pylist(), right["data"].to_pylist(), strict=True):
             if data is not None:
-                counts[:, edges[bucket] : edges[bucket + 1]] = np.frombuffer(data, np.uint32).reshape(2, -1)
+                counts[:, edges[bucket] : edges[bucket + 1]] = np.frombuffer(zlib.decompress(data), np.uint32).reshape(2, -1)
         means = []
         for row, n in ((1, n_target), (0, n_all)):
             of_word, of_history, of_pair = (counts[row][k].astype(float) for k in at)
