@@ -46,7 +46,7 @@ class _Powers:
         self.base, self.inverse, self.n = base, pow(base, -1, 1 << 64), 0
 
     def get(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if n > self.n:
+        if n > self.n or not self.n:
             self.n = max(1 << 16, 1 << (n - 1).bit_length())
             steps = np.ones((2, self.n + 1), np.uint64)
             steps[:, 1:] = np.array([[self.base], [self.inverse]], np.uint64)
