@@ -24,11 +24,11 @@ from pyspark.sql import functions as F
 from . import textnp
 
 #: Window lengths in words, with the largest share in percent of a text's characters
-#: that windows of that length found twice or more may hold. They follow the limits
+#: that windows of that length found twice or more may hold. They are the limits
 #: published for large web corpora: longer repeats are tolerated less.
-WINDOW_LIMITS = {5: 60, 6: 56, 7: 52, 8: 48, 9: 44, 10: 40}
-#: The same for lines equal to an earlier line.
-LINE_LIMIT = 30
+WINDOW_LIMITS = {5: 15, 6: 14, 7: 13, 8: 12, 9: 11, 10: 10}
+#: The same for lines equal to an earlier line, as published for characters.
+LINE_LIMIT = 20
 #: Base rule: least words, and the largest share in percent of words in repeated 3-word windows.
 LEAST_WORDS, BASE_WINDOW, BASE_LIMIT = 50, 3, 50
 

@@ -56,6 +56,20 @@ def test_quality_figures(spark, docs):
         quality.judge(next(textnp.slices(pa.array(["a"])))[2], {2: 10})
 
 
+def test_quality_limits():
+    fresh = (f"word{k}" for k in range(10**6))
+    text = lambda n, repeated, by=" ": by.join([" ".join(next(fresh) for _ in range((n - 2 * repeated) // 2)), x := " ".join(next(fresh) for _ in range(repeated)), " ".join(next(fresh) for _ in range((n - 2 * repeated) // 2)), x])
+    bad = [text(400, share * 2) for share in (20, 25, 30, 35, 40)] + [text(400, 23), text(400, 100, "\n")]
+    good = [text(400, 0), text(400, 18), text(400, 4), text(400, 19, "\n")]
+    (_, _, texts), = textnp.slices(pa.array(bad + good))
+    found = quality.judge(texts)
+    # the base rule alone lets all of them through
+    assert found["base_failed"].tolist() == [False] * (len(bad) + len(good))
+    assert found["kept"].tolist() == [False] * len(bad) + [True] * len(good)
+    # repeated lines, without the limits of windows
+    assert quality.judge(texts, {5: 100})["kept"].tolist() == [True] * 6 + [False] + [True] * len(good)
+
+
 def test_words_and_lines_of_odd_texts():
     texts = ["a\n\nb a\n", "", "\n", " x", "é\x1cz q\u3000r"]
     for _, _, t in textnp.slices(pa.array(texts)):
