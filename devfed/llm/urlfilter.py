@@ -28,8 +28,10 @@ from pyspark.sql import functions as F
 
 from .graph import checkpointed
 
-#: Rounds of propagation, share of mass passed on in percent, parts of a seed vector.
-ROUNDS, DAMPING, SCALE = 4, 85, 10**12
+#: Share of mass passed on in percent, parts of a seed vector, steps between checkpoints.
+DAMPING, SCALE, STEPS = 85, 10**12, 4
+#: Rounds that the comparison SQL unrolls; the operator itself goes on until nothing is left to pass on.
+ROUNDS = 4
 #: Least distrust of a blocked host, in parts of SCALE.
 THRESHOLD = 10**4
 
@@ -86,24 +88,30 @@ def host_edges(pages: DataFrame, url: Column, html: Column) -> DataFrame:
     return found.select("src", host_of(F.col("link")).alias("dst")).where("src <> '' AND dst <> '' AND src <> dst").groupBy("src", "dst").agg(F.count("*").alias("n"))
 
 
-def propagate(seeds: DataFrame, edges: DataFrame, rounds: int = ROUNDS) -> DataFrame:
-    """(host, mass) after some rounds of personalised PageRank from (host, mass) along (src, dst, n)."""
+def propagate(seeds: DataFrame, edges: DataFrame) -> DataFrame:
+    """(host, mass) of personalised PageRank from (host, mass) along (src, dst, n).
+
+    ``fresh`` is what came in the last step and is still to be passed on. Each step passes on less than it
+    got, in whole parts, so it runs out; steps after that change nothing.
+    """
     out = edges.groupBy("src").agg(F.sum("n").alias("out"))
     weighted = checkpointed(edges.join(out, "src"))
     own = seeds.select("host", F.expr(f"mass * {100 - DAMPING} div 100").alias("mass"))
     # no join where there is nothing to pass along
     if weighted.isEmpty():
         return own
-    mass = seeds
-    for k in range(rounds):
-        passed = mass.withColumnRenamed("host", "src").join(weighted, "src").select(F.col("dst").alias("host"), F.expr(f"CAST(CAST(mass AS DECIMAL(20,0)) * {DAMPING} * n AS DECIMAL(38,0)) div (100 * out)").alias("mass"))
-        mass = own.unionByName(passed).groupBy("host").agg(F.sum("mass").cast("long").alias("mass"))
-        if k % 2:
-            mass = checkpointed(mass)
-    return mass
-
-
-def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", rules: list[Rule] | None = None, rounds: int = ROUNDS, threshold: int = THRESHOLD) -> DataFrame:
+    state = own.withColumn("fresh", F.col("mass"))
+    while True:
+        for _ in range(STEPS):
+            passed = state.where("fresh > 0").select(F.col("host").alias("src"), "fresh").join(weighted, "src").select(F.col("dst").alias("host"), F.expr(f"CAST(CAST(fresh AS DECIMAL(20,0)) * {DAMPING} * n AS DECIMAL(38,0)) div (100 * out)").alias("fresh"))
+            both = state.select("host", "mass", F.lit(0).cast("long").alias("fresh")).unionByName(passed.select("host", F.col("fresh").alias("mass"), "fresh"))
+            state = both.groupBy("host").agg(*(F.sum(c).cast("long").alias(c) for c in ("mass", "fresh")))
+        state = checkpointed(state)
+        if state.where("fresh > 0").isEmpty():
+            return state.select("host", "mass")
+
+
+def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", rules: list[Rule] | None = None, threshold: int = THRESHOLD) -> DataFrame:
     """One row per row of ``pages``: the id, ``host``, ``path``, ``rule`` and ``verdict``, with the host's ``trust`` and ``distrust``."""
     url, html = F.col(f"`{url_col}`").cast("string"), F.col(f"`{html_col}`").cast("string")
     ruled = with_rule(pages.select(F.col(f"`{id_col}`").alias("id"), host_of(url).alias("host"), path_of(url).alias("path")), rules)
@@ -112,8 +120,8 @@ def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_
     shares = seeds.crossJoin(total)
     part = lambda own, every: F.expr(f"CAST(CAST({own} AS DECIMAL(19,0)) * {SCALE} div {every} AS LONG)")
     edges = checkpointed(host_edges(pages, url, html))
-    trust = propagate(shares.select("host", part("good", "all_good").alias("mass")).where("mass > 0"), edges, rounds).withColumnRenamed("mass", "trust")
-    distrust = propagate(shares.select("host", part("bad", "all_bad").alias("mass")).where("mass > 0"), edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n"), rounds).withColumnRenamed("mass", "distrust")
+    trust = propagate(shares.select("host", part("good", "all_good").alias("mass")).where("mass > 0"), edges).withColumnRenamed("mass", "trust")
+    distrust = propagate(shares.select("host", part("bad", "all_bad").alias("mass")).where("mass > 0"), edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")).withColumnRenamed("mass", "distrust")
     scores = trust.join(distrust, "host", "full").select("host", F.coalesce("trust", F.lit(0)).cast("long").alias("trust"), F.coalesce("distrust", F.lit(0)).cast("long").alias("distrust"))
     found = ruled.join(scores, "host", "left").withColumns({c: F.coalesce(c, F.lit(0)).cast("long") for c in ("trust", "distrust")})
     by_graph = (F.col("distrust") > F.col("trust")) & (F.col("distrust") >= threshold)

@@ -259,5 +259,40 @@ def test_urls(spark):
     assert urlfilter.judge(df.limit(0)).count() == 0
 
 
+def _sites(*links):
+    """Pages of hosts, each with links to others; a host written with * has a blocked page beside."""
+    rows = []
+    for host, to in links:
+        name = host.rstrip("*")
+        rows.append((f"http://{name}/fr/", "".join(f'<a href="http://{x}/">' for x in to)))
+        rows += [(f"http://{name}/bad", None)] * (host != name)
+    return [(k, u, h) for k, (u, h) in enumerate(rows)]
+
+
+def _blocked(spark, rows):
+    rules = [urlfilter.Rule("test/bad", True), urlfilter.Rule("test/good", False)]
+    found = urlfilter.judge(spark.createDataFrame(rows, "page_id long, url string, html string"), rules=rules).where("rule IS NULL AND verdict = 'block'")
+    return {r["host"] for r in found.select("host").distinct().collect()}
+
+
+def test_distrust_reaches_far_hosts(spark):
+    chain = [(f"h{k}.test", [f"h{k - 1}.test"] if k > 1 else ["b.test"]) for k in range(1, 12)]
+    # and a host that links to no blocked one
+    rows = _sites(("b.test*", []), *chain, ("away.test", ["h1.elsewhere"]))
+    assert _blocked(spark, rows) == {"b.test", *(f"h{k}.test" for k in range(1, 12))}
+
+
+def test_mass_is_that_of_the_linear_system(spark):
+    names = "abcdef"
+    links = [("a", "b", 3), ("a", "c", 1), ("b", "a", 2), ("b", "d", 2), ("c", "a", 1), ("d", "e", 1), ("e", "f", 1), ("f", "c", 1), ("f", "e", 4)]
+    edges = spark.createDataFrame(links, "src string, dst string, n long")
+    got = dict(urlfilter.propagate(spark.createDataFrame([("a", 10**12), ("d", 5 * 10**11)], "host string, mass long"), edges).collect())
+    flow, own = np.zeros((6, 6)), np.array([0.15e12, 0, 0, 0.075e12, 0, 0])
+    for a, b, n in links:
+        flow[names.index(b), names.index(a)] = 0.85 * n / sum(c for x, _, c in links if x == a)
+    want = np.linalg.solve(np.eye(6) - flow, own)
+    assert all(abs(int(got[x]) - w) < 2000 for x, w in zip(names, want, strict=True))
+
+
 def test_crc_of_pieces_is_little_endian():
     assert zlib.crc32(np.array([1, 2], "<u4").tobytes()) == zlib.crc32(b"\x01\0\0\0\x02\0\0\0")
