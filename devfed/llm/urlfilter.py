@@ -4,10 +4,11 @@ Rules judge a url by host (itself and all subdomains) and path prefix; the longe
 Hosts with ruled pages are the seeds for all other pages: trust starts at hosts in proportion to
 their allowed pages and flows along links (personalised PageRank), distrust starts at hosts in
 proportion to their blocked pages and flows against the links, from the linked host to whoever
-links to it. A page without a rule is blocked if its host's distrust is larger than
-its trust and at least THRESHOLD parts of all distrust.
+links to it. A page without a rule is blocked if its host has a larger share of all distrust than
+of all trust.
 
-All mass is counted in integers (SCALE parts of each seed vector), and what a host passes on is
+All mass is counted in integers (PAGE parts for each ruled page, so that what arrives at a host does not
+depend on how many pages are elsewhere), and what a host passes on is
 cut down to whole parts for each edge, so results don't depend on the order of sums. Edges are
 distinct pairs of hosts with the number of links as weight, from absolute links in the html.
 What a dangling host would pass on is dropped, which lowers all its followers alike.
@@ -28,12 +29,10 @@ from pyspark.sql import functions as F
 
 from .graph import checkpointed
 
-#: Share of mass passed on in percent, parts of a seed vector, steps between checkpoints.
-DAMPING, SCALE, STEPS = 85, 10**12, 4
-#: Rounds that the comparison SQL unrolls; the operator itself goes on until nothing is left to pass on.
-ROUNDS = 4
-#: Least distrust of a blocked host, in parts of SCALE.
-THRESHOLD = 10**4
+#: Share of mass passed on in percent, parts of a page's mass, steps between checkpoints.
+DAMPING, PAGE, STEPS = 85, 10**12, 4
+#: Of the comparison SQL only: the rounds it unrolls, the parts of a whole seed vector, the least distrust it blocks at.
+ROUNDS, SCALE, THRESHOLD = 4, 10**12, 10**4
 
 
 @dataclass(frozen=True)
@@ -88,6 +87,11 @@ def host_edges(pages: DataFrame, url: Column, html: Column) -> DataFrame:
     return found.select("src", host_of(F.col("link")).alias("dst")).where("src <> '' AND dst <> '' AND src <> dst").groupBy("src", "dst").agg(F.count("*").alias("n"))
 
 
+def _parts(x: str, by: str) -> str:
+    """The whole quotient, which div would squeeze into 64 bits."""
+    return f"CAST(({x} - {x} % {by}) / {by} AS DECIMAL(38,0))"
+
+
 def propagate(seeds: DataFrame, edges: DataFrame) -> DataFrame:
     """(host, mass) of personalised PageRank from (host, mass) along (src, dst, n).
 
@@ -96,34 +100,34 @@ def propagate(seeds: DataFrame, edges: DataFrame) -> DataFrame:
     """
     out = edges.groupBy("src").agg(F.sum("n").alias("out"))
     weighted = checkpointed(edges.join(out, "src"))
-    own = seeds.select("host", F.expr(f"mass * {100 - DAMPING} div 100").alias("mass"))
+    own = seeds.select("host", F.expr(_parts(f"(CAST(mass AS DECIMAL(38,0)) * {100 - DAMPING})", "100")).alias("mass"))
     # no join where there is nothing to pass along
     if weighted.isEmpty():
         return own
     state = own.withColumn("fresh", F.col("mass"))
     while True:
         for _ in range(STEPS):
-            passed = state.where("fresh > 0").select(F.col("host").alias("src"), "fresh").join(weighted, "src").select(F.col("dst").alias("host"), F.expr(f"CAST(CAST(fresh AS DECIMAL(20,0)) * {DAMPING} * n AS DECIMAL(38,0)) div (100 * out)").alias("fresh"))
-            both = state.select("host", "mass", F.lit(0).cast("long").alias("fresh")).unionByName(passed.select("host", F.col("fresh").alias("mass"), "fresh"))
-            state = both.groupBy("host").agg(*(F.sum(c).cast("long").alias(c) for c in ("mass", "fresh")))
+            passed = state.where("fresh > 0").select(F.col("host").alias("src"), "fresh").join(weighted, "src").select(F.col("dst").alias("host"), F.expr(_parts(f"CAST(fresh * {DAMPING} * n AS DECIMAL(38,0))", "(100 * out)")).alias("fresh"))
+            both = state.select("host", "mass", F.lit(0).cast("decimal(38,0)").alias("fresh")).unionByName(passed.select("host", F.col("fresh").alias("mass"), "fresh"))
+            state = both.groupBy("host").agg(*(F.sum(c).cast("decimal(38,0)").alias(c) for c in ("mass", "fresh")))
         state = checkpointed(state)
         if state.where("fresh > 0").isEmpty():
             return state.select("host", "mass")
 
 
-def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", rules: list[Rule] | None = None, threshold: int = THRESHOLD) -> DataFrame:
-    """One row per row of ``pages``: the id, ``host``, ``path``, ``rule`` and ``verdict``, with the host's ``trust`` and ``distrust``."""
+def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", rules: list[Rule] | None = None) -> DataFrame:
+    """One row per row of ``pages``: the id, ``host``, ``path``, ``rule`` and ``verdict``, with the host's ``trust`` and ``distrust`` in parts of a page's."""
     url, html = F.col(f"`{url_col}`").cast("string"), F.col(f"`{html_col}`").cast("string")
     ruled = with_rule(pages.select(F.col(f"`{id_col}`").alias("id"), host_of(url).alias("host"), path_of(url).alias("path")), rules)
     seeds = checkpointed(ruled.where("blocked IS NOT NULL AND host <> ''").groupBy("host").agg(F.count_if(~F.col("blocked")).alias("good"), F.count_if("blocked").alias("bad")))
     total = F.broadcast(seeds.agg(F.greatest(F.sum("good"), F.lit(1)).alias("all_good"), F.greatest(F.sum("bad"), F.lit(1)).alias("all_bad")))
-    shares = seeds.crossJoin(total)
-    part = lambda own, every: F.expr(f"CAST(CAST({own} AS DECIMAL(19,0)) * {SCALE} div {every} AS LONG)")
+    mass = lambda own: seeds.where(F.col(own) > 0).select("host", (F.col(own).cast("decimal(38,0)") * PAGE).cast("decimal(38,0)").alias("mass"))
     edges = checkpointed(host_edges(pages, url, html))
-    trust = propagate(shares.select("host", part("good", "all_good").alias("mass")).where("mass > 0"), edges).withColumnRenamed("mass", "trust")
-    distrust = propagate(shares.select("host", part("bad", "all_bad").alias("mass")).where("mass > 0"), edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")).withColumnRenamed("mass", "distrust")
-    scores = trust.join(distrust, "host", "full").select("host", F.coalesce("trust", F.lit(0)).cast("long").alias("trust"), F.coalesce("distrust", F.lit(0)).cast("long").alias("distrust"))
-    found = ruled.join(scores, "host", "left").withColumns({c: F.coalesce(c, F.lit(0)).cast("long") for c in ("trust", "distrust")})
-    by_graph = (F.col("distrust") > F.col("trust")) & (F.col("distrust") >= threshold)
-    verdict = F.when(F.coalesce("blocked", by_graph), "block").otherwise("allow")
+    trust = propagate(mass("good"), edges).withColumnRenamed("mass", "trust")
+    distrust = propagate(mass("bad"), edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")).withColumnRenamed("mass", "distrust")
+    given = lambda c: F.coalesce(c, F.lit(0)).cast("decimal(38,0)").alias(c)
+    by_graph = F.expr("CAST(distrust * all_good AS DECIMAL(38,0)) > CAST(trust * all_bad AS DECIMAL(38,0))").alias("by_graph")
+    scores = trust.join(distrust, "host", "full").select("host", given("trust"), given("distrust")).crossJoin(total).select("host", "trust", "distrust", by_graph)
+    found = ruled.join(scores, "host", "left").withColumns({c: given(c) for c in ("trust", "distrust")})
+    verdict = F.when(F.coalesce("blocked", "by_graph"), "block").otherwise("allow")
     return found.select(F.col("id").alias(id_col), "host", "path", "rule", verdict.alias("verdict"), "trust", "distrust")

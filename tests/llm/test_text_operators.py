@@ -282,6 +282,18 @@ def test_distrust_reaches_far_hosts(spark):
     assert _blocked(spark, rows) == {"b.test", *(f"h{k}.test" for k in range(1, 12))}
 
 
+def test_verdicts_do_not_depend_on_the_size_of_the_table(spark):
+    near = _sites(("b.test*", []), *((f"l{k}.test", ["b.test"]) for k in range(4)), ("far.test", ["l0.test", "elsewhere.test"]))
+    want = {"b.test", "far.test", *(f"l{k}.test" for k in range(4))}
+    assert _blocked(spark, near) == want
+    # a hot blocked host elsewhere must not change what is around b.test
+    hot = spark.range(3 * 10**6).selectExpr("id + 1000 AS page_id", "'http://hot.test/bad' AS url", "CAST(NULL AS STRING) AS html")
+    rules = [urlfilter.Rule("test/bad", True)]
+    pages = spark.createDataFrame(near + _sites(*((f"m{k}.test", ["b.test"]) for k in range(60))), "page_id long, url string, html string").unionByName(hot)
+    found = urlfilter.judge(pages, rules=rules).where("verdict = 'block' AND rule IS NULL").select("host").distinct()
+    assert {r["host"] for r in found.collect()} == want | {f"m{k}.test" for k in range(60)}
+
+
 def test_mass_is_that_of_the_linear_system(spark):
     names = "abcdef"
     links = [("a", "b", 3), ("a", "c", 1), ("b", "a", 2), ("b", "d", 2), ("c", "a", 1), ("d", "e", 1), ("e", "f", 1), ("f", "c", 1), ("f", "e", 4)]
