@@ -78,38 +78,63 @@ def assign(z: np.ndarray, centres: np.ndarray) -> np.ndarray:
     return label
 
 
-def complete_linkage(z: np.ndarray, clusters: int, max_rows: int = 2000) -> np.ndarray:
-    """Agglomerative clusters by the largest distance of their rows; above max_rows an evenly spaced sample is clustered and the others join the nearest mean."""
-    if len(z) > max_rows:
-        some = np.linspace(0, len(z) - 1, max_rows).astype(int)
-        own = complete_linkage(z[some], clusters, max_rows)
+def complete_linkage(z: np.ndarray, clusters: int, max_rows: int | None = None) -> np.ndarray:
+    """Agglomerative clusters by the largest distance of their rows, along chains of nearest neighbours: 8 n**2 bytes and time like n**2.
+
+    Only where the caller names max_rows, above it an evenly spaced sample is clustered and the others join the nearest mean.
+    """
+    n = len(z)
+    if max_rows is not None and n > max_rows:
+        some = np.linspace(0, n - 1, max_rows).astype(int)
+        own = complete_linkage(z[some], clusters)
         return assign(z, np.stack([z[some][own == j].mean(axis=0) for j in range(own.max() + 1)]))
-    square = np.sqrt(np.maximum(((z[:, None] - z[None]) ** 2).sum(axis=2), 0)) if len(z) <= 300 else np.stack([_distances(z, r) for r in z])
+    square = np.empty((n, n))
+    for i in range(n):
+        square[i] = _distances(z, z[i])
     np.fill_diagonal(square, np.inf)
-    label, alive = np.arange(len(z)), len(z)
-    while alive > max(1, clusters):
-        i, j = sorted(np.unravel_index(square.argmin(), square.shape))
-        square[i] = square[:, i] = np.where(np.isinf(np.minimum(square[i], square[j])), np.inf, np.maximum(square[i], square[j]))
-        square[i, i] = np.inf
+    alive, chain, merges = np.ones(n, bool), [], []
+    while len(merges) < n - 1:
+        if not chain:
+            chain = [int(alive.argmax())]
+        while True:
+            i, before = chain[-1], chain[-2] if len(chain) > 1 else None
+            j = int(square[i].argmin())
+            # of equally near ones the chain's last, so that it ends
+            if before is not None and square[i, before] <= square[i, j]:
+                break
+            chain.append(j)
+        i, j = sorted(chain[-2:])
+        del chain[-2:]
+        merges.append((square[i, j], i, j))
+        square[i] = np.maximum(square[i], square[j])
+        square[:, i] = square[i]
         square[j] = square[:, j] = np.inf
-        label[label == j] = i
-        alive -= 1
+        square[i, i] = np.inf
+        alive[j] = False
+    label = np.arange(n)
+    # the chains find the merges in another order than that of their distances
+    for _, i, j in sorted(merges, key=lambda m: m[0])[: max(0, n - max(1, clusters))]:
+        label[label == label[j]] = label[i]
     return np.unique(label, return_inverse=True)[1]
 
 
-def mean_pairwise(z: np.ndarray, limit: int = 2000) -> float:
-    """Mean distance of all pairs; above limit rows of an evenly spaced sample. 0 for one row."""
+def mean_pairwise(z: np.ndarray, limit: int | None = None, block: int = 1024) -> float:
+    """Mean distance of all pairs, in blocks of rows by rows; 0 for one row. Only where the caller names a limit, above it of an evenly spaced sample."""
     if len(z) < 2:
         return 0.0
-    if len(z) > limit:
+    if limit is not None and len(z) > limit:
         z = z[np.linspace(0, len(z) - 1, limit).astype(int)]
-    square = (z**2).sum(axis=1)
-    d = np.sqrt(np.maximum(square[:, None] + square - 2 * z @ z.T, 0))
-    np.fill_diagonal(d, 0)
-    return float(d.sum() / (len(z) * (len(z) - 1)))
+    square, total = (z**2).sum(axis=1), 0.0
+    for i in range(0, len(z), block):
+        for j in range(i, len(z), block):
+            d = np.sqrt(np.maximum(square[i : i + block, None] + square[j : j + block] - 2 * z[i : i + block] @ z[j : j + block].T, 0))
+            if i == j:
+                np.fill_diagonal(d, 0)
+            total += float(d.sum()) * (1 if i == j else 2)
+    return total / (len(z) * (len(z) - 1))
 
 
-def figures(z: np.ndarray, label: np.ndarray, centres: np.ndarray, dist: str = "pairwise", limit: int = 2000) -> dict[str, float]:
+def figures(z: np.ndarray, label: np.ndarray, centres: np.ndarray, dist: str = "pairwise", limit: int | None = None) -> dict[str, float]:
     """What the acceptance tests look at: spread_ratio (largest mean distance within a cluster by that of the client) and gap_ratio (smallest distance of centres by the client's)."""
     if dist == "pairwise":
         overall, inner = mean_pairwise(z, limit), max(mean_pairwise(z[label == j], limit) for j in np.unique(label))
@@ -129,7 +154,7 @@ def accepted(found: dict[str, float], accept: str = "spread", spread_factor: flo
     return {"spread": spread, "gap": gap, "both": spread and gap, "always": True}[accept]
 
 
-def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int = 2000, method: str = "maxmin") -> tuple[np.ndarray, dict]:
+def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int | None = None, method: str = "maxmin") -> tuple[np.ndarray, dict]:
     """Clusters of one client's standardised rows, and a report. Of several thetas the accepted split with the largest gap ratio counts (then the fewer clusters)."""
     n, best = len(z), None
     report = {"n_rows": n, "n_clusters": 1, "accepted": False, "theta": None, "spread_ratio": None, "gap_ratio": None}

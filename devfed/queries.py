@@ -349,7 +349,7 @@ def _accept(what: str) -> Query:
         def one(own: pd.DataFrame) -> pd.DataFrame:
             z = own.sort_values(KEY, kind="stable")[FEW].to_numpy(float)
             label, centres = splitter.maxmin(z, 1e-9, 3)
-            found = splitter.figures(z, label, z[centres], limit=10**6)
+            found = splitter.figures(z, label, z[centres])
             return pd.DataFrame([{"client_id": own["client_id"].iloc[0], "ratio": found[f"{what}_ratio"], "accepted": splitter.accepted(found, what)}])
 
         return rows.groupBy("client_id").applyInPandas(one, "client_id int, ratio double, accepted boolean").withColumn("ratio", vec.tidy(F.col("ratio")))

@@ -60,6 +60,39 @@ def test_complete_linkage_and_best_theta():
     assert splitter.split_rows(rows, method="complete_linkage")[1]["n_clusters"] >= 1
 
 
+def test_all_rows_count_without_a_limit():
+    # what an evenly spaced sample of 2000 can't see: every second row lies far off
+    z = np.random.default_rng(3).normal(size=(3999, 3))
+    z[1::2] += 50
+    whole = np.mean([np.sqrt(((z - r) ** 2).sum(axis=1)).sum() / (len(z) - 1) for r in z])
+    assert splitter.mean_pairwise(z) == pytest.approx(whole)
+    assert splitter.mean_pairwise(z, block=700) == pytest.approx(whole)
+    assert splitter.mean_pairwise(z, 2000) < whole / 2
+    label = np.arange(len(z)) % 2
+    inner = max(splitter.mean_pairwise(z[label == j]) for j in (0, 1))
+    assert splitter.figures(z, label, z[:2])["spread_ratio"] == pytest.approx(inner / whole)
+
+
+def test_complete_linkage_takes_all_rows():
+    def greedy(z, clusters):
+        d, groups = np.sqrt(((z[:, None] - z[None]) ** 2).sum(axis=2)), [[k] for k in range(len(z))]
+        while len(groups) > clusters:
+            _, a, b = min((d[np.ix_(groups[a], groups[b])].max(), a, b) for a in range(len(groups)) for b in range(a))
+            groups[b] += groups.pop(a)
+        return {frozenset(g) for g in groups}
+
+    for seed in range(4):
+        z = np.random.default_rng(seed).normal(size=(40, 2))
+        label = splitter.complete_linkage(z, 5)
+        assert {frozenset(np.flatnonzero(label == j).tolist()) for j in set(label)} == greedy(z, 5)
+    # one far row that a sample would miss
+    z = np.random.default_rng(5).normal(size=(2501, 2))
+    z[4] = 1000
+    label = splitter.complete_linkage(z, 2)
+    assert (label == label[4]).sum() == 1
+    assert splitter.complete_linkage(np.zeros((4, 2)), 2).max() == 1
+
+
 def test_frame_and_kernel_agree_and_samples_nest(spark):
     r = np.random.default_rng(8)
     rows = [(int(i), int(i % 3), *map(float, v)) for i, v in enumerate(r.normal(size=(300, 2)))]
