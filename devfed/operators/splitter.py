@@ -154,14 +154,14 @@ def accepted(found: dict[str, float], accept: str = "spread", spread_factor: flo
     return {"spread": spread, "gap": gap, "both": spread and gap, "always": True}[accept]
 
 
-def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int | None = None, method: str = "maxmin") -> tuple[np.ndarray, dict]:
-    """Clusters of one client's standardised rows, and a report. Of several thetas the accepted split with the largest gap ratio counts (then the fewer clusters)."""
+def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int | None = None, method: str = "maxmin", cap: int | None = None) -> tuple[np.ndarray, dict]:
+    """Clusters of one client's standardised rows, and a report. cap bounds the centres in place of cap_divisor. Of several thetas the accepted split with the largest gap ratio counts (then the fewer clusters)."""
     n, best = len(z), None
     report = {"n_rows": n, "n_clusters": 1, "accepted": False, "theta": None, "spread_ratio": None, "gap_ratio": None}
     if n <= min_rows:
         return np.zeros(n, int), report
     for theta in thetas:
-        label, centres = maxmin(z, theta, cap_of(n, cap_divisor), growth, seed_rule)
+        label, centres = maxmin(z, theta, cap_of(n, cap_divisor) if cap is None else cap, growth, seed_rule)
         points = z[centres]
         if method == "complete_linkage":
             label = complete_linkage(z, len(centres))

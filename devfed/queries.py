@@ -20,6 +20,8 @@ from .streaming import activity as windows
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
+#: SQL over a part of the rows, with the condition of that part: the query itself takes all rows, and the part as an argument.
+PART_ORACLES: dict[str, tuple[str, str]] = {}
 
 FEW = workloads.FEW_FEATURES
 KEY = workloads.KEY
@@ -36,6 +38,14 @@ def query(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
     return add
 
 
+def in_part(name: str, oracle: str, part: str) -> Callable[[Query], Query]:
+    def add(f: Query) -> Query:
+        PART_ORACLES[name] = oracle, part
+        return query(name)(f)
+
+    return add
+
+
 def _base(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.late_shipment(spark, sf_dir, few=True)
 
@@ -278,48 +288,51 @@ query("deviation_merge_zero", sql.one_merge("proportional", zero=True))(_deviati
 # --- splitting --------------------------------------------------------------------------------------------------------
 
 
-def _own_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = partitioners.by_key_bucket(_base(spark, sf_dir).where("NOT is_test AND k1 % 5 = 0"), "k3", 10)
-    return features.standardize(rows, FEW, ["client_id"]).select(*KEY, "client_id", *FEW)
+def _trained(spark: SparkSession, sf_dir: str, part: str) -> DataFrame:
+    return partitioners.by_key_bucket(_base(spark, sf_dir).where(f"NOT is_test AND {part}"), "k3", 10)
+
 
+def _own_rows(spark: SparkSession, sf_dir: str, part: str) -> DataFrame:
+    return features.standardize(_trained(spark, sf_dir, part), FEW, ["client_id"]).select(*KEY, "client_id", *FEW)
 
+
+#: The part of the rows that the SQL of splitting reads.
+_FIFTH = "k1 % 5 = 0"
 _SPLIT, _LAST = sql.splitting()
 
 
-@query("maxmin_assign", f"{_SPLIT}\nSELECT k1, k2, k3, CAST(k4 AS INTEGER) AS k4, client_id, CAST(cluster_id AS INTEGER) AS cluster_id, {sql.tidy('nearest', 'nearest')} FROM {_LAST}")
-def maxmin_assign(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = splitter.maxmin_frame(_own_rows(spark, sf_dir), FEW, KEY, 4)
+@in_part("maxmin_assign", f"{_SPLIT}\nSELECT k1, k2, k3, CAST(k4 AS INTEGER) AS k4, client_id, CAST(cluster_id AS INTEGER) AS cluster_id, {sql.tidy('nearest', 'nearest')} FROM {_LAST}", _FIFTH)
+def maxmin_assign(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
+    found = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 4)
     return found.select("k1", "k2", "k3", F.col("k4").cast("int").alias("k4"), "client_id", "cluster_id", vec.tidy(F.col("nearest")).alias("nearest"))
 
 
 _GROWN, _GROWN_LAST = sql.splitting(4, 0.6)
 
 
-@query("maxmin_centers", f"{_GROWN}\nSELECT client_id, CAST(cluster_id AS INTEGER) AS cluster_id, count(*) AS n, {sql.tidy('max(nearest)', 'radius')} FROM {_GROWN_LAST} GROUP BY client_id, cluster_id")
-def maxmin_centers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = splitter.maxmin_frame(_own_rows(spark, sf_dir), FEW, KEY, 4, theta=0.6)
+@in_part("maxmin_centers", f"{_GROWN}\nSELECT client_id, CAST(cluster_id AS INTEGER) AS cluster_id, count(*) AS n, {sql.tidy('max(nearest)', 'radius')} FROM {_GROWN_LAST} GROUP BY client_id, cluster_id", _FIFTH)
+def maxmin_centers(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
+    found = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 4, theta=0.6)
     return found.groupBy("client_id", "cluster_id").agg(F.count("*").alias("n"), vec.tidy(F.max("nearest")).alias("radius"))
 
 
 _KERNEL_SQL = f"{_GROWN}\nSELECT client_id, count(*) AS n_rows, CAST(max(cluster_id) + 1 AS INTEGER) AS n_clusters FROM {_GROWN_LAST} GROUP BY client_id"
 
 
-@query("maxmin_kernel", _KERNEL_SQL)
-def maxmin_kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = partitioners.by_key_bucket(_base(spark, sf_dir).where("NOT is_test AND k1 % 5 = 0"), "k3", 10)
-    found = splitter.split_report(rows.select(*KEY, "client_id", *FEW), FEW, KEY, thetas=(0.6,), min_rows=1, cap_divisor=10**9, accept="always")
-    capped = rows.groupBy("client_id").agg(F.count("*").alias("n_rows"))
-    grown = splitter.maxmin_frame(_own_rows(spark, sf_dir), FEW, KEY, 4, theta=0.6).groupBy("client_id").agg((F.max("cluster_id") + 1).alias("n_clusters"))
-    return capped.join(grown, "client_id").join(found.select("client_id", F.col("n_rows").alias("kernel_rows")), "client_id").where("kernel_rows = n_rows").select("client_id", "n_rows", F.col("n_clusters").cast("int"))
+@in_part("maxmin_kernel", _KERNEL_SQL, _FIFTH)
+def maxmin_kernel(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
+    rows = _trained(spark, sf_dir, part).select(*KEY, "client_id", *FEW)
+    found = splitter.split_report(rows, FEW, KEY, thetas=(0.6,), min_rows=1, cap=4, accept="always", dist="centroid")
+    return found.select("client_id", "n_rows", "n_clusters")
 
 
 _SWEEP = f"{sql.splitting(2)[0]}, ranked AS (SELECT client_id, nearest, row_number() OVER (PARTITION BY client_id ORDER BY nearest DESC, k1, k2, k3, k4, k5) AS rank FROM s2) SELECT r.client_id, CAST(2 + count_if(rank <= 6 AND nearest > 0.6e0 * gap) AS BIGINT) AS centres FROM ranked r JOIN gap ON gap.client_id = r.client_id GROUP BY r.client_id"
 
 
-@query("maxmin_single_sweep", _SWEEP)
-def maxmin_single_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = splitter.maxmin_frame(_own_rows(spark, sf_dir), FEW, KEY, 2)
-    first = splitter.maxmin_frame(_own_rows(spark, sf_dir), FEW, KEY, 1).groupBy("client_id").agg(F.max("nearest").alias("gap"))
+@in_part("maxmin_single_sweep", _SWEEP, _FIFTH)
+def maxmin_single_sweep(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
+    rows = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 2)
+    first = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 1).groupBy("client_id").agg(F.max("nearest").alias("gap"))
     ranked = features.rank_in(rows, ["client_id"], [F.desc("nearest"), *KEY])
     return ranked.join(first, "client_id").groupBy("client_id").agg((F.count_if((F.col("rank") <= 6) & (F.col("nearest") > 0.6 * F.col("gap"))) + 2).alias("centres"))
 
@@ -341,10 +354,10 @@ def _accept_sql(what: str) -> str:
 
 
 def _accept(what: str) -> Query:
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    def run(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
         import pandas as pd
 
-        rows = _own_rows(spark, sf_dir).where("client_id < 3")
+        rows = _own_rows(spark, sf_dir, part)
 
         def one(own: pd.DataFrame) -> pd.DataFrame:
             z = own.sort_values(KEY, kind="stable")[FEW].to_numpy(float)
@@ -358,7 +371,7 @@ def _accept(what: str) -> Query:
 
 
 for _what in ("spread", "gap"):
-    query(f"split_accept_{_what}", _accept_sql(_what))(_accept(_what))
+    in_part(f"split_accept_{_what}", _accept_sql(_what), f"{_FIFTH} AND pmod(k3, 10) < 3")(_accept(_what))
 
 
 @query(

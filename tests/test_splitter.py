@@ -1,6 +1,7 @@
 import numpy as np
 import pytest
 
+from devfed import queries
 from devfed.operators import splitter
 
 
@@ -107,3 +108,43 @@ def test_frame_and_kernel_agree_and_samples_nest(spark):
     b = {x["k"] for x in splitter.stratified_sample(split, 0.5, key=["k"]).collect()}
     assert a < b
     assert splitter.report(split).first()["clients"] == 3
+
+
+@pytest.mark.parametrize("name", sorted(set(queries.PART_ORACLES) - {"maxmin_assign"}))
+def test_part_matches_sql(spark, sf_dir, name):
+    # maxmin_assign: see SKIPPED in test_oracles
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("lineitem", "orders", "supplier", "part", "customer", "nation", "region"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf_dir}/{t}.parquet'")
+    text, part = queries.PART_ORACLES[name]
+    found = con.execute(text)
+    df = queries.QUERIES[name](spark, sf_dir, part).select(*(d[0] for d in found.description))
+    tidy = lambda rows: sorted(tuple(f"{v:.5f}" if isinstance(v, float) else str(v) for v in r) for r in rows)
+    assert tidy(map(tuple, df.collect())) == tidy(found.fetchall())
+
+
+def test_splitter_queries_take_all_training_rows(spark, sf_dir):
+    rows = queries._trained(spark, sf_dir, "true").select("client_id", *queries.KEY, *queries.FEW).toPandas()
+    sizes = rows.groupby("client_id").size().to_dict()
+    assert len(sizes) == 10 and sum(sizes.values()) == queries._base(spark, sf_dir).where("NOT is_test").count()
+    run = lambda name: queries.QUERIES[name](spark, sf_dir).toPandas()
+    assert len(run("maxmin_assign")) == len(rows)
+    assert run("maxmin_centers").groupby("client_id")["n"].sum().to_dict() == sizes
+    kernel, sweep, spread, gap = (run(n).set_index("client_id") for n in ("maxmin_kernel", "maxmin_single_sweep", "split_accept_spread", "split_accept_gap"))
+    assert set(sizes) == set(sweep.index) == set(spread.index) == set(gap.index) and kernel["n_rows"].to_dict() == sizes
+    assert kernel["n_clusters"].to_dict() == run("maxmin_centers").groupby("client_id").size().to_dict()
+    for client, own in rows.sort_values(queries.KEY).groupby("client_id"):
+        x = own[queries.FEW].to_numpy(float)
+        z = (x - x.mean(axis=0)) / x.std(axis=0, ddof=1)
+        pairs = np.sqrt(((z[:, None] - z[None]) ** 2).sum(axis=2))
+        # the farthest row from all centres, by brute force
+        centres = [0]
+        while len(centres) < 4 and (len(centres) == 1 or pairs[centres].min(axis=0).max() > 0.6 * pairs[0].max()):
+            centres.append(int(pairs[centres].min(axis=0).argmax()))
+        assert kernel.loc[client, "n_clusters"] == len(centres)
+        label, three = splitter.maxmin(z, 1e-9, 3)
+        overall, mean = pairs.sum() / (len(z) * (len(z) - 1)), lambda d: d.sum() / max(1, len(d) * (len(d) - 1))  # noqa: B023
+        assert spread.loc[client, "ratio"] == pytest.approx(max(mean(pairs[np.ix_(label == j, label == j)]) for j in range(3)) / overall, abs=2e-6)
+        assert gap.loc[client, "ratio"] == pytest.approx(min(pairs[a, b] for a in three for b in three if a < b or a > b) / overall, abs=2e-6)
