@@ -57,6 +57,16 @@ def losses(pair: np.ndarray, history: np.ndarray, word: np.ndarray, n: float, v:
     return -np.log(np.where(known, weight * pair / np.maximum(history, 1) + (1 - weight) * single, single))
 
 
+def replies_of(place: np.ndarray, every: np.ndarray, some: np.ndarray, cuts: np.ndarray) -> list[bytes]:
+    """The whole table's two counts of the key at each place, deflated, for each chunk."""
+    sums = [np.bincount(place, x).astype(np.uint64) for x in (every, some)]
+    return [zlib.compress(b"".join(s[part].tobytes() for s in sums), 1) for part in np.split(place, cuts)]
+
+
+def counts_in(reply: bytes) -> np.ndarray:
+    return np.frombuffer(zlib.decompress(reply), np.uint64).reshape(2, -1)
+
+
 def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_col: str = "text", weight: float = LAMBDA, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
     """One row per row of ``docs``: the id, ``n_words``, ``target_loss``, ``background_loss`` (means per word) and ``score``, their difference. target_ids: one column of ids."""
     chunks, buckets = _sizes(docs, text_col, chunk_bytes)
@@ -107,10 +117,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         parts = [unpack(x) for x in table["data"].to_pylist()]
         values, every, some, kind = (np.concatenate([p[k] for p in parts]) for k in range(4))
         distinct_values, place = np.unique(values, return_inverse=True)
-        sums = [np.bincount(place, x, len(distinct_values)) for x in (every, some)]
-        cuts = np.cumsum([len(p[0]) for p in parts])[:-1]
-        replies = [np.minimum(s[place], 2**32 - 1).astype(np.uint32) for s in sums]
-        data = [zlib.compress(a.tobytes() + b.tobytes(), 1) for a, b in zip(np.split(replies[0], cuts), np.split(replies[1], cuts), strict=True)]
+        data = replies_of(place, every, some, np.cumsum([len(p[0]) for p in parts])[:-1])
         word = kind == 1
         is_word = np.zeros(len(distinct_values), bool)
         is_word[place[word]] = True
@@ -123,10 +130,10 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         values, place, _ = keys_of(t, word, pair)
         at = place[: len(word)], np.searchsorted(values, history), place[len(word) : 2 * len(word)]
         edges = np.searchsorted(_bucket(values, buckets), np.arange(buckets + 1))
-        counts = np.zeros((2, len(values)), np.uint32)
+        counts = np.zeros((2, len(values)), np.uint64)
         for bucket, data in zip(right["bucket"].to_pylist(), right["data"].to_pylist(), strict=True):
             if data is not None:
-                counts[:, edges[bucket] : edges[bucket + 1]] = np.frombuffer(zlib.decompress(data), np.uint32).reshape(2, -1)
+                counts[:, edges[bucket] : edges[bucket + 1]] = counts_in(data)
         means = []
         for row, n in ((1, n_target), (0, n_all)):
             of_word, of_history, of_pair = (counts[row][k].astype(float) for k in at)

@@ -189,6 +189,13 @@ def test_lm_scores(spark):
     assert lmscore.score(_docs(spark, rows).limit(0), target).count() == 0
 
 
+def test_lm_counts_beyond_32_bits():
+    # three chunks of keys 0 and 1, 1, 0
+    place, most = np.array([0, 1, 1, 0]), 2**32 - 1
+    replies = lmscore.replies_of(place, np.array([most, 5, most, most], np.uint32), np.array([3, 0, 0, most], np.uint32), np.array([2, 3]))
+    assert [lmscore.counts_in(x).tolist() for x in replies] == [[[2 * most, most + 5], [most + 3, 0]], [[most + 5], [0]], [[2 * most], [most + 3]]]
+
+
 def test_pipeline(spark, sf_dir):
     import corpus_pipeline
     from devfed.llm import quality
