@@ -90,10 +90,12 @@ def stability(history: DataFrame, metric: str, by: Sequence[str] = ("method",))
     return history.groupBy(*by).agg(F.stddev_samp(metric).alias("sd"), (F.percentile(metric, 0.75) - F.percentile(metric, 0.25)).alias("iqr"))
 
 
-def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray, vectors: np.ndarray, label: str = "label", intercept: bool = True, threshold: float = 0.5, bins: int = 1000) -> DataFrame:
-    """Confusion counts, indicators, KS and log loss of all rounds in one pass over the rows.
+def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray, vectors: np.ndarray, label: str = "label", intercept: bool = True, threshold: float = 0.5, bins: int | None = None) -> DataFrame:
+    """Confusion counts, indicators, KS and log loss of all rounds.
 
-    Each task keeps a histogram of scores by round and class, so KS has a resolution of 1 / bins; the counts at the threshold are exact.
+    KS is over all distinct margins, which order rows like their scores but don't saturate; it takes a second pass and a window of
+    one round's distinct margins. Only where the caller names bins, it comes from a histogram of scores by round and class in the first
+    pass, with a resolution of 1 / bins; the counts at the threshold are exact either way.
     """
     w = np.asarray(vectors, float)
     source = df.select(*(F.col(c).cast("double").alias(f"f{k}") for k, c in enumerate(features)), F.col(label).cast("double").alias("y"))
@@ -102,8 +104,8 @@ def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = len(w)
-        counts, hist, losses, seen = np.zeros((m, 4)), np.zeros((m, 2, bins)), np.zeros(m), 0
-        offset = np.arange(m) * bins
+        counts, hist, losses, seen = np.zeros((m, 4)), np.zeros((m, 2, bins or 0)), np.zeros(m), 0
+        offset = np.arange(m) * (bins or 0)
         for batch in batches:
             for part in (batch.slice(i, 2000) for i in range(0, len(batch), 2000)):
                 x = np.column_stack([c.to_numpy(zero_copy_only=False) for c in part.columns])
@@ -112,9 +114,10 @@ def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray,
                 p = 1 / (1 + np.exp(-np.clip(x @ w.T, -30, 30)))
                 hit = p >= threshold
                 counts += np.stack([(hit & y[:, None]).sum(0), (hit & ~y[:, None]).sum(0), (~hit & ~y[:, None]).sum(0), (~hit & y[:, None]).sum(0)], axis=1)
-                at = np.minimum((p * bins).astype(int), bins - 1) + offset
-                for k, rows in enumerate((~y, y)):
-                    hist[:, k] += np.bincount(at[rows].ravel(), minlength=m * bins).reshape(m, bins)
+                if bins:
+                    at = np.minimum((p * bins).astype(int), bins - 1) + offset
+                    for k, rows in enumerate((~y, y)):
+                        hist[:, k] += np.bincount(at[rows].ravel(), minlength=m * bins).reshape(m, bins)
                 losses -= np.log(np.where(y[:, None], p, 1 - p)).sum(0)
                 seen += len(y)
         if seen:
@@ -122,10 +125,24 @@ def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray,
                 r, k = np.nonzero(table)
                 yield pa.RecordBatch.from_arrays([pa.array(numbers[r]), pa.array([kind] * len(r), pa.string()), pa.array(k), pa.array(table[r, k].astype(float))], names)
 
+    def margins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in (batch.slice(i, 2000) for i in range(0, len(batch), 2000)):
+                x = [c.to_numpy(zero_copy_only=False) for c in part.columns]
+                y, x = x[-1] == 1, [np.ones(len(part)), *x[:-1]] if intercept else x[:-1]
+                # one product after the other, so that equal rows have equal margins in every batch
+                at = np.zeros((len(part), len(w)))
+                for k, column in enumerate(x):
+                    at += column[:, None] * w[:, k]
+                for r in range(len(w)):
+                    values, place = np.unique(at[:, r], return_inverse=True)
+                    p, n = np.bincount(place[y], minlength=len(values)), np.bincount(place[~y], minlength=len(values))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), numbers[r])), pa.array(values), pa.array(p.astype(float)), pa.array(n.astype(float))], ["round", "at", "p", "n"])
+
     cells = source.mapInArrow(run, "round long, kind string, at long, n double").groupBy("round", "kind", "at").agg(F.sum("n").alias("n"))
     cell = lambda k: F.coalesce(F.sum(F.when((F.col("kind") == "c") & (F.col("at") == k), F.col("n"))), F.lit(0.0)).cast("long")
     table = cells.groupBy("round").agg(cell(0).alias("tp"), cell(1).alias("fp"), cell(2).alias("tn"), cell(3).alias("fn"), F.sum(F.when(F.col("kind") == "l", F.col("n"))).alias("__loss"))
-    hists = cells.where("kind IN ('n', 'p')").groupBy("round", "at").agg(F.sum(F.when(F.col("kind") == "p", F.col("n")).otherwise(0.0)).alias("p"), F.sum(F.when(F.col("kind") == "n", F.col("n")).otherwise(0.0)).alias("n"))
+    hists = source.mapInArrow(margins, "round long, at double, p double, n double").groupBy("round", "at").agg(F.sum("p").alias("p"), F.sum("n").alias("n")) if bins is None else cells.where("kind IN ('n', 'p')").groupBy("round", "at").agg(F.sum(F.when(F.col("kind") == "p", F.col("n")).otherwise(0.0)).alias("p"), F.sum(F.when(F.col("kind") == "n", F.col("n")).otherwise(0.0)).alias("n"))
     down, whole = Window.partitionBy("round").orderBy(F.desc("at")), Window.partitionBy("round")
     gaps = hists.select("round", (F.sum("p").over(down) / F.sum("p").over(whole) - F.sum("n").over(down) / F.sum("n").over(whole)).alias("gap"))
     found = indicators(table).join(gaps.groupBy("round").agg(F.greatest(F.max("gap"), F.lit(0.0)).alias("ks")), "round", "left")

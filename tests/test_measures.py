@@ -86,3 +86,19 @@ def test_client_layout_reads_few_buckets(spark, tmp_path):
     df = spark.createDataFrame([(i % 20, float(i)) for i in range(200)], "client_id int, x double")
     tables.write_clients(df, str(tmp_path / "c"), buckets=8)
     assert tables.read_clients(spark, str(tmp_path / "c"), [3, 4], buckets=8).count() == 20
+
+
+def test_ks_of_rounds_counts_saturated_scores(spark):
+    r = np.random.default_rng(1)
+    x, noise = r.normal(size=400) * 50 + 100, r.normal(size=400) * 20
+    y = (x + noise > 100).astype(float)
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in zip(x, y, strict=True)] * 2, "x1 double, label double").repartition(3)
+    vectors = np.array([[0.0, 1.0], [500.0, 3.0], [0.0, -1.0], [0.0, 0.0]])
+    got = {q["round"]: q["ks"] for q in metrics.evaluate_rounds(df, ["x1"], np.arange(1, 5), vectors).collect()}
+    for k, (b, a) in enumerate(vectors, 1):
+        m = b + a * x
+        want = max(0.0, *((m[y == 1] >= t).mean() - (m[y == 0] >= t).mean() for t in m))
+        assert abs(got[k] - want) < 1e-12
+    # nearly all scores lie in the last of 1000 bins
+    binned = {q["round"]: q["ks"] for q in metrics.evaluate_rounds(df, ["x1"], np.arange(1, 5), vectors, bins=1000).collect()}
+    assert got[2] > 0.5 and binned[2] < 0.1
