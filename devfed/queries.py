@@ -653,21 +653,26 @@ def top_deviating(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("experiment_two_tier")
 def experiment_two_tier(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The method and the baseline on unscaled features, summaries across rounds (a few rounds; scripts/experiments.py runs all 400)."""
-    base = FedConfig(rounds=4)
+    """The method and the baseline on unscaled features, summaries across all 400 rounds."""
+    base = FedConfig()
     _, history = workloads.late_shipment_run(spark, sf_dir, {"sda": base, "fedavg": base.fedavg()}, k=100, scale="none")
     return workloads.summary(history)
 
 
 @query("experiment_three_tier")
 def experiment_three_tier(spark: SparkSession, sf_dir: str) -> DataFrame:
-    base = FedConfig(rounds=4)
+    base = FedConfig()
     _, history = workloads.late_shipment_run(spark, sf_dir, {"sda_3t": base, "fedavg_3t": base.fedavg()}, k=100, q=5, scale="none")
     return workloads.summary(history)
 
 
 @query("ablation_grid")
 def ablation_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every rule with and without splitting under strong skew: final indicators."""
-    _, history = workloads.late_shipment_run(spark, sf_dir, baselines.ablations(FedConfig(rounds=3)), scheme="range", k=20)
-    return history.where("round = 3").select("method", "accuracy", "recall", "f1", "ks", "logloss")
+    """Every rule, at all tiers and at each alone, with and without splitting, under every partition and with two and three tiers: final indicators."""
+    base, found = FedConfig(), None
+    for scheme in workloads.SCHEMES:
+        for tiers in (2, 3):
+            _, history = workloads.late_shipment_run(spark, sf_dir, baselines.tier_ablations(base, tiers == 3), scheme=scheme, k=20, q=5 if tiers == 3 else None)
+            last = history.where(F.col("round") == base.rounds).select(F.lit(scheme).alias("scheme"), F.lit(tiers).alias("tiers"), "method", "accuracy", "recall", "f1", "ks", "logloss")
+            found = last if found is None else found.unionByName(last)
+    return found

@@ -103,3 +103,27 @@ def test_local_only_and_client_rounds(held):
     assert len(alone) == 6
     assert rounds.train(held, 3, FedConfig(rounds=1, epochs=1, client_rounds=3)).weights.shape == (3,)
     assert set(baselines.ablations(FedConfig())) >= {"neither", "split_only", "both_inverse"}
+
+
+def test_experiments_are_registered_in_full(spark, monkeypatch):
+    from devfed import queries
+    from devfed.plans import workloads
+
+    runs = []
+
+    def run(spark, sf_dir, configs, scheme="attribute", k=100, q=None, scale="global", **_):
+        runs.append((scheme, q, configs))
+        rows = [(m, c.rounds, *[0.5] * 6) for m, c in configs.items()]
+        return {}, spark.createDataFrame(rows, "method string, round long, accuracy double, precision double, recall double, f1 double, ks double, logloss double")
+
+    monkeypatch.setattr(workloads, "late_shipment_run", run)
+    for name in ("experiment_two_tier", "experiment_three_tier"):
+        assert queries.QUERIES[name](spark, "").count() > 0
+    grid = queries.QUERIES["ablation_grid"](spark, "")
+    assert {c.rounds for _, _, configs in runs for c in configs.values()} == {400}
+    assert {(s, q) for s, q, _ in runs[2:]} == {(s, q) for s in workloads.SCHEMES for q in (None, 5)}
+    assert grid.count() == grid.select("scheme", "tiers", "method").distinct().count() == sum(len(configs) for _, _, configs in runs[2:])
+    three = next(configs for _, q, configs in runs[2:] if q == 5)
+    assert {(c.client_rule, c.subserver_rule, c.server_rule) for c in three.values()} >= {tuple(r if k == t else "samples" for k in range(3)) for r in ("proportional", "inverse", "complement", "uniform") for t in range(3)}
+    # with and without splitting, where a rule at that tier alone can act
+    assert {c.split for c in three.values() if (c.client_rule, c.server_rule) == ("samples", "inverse")} == {True, False}
