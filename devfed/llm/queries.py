@@ -55,7 +55,8 @@ def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     target = _table(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
-    return lmscore.score(_table(spark, sf_dir, "documents"), target)
+    found = lmscore.score(_table(spark, sf_dir, "documents"), target)
+    return found.select("doc_id", "n_words", *((F.round(c, 6) + F.lit(0.0)).alias(c) for c in ("target_loss", "background_loss", "score")))
 
 
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -73,5 +74,6 @@ ORACLES: dict[str, str] = {
     "op4_near_dedup": sqltext.near_dedup(),
     "op5_url_filter": sqltext.url_filter(),
     "op7_substring_dedup": sqltext.substring_dedup(),
+    "op8_lm_scoring": sqltext.lm_scoring(),
     "op10_quality_rules": sqltext.quality_rules(),
 }

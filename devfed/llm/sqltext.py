@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import neardup, quality, substring, urlfilter
+from . import lmscore, neardup, quality, substring, urlfilter
 
 WORD = r"[^\x20\x09-\x0D]+"
 _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
@@ -65,18 +65,19 @@ FROM d LEFT JOIN sizes ON d.doc_id = sizes.doc_id JOIN (SELECT a, min(b) AS comp
 def url_filter() -> str:
     host = lambda u: f"translate(regexp_extract(coalesce({u}, ''), '(?s)^.*?://([^/?#]*)', 1), '{urlfilter.UPPER}', '{urlfilter.LOWER}')"
     rules = ", ".join(f"('{r.text}', '{r.host}', '{r.path}', {str(r.block).upper()})" for r in urlfilter.RULES)
-    d, scale, ctes = urlfilter.DAMPING, urlfilter.SCALE, []
-    for name, flow in (("good", ("src", "dst")), ("bad", ("dst", "src"))):
-        a, b = flow
-        ctes.append(f"{name}_0 AS MATERIALIZED (SELECT host, CAST({name} AS HUGEINT) * {scale} // greatest((SELECT sum({name}) FROM seeds), 1) AS mass FROM seeds WHERE {name} > 0)")
+    d, ctes = urlfilter.DAMPING, []
+    for name, (a, b) in (("good", ("src", "dst")), ("bad", ("dst", "src"))):
         ctes.append(f"{name}_out AS MATERIALIZED (SELECT {a} AS h, sum(n) AS total FROM edges GROUP BY {a})")
-        for k in range(urlfilter.ROUNDS):
-            passed = f"SELECT e.{b}, m.mass * {d} * e.n // (100 * o.total) FROM {name}_{k} m JOIN edges e ON e.{a} = m.host JOIN {name}_out o ON o.h = m.host"
-            ctes.append(f"{name}_{k + 1} AS MATERIALIZED (SELECT host, sum(mass) AS mass FROM (SELECT host, mass * {100 - d} // 100 AS mass FROM {name}_0 UNION ALL {passed}) GROUP BY host)")
-    last = urlfilter.ROUNDS
+        passed = f"m.fresh * {d} * e.n // (100 * o.total)"
+        # whole parts of a page's mass run out, and the recursion with them
+        ctes.append(
+            f"{name}_steps AS (SELECT 0 AS step, host, CAST({name} AS HUGEINT) * {urlfilter.PAGE} * {100 - d} // 100 AS fresh FROM seeds WHERE {name} > 0 "
+            f"UNION ALL SELECT step + 1, e.{b}, CAST(sum({passed}) AS HUGEINT) FROM {name}_steps m JOIN edges e ON e.{a} = m.host JOIN {name}_out o ON o.h = m.host GROUP BY step, e.{b} HAVING sum({passed}) > 0)"
+        )
+        ctes.append(f"{name} AS (SELECT host, CAST(sum(fresh) AS HUGEINT) AS mass FROM {name}_steps GROUP BY host)")
     link = r"""(?i)<a\b[^>]*?\bhref\s*=\s*["'']?\s*([a-z][a-z0-9+.-]*://[^/?#"''\s>]*)"""
     return f"""
-WITH p AS MATERIALIZED (SELECT page_id, {host("url")} AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path, coalesce(html, '') AS html FROM pages),
+WITH RECURSIVE p AS MATERIALIZED (SELECT page_id, {host("url")} AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path, coalesce(html, '') AS html FROM pages),
 rules AS (SELECT * FROM (VALUES {rules}) t(rule, h, start, block)),
 judged AS MATERIALIZED (SELECT p.page_id, p.host, p.path, arg_max(rule, length(rule)) AS rule, arg_max(block, length(rule)) AS block
   FROM p LEFT JOIN rules ON (p.host = h OR ends_with(p.host, '.' || h)) AND starts_with(p.path, start) GROUP BY p.page_id, p.host, p.path),
@@ -84,5 +85,27 @@ seeds AS MATERIALIZED (SELECT host, count_if(NOT block) AS good, count_if(block)
 links AS (SELECT host AS src, unnest(regexp_extract_all(html, '{link}', 1)) AS link FROM p),
 edges AS MATERIALIZED (SELECT src, dst, count(*) AS n FROM (SELECT src, {host("link")} AS dst FROM links) WHERE src <> '' AND dst <> '' AND src <> dst GROUP BY src, dst),
 {", ".join(ctes)}
-SELECT j.page_id, j.host, j.path, j.rule, CASE WHEN coalesce(block, coalesce(b.mass, 0) > coalesce(g.mass, 0) AND coalesce(b.mass, 0) >= {urlfilter.THRESHOLD}) THEN 'block' ELSE 'allow' END AS verdict
-FROM judged j LEFT JOIN good_{last} g ON g.host = j.host LEFT JOIN bad_{last} b ON b.host = j.host"""
+SELECT j.page_id, j.host, j.path, j.rule, CASE WHEN coalesce(block, coalesce(b.mass, 0) * greatest(all_good, 1) > coalesce(g.mass, 0) * greatest(all_bad, 1)) THEN 'block' ELSE 'allow' END AS verdict
+FROM judged j CROSS JOIN (SELECT coalesce(sum(good), 0) AS all_good, coalesce(sum(bad), 0) AS all_bad FROM seeds) LEFT JOIN good g ON g.host = j.host LEFT JOIN bad b ON b.host = j.host"""
+
+
+def lm_scoring() -> str:
+    """A space, which no word holds, is the start mark as a history and the end mark as a word."""
+    weight = lmscore.LAMBDA
+
+    def loss(n: str, left: str) -> str:
+        single = f"(c.{n} - {left} * own_word + 1.0e0) / (n_{n} - {left} * events + vocabulary)"
+        known = f"h.{n} - {left} * own_history"
+        return f"-ln(CASE WHEN {known} > 0 THEN {weight}e0 * (p.{n} - {left} * own_pair) / CAST({known} AS DOUBLE) + {1 - weight!r}e0 * {single} ELSE {single} END)"
+
+    return f"""
+WITH d AS MATERIALIZED (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '{WORD}') AS w, CASE WHEN doc_id IN (SELECT doc_id FROM labels WHERE quality = 1) THEN 1 ELSE 0 END AS member FROM documents),
+e AS MATERIALIZED (SELECT doc_id, member, unnest(list_prepend(' ', w)) AS v, unnest(list_append(w, ' ')) AS w FROM d WHERE len(w) > 0),
+c AS MATERIALIZED (SELECT w, count(*) AS whole, sum(member) AS chosen FROM e GROUP BY w),
+h AS MATERIALIZED (SELECT v, count(*) AS whole, sum(member) AS chosen FROM e GROUP BY v),
+p AS MATERIALIZED (SELECT v, w, count(*) AS whole, sum(member) AS chosen FROM e GROUP BY v, w),
+totals AS (SELECT sum(whole) AS n_whole, sum(chosen) AS n_chosen, count(*) AS vocabulary FROM c),
+x AS (SELECT *, count(*) OVER (PARTITION BY doc_id, v, w) AS own_pair, count(*) OVER (PARTITION BY doc_id, v) AS own_history, count(*) OVER (PARTITION BY doc_id, w) AS own_word, count(*) OVER (PARTITION BY doc_id) AS events FROM e),
+l AS (SELECT doc_id, avg({loss("chosen", "member")}) AS target_loss, avg({loss("whole", "1")}) AS background_loss
+  FROM x JOIN c ON x.w = c.w JOIN h ON x.v = h.v JOIN p ON x.v = p.v AND x.w = p.w CROSS JOIN totals GROUP BY doc_id)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, round(target_loss, 6) + 0.0e0 AS target_loss, round(background_loss, 6) + 0.0e0 AS background_loss, round(target_loss - background_loss, 6) + 0.0e0 AS score FROM d LEFT JOIN l ON d.doc_id = l.doc_id"""

@@ -40,8 +40,9 @@ from pyspark.sql import functions as F
 from . import textnp
 
 WINDOW = 13
-#: Text in a chunk, and text whose windows make a bucket (about), in bytes.
-CHUNK_BYTES, BUCKET_BYTES = 4 << 20, 16 << 20
+#: Text in a chunk, and text whose windows make a bucket (about), in bytes, for tables of up to GROW_BYTES. Beyond, both grow with the
+#: square root of the table's bytes, so that the blobs, one from each chunk to each bucket at most, grow as the table does.
+CHUNK_BYTES, BUCKET_BYTES, GROW_BYTES = 4 << 20, 16 << 20, 256 << 30
 
 _LARGEST = np.iinfo(np.int64).max
 
@@ -124,14 +125,18 @@ def _smaller_elsewhere(data: list[bytes]) -> list[np.ndarray]:
     return np.split(overall[place] < least, np.cumsum([len(p) // 2 for p in parts])[:-1])
 
 
-def _sizes(docs: DataFrame, text_col: str, chunk_bytes: int) -> tuple[int, int]:
-    """Numbers of chunks and of buckets: by the texts' bytes, and enough for the tasks. Small tables get fewer buckets than tasks, as every chunk may send a blob to each."""
+def sizes(total: float, tasks: int, chunk_bytes: int | None = None) -> tuple[int, int]:
+    """Numbers of chunks and of buckets for so many bytes. Small tables get fewer buckets than tasks, as every chunk may send a blob to each."""
+    grown = max(1.0, math.sqrt(total / GROW_BYTES))
+    return max(math.ceil(total / (chunk_bytes or CHUNK_BYTES * grown)), tasks), max(math.ceil(total / (BUCKET_BYTES * grown)), math.ceil(tasks / 4))
+
+
+def _sizes(docs: DataFrame, text_col: str, chunk_bytes: int | None) -> tuple[int, int]:
     total = docs.select(F.sum(F.octet_length(text_col).cast("double"))).first()[0] or 0
-    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return max(math.ceil(total / chunk_bytes), tasks), max(math.ceil(total / BUCKET_BYTES), math.ceil(tasks / 4))
+    return sizes(total, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), chunk_bytes)
 
 
-def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], window: int, chunk_bytes: int, finish: Callable[[_Chunk, np.ndarray, pa.Table], pa.Table], schema: str) -> DataFrame:
+def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], window: int, chunk_bytes: int | None, finish: Callable[[_Chunk, np.ndarray, pa.Table], pa.Table], schema: str) -> DataFrame:
     """finish gets a chunk, flags of its words to remove, and its rows (i, t, and carry as c0, c1, ...)."""
     chunks, buckets = _sizes(docs, text_col, chunk_bytes)
     texts = docs.select(
@@ -238,7 +243,7 @@ def intervals(texts: textnp.Texts, removed: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(offsets), pa.StructArray.from_arrays([pa.array(begin - base), pa.array(end - base)], ["begin", "end"]))
 
 
-def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
+def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, chunk_bytes: int | None = None) -> DataFrame:
     """One row per row of ``docs``: its id, ``n_words``, ``n_removed``, ``removed`` (maximal intervals of word numbers) and ``kept`` (the kept words joined by one space)."""
 
     def finish(chunk: _Chunk, removed: np.ndarray, table: pa.Table) -> pa.Table:
@@ -249,7 +254,7 @@ def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", win
     return _exchange(docs, id_col, text_col, [], window, chunk_bytes, finish, f"`{id_col}` long, n_words long, n_removed long, removed array<struct<begin: long, end: long>>, kept string")
 
 
-def remove(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length_col: str | None = "n_chars", window: int = WINDOW, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
+def remove(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length_col: str | None = "n_chars", window: int = WINDOW, chunk_bytes: int | None = None) -> DataFrame:
     """``docs`` with the removed words cut out of its texts, each with the white space after it. length_col, if it is there, gets the new code points where a text has changed."""
     names = docs.columns
     at, length = names.index(text_col), names.index(length_col) if length_col in names else -1

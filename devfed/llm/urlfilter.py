@@ -31,8 +31,6 @@ from .graph import checkpointed
 
 #: Share of mass passed on in percent, parts of a page's mass, steps between checkpoints.
 DAMPING, PAGE, STEPS = 85, 10**12, 4
-#: Of the comparison SQL only: the rounds it unrolls, the parts of a whole seed vector, the least distrust it blocks at.
-ROUNDS, SCALE, THRESHOLD = 4, 10**12, 10**4
 
 
 @dataclass(frozen=True)

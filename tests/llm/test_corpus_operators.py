@@ -7,6 +7,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from devfed.llm import graph, lmscore, neardup, packing, queries, substring
 
@@ -149,44 +150,74 @@ def test_substring_odd_tables(spark):
     assert substring.measure(rows.limit(0)).count() == 0 and substring.remove(rows.limit(0)).count() == 0
 
 
-def test_lm_scores(spark):
+@pytest.mark.parametrize(("kind", "hot"), [("long", False), ("long", True), ("string", False)])
+def test_lm_scores(spark, monkeypatch, kind, hot):
     r = random.Random(8)
     rows = [(i, " ".join(r.choice("abcdefgh" if i % 2 else "hijklmno") for _ in range(r.randint(0, 25)))) for i in range(30)] + [(90, None), (None, "a b")]
-    target = spark.createDataFrame([(i,) for i in range(0, 30, 4)] + [(None,)], "x long")
+    # one id with most of the text, in rows of its own, some of them equal
+    rows += [(4, "k l m " * (k % 5)) for k in range(60)] if hot else []
+    chosen = {i for i in range(0, 30, 4)}
+    target = spark.createDataFrame([(i,) for i in sorted(chosen)] + [(None,)], "x long")
     words = {k: WORD.findall(t or "") for k, (_, t) in enumerate(rows)}
 
     def counts(which):
         c, h, p = Counter(), Counter(), Counter()
         for k in which:
-            before = None
-            h[None] += bool(words[k])
-            for w in words[k]:
+            before = "<"
+            for w in [*words[k], ">"] if words[k] else []:
                 c[w] += 1
-                h[w] += 1
+                h[before] += 1
                 p[before, w] += 1
                 before = w
         return c, h, p
 
-    every, some = counts(words), counts([k for k, (i, _) in enumerate(rows) if i is not None and i % 4 == 0 and i < 30])
+    members = [k for k, (i, _) in enumerate(rows) if i in chosen]
+    every, some = counts(words), counts(members)
 
-    def loss(m, w):
-        c, h, p = m
-        n, before, out = sum(c.values()), None, 0.0
+    def loss(m, k, left_out):
+        c, h, p = (x - y if left_out else x for x, y in zip(m, counts([k]), strict=True))
+        n, before, out, w = sum(c.values()), "<", 0.0, [*words[k], ">"]
         for x in w:
             single = (c[x] + 1) / (n + len(every[0]))
             out -= math.log(lmscore.LAMBDA * p[before, x] / h[before] + (1 - lmscore.LAMBDA) * single if h[before] else single)
             before = x
         return out / len(w)
 
-    got = {x["doc_id"]: x for x in lmscore.score(_docs(spark, rows), target, chunk_bytes=300).collect()}
-    assert len(got) == len(rows)
+    docs = _docs(spark, rows).withColumn("doc_id", F.col("doc_id").cast(kind))
+    got = lmscore.score(docs, target, chunk_bytes=300)
+    assert got.schema["doc_id"].dataType.simpleString() == docs.schema["doc_id"].dataType.simpleString()
+    tidy = lambda x: None if x is None else round(x, 9)
+    want = Counter()
     for k, (i, _) in enumerate(rows):
-        if words[k]:
-            assert got[i]["target_loss"] == pytest.approx(loss(some, words[k])) and got[i]["background_loss"] == pytest.approx(loss(every, words[k]))
-            assert got[i]["score"] == pytest.approx(got[i]["target_loss"] - got[i]["background_loss"])
-        else:
-            assert got[i]["score"] is None and got[i]["n_words"] == 0
-    assert lmscore.score(_docs(spark, rows).limit(0), target).count() == 0
+        a, b = (loss(some, k, i in chosen), loss(every, k, True)) if words[k] else (None, None)
+        want[None if i is None else str(i), len(words[k]), tidy(a), tidy(b)] += 1
+    assert Counter((None if x["doc_id"] is None else str(x["doc_id"]), x["n_words"], tidy(x["target_loss"]), tidy(x["background_loss"])) for x in got.collect()) == want
+    assert lmscore.score(docs.limit(0), target).count() == 0
+    if hot:
+        monkeypatch.setattr(lmscore, "HOT_IDS", 0)
+        assert lmscore.score(docs, target, chunk_bytes=300).count() == len(rows)
+
+
+def test_lm_scores_without_words_and_of_a_whole_model(spark):
+    target = spark.createDataFrame([(1,)], "x long")
+    rows = lmscore.score(_docs(spark, [(1, None), (2, ""), (None, " \n"), (1, " ")]), target).collect()
+    assert len(rows) == 4 and all(r["n_words"] == 0 and r["score"] is None and r["background_loss"] is None for r in rows)
+    # after each word all probabilities add up to one
+    pair, history, word = np.array([3.0, 1.0, 0.0]), np.full(3, 4.0), np.array([5.0, 2.0, 3.0])
+    assert np.exp(-lmscore.losses(pair, history, word, 10.0, 3.0)).sum() == pytest.approx(1.0)
+
+
+def test_hashes_travel_whole():
+    r = np.random.default_rng(3)
+    for values in (np.unique(r.integers(0, 2**64, 5000, dtype=np.uint64)), np.array([0, 2**64 - 1], np.uint64), np.zeros(0, np.uint64)):
+        a, b = np.arange(len(values), dtype=np.uint32), np.arange(len(values), dtype=np.uint8)
+        back = lmscore.unpacked(lmscore.packed(values, a, a, b))
+        assert all((x == y).all() for x, y in zip(back, (values, a, a, b), strict=True))
+
+
+def test_blobs_grow_as_the_table_does():
+    (a, b), (c, d) = substring.sizes(1e12, 1000), substring.sizes(1e14, 1000)
+    assert 90 < c * d / (a * b) < 110 and substring.sizes(1e6, 8) == (8, 2) and substring.sizes(1e6, 8, 1000)[0] == 1000
 
 
 def test_lm_counts_beyond_32_bits():
@@ -223,7 +254,7 @@ def test_queries_match_sql(spark, sf_dir):
     import duckdb
 
     con = duckdb.connect()
-    for name in ("documents", "pages"):
+    for name in ("documents", "pages", "labels"):
         con.execute(f"CREATE VIEW {name} AS SELECT * FROM '{sf_dir}/{name}.parquet'")
     for name, text in queries.ORACLES.items():
         df, found = queries.QUERIES[name](spark, sf_dir), con.execute(text)

@@ -6,11 +6,12 @@ import re
 import zlib
 from collections import Counter
 
+import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
 
-from devfed.llm import bpe, fingerprint, gbt, htmltext, packing, quality, textnp, tokencount, urlfilter
+from devfed.llm import bpe, fingerprint, gbt, htmltext, packing, quality, queries, textnp, tokencount, urlfilter
 
 tokenizers = pytest.importorskip("public_tokenizers")
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -247,7 +248,7 @@ def test_html_texts(spark, trees):
 def test_urls(spark):
     rules = {"http://A.Example.com/en/7/x?q#y": ("a.example.com", "/en/7/x", "example.com/en/7", "allow"), "https://notexample.com/en/7": ("notexample.com", "/en/7", "com/en/", "block"), "x://example.net/de/8": ("example.net", "/de/8", "example.net/de/8", "block"), "x://m.example.net/de/9": ("m.example.net", "/de/9", "net/de/", "allow"), "x://h?z/en/": ("h", "", None, "allow"), "no scheme": ("", "", None, "allow")}
     rows = [(k, u, "") for k, u in enumerate(rules)] + [(90, None, None), (91, "http://bad.example.org/es/1", '<a href="http://good.example.org/x">'), (92, "http://bad.example.org/fr/1", None), (93, "http://farm.example.info/", '<a class=x HREF="http://bad.example.org/es/2">'), (94, "http://good.example.org/fr/", None)]
-    df = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 AS host", "2 AS verdict").drop("host", "verdict")
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 AS host", "2 AS verdict", "3 AS src", "4 AS trust", "5 AS rule")
     got = {r["page_id"]: r for r in urlfilter.judge(df).collect()}
     assert len(got) == len(rows)
     for k, (host, path, rule, verdict) in enumerate(rules.values()):
@@ -294,6 +295,21 @@ def test_verdicts_do_not_depend_on_the_size_of_the_table(spark):
     assert {r["host"] for r in found.collect()} == want | {f"m{k}.test" for k in range(60)}
 
 
+def test_sql_passes_mass_on_until_it_runs_out(spark, tmp_path):
+    r = random.Random(11)
+    rows = [(k, f"http://h{r.randint(0, 40)}.example.{r.choice(['com/en/1', 'com/fr/2', 'net/de/3', 'net/de/8', 'org/es/4', 'org/fr/5', 'info/x'])}", "".join(f'<a href="http://h{r.randint(0, 40)}.example.{r.choice(["com", "net", "org", "info"])}/">' for _ in range(r.randint(0, 2)))) for k in range(150)]
+    rows += [(1000 + k, f"http://c{k}.example.info/", f'<a href="http://c{k + 1}.example.info/">') for k in range(12)] + [(1012, "http://c12.example.info/", '<a href="http://c12.example.com/">'), (1013, "http://c12.example.com/en/1", None)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW pages AS SELECT * FROM '{tmp_path}/pages.parquet/*.parquet'")
+    want = con.execute(queries.ORACLES["op5_url_filter"]).fetchall()
+    got = [tuple(x) for x in queries.op5_url_filter(spark, str(tmp_path)).collect()]
+    assert sorted(map(str, got)) == sorted(map(str, want))
+    verdicts = {x[0]: x[4] for x in got}
+    # distrust goes back along the whole chain
+    assert all(verdicts[1000 + k] == "block" for k in range(12)) and set(verdicts.values()) == {"allow", "block"}
+
+
 def test_mass_is_that_of_the_linear_system(spark):
     names = "abcdef"
     links = [("a", "b", 3), ("a", "c", 1), ("b", "a", 2), ("b", "d", 2), ("c", "a", 1), ("d", "e", 1), ("e", "f", 1), ("f", "c", 1), ("f", "e", 4)]
