@@ -38,21 +38,21 @@ def _shuffled(n: int, seed: int, epoch: int) -> np.ndarray:
     return np.random.default_rng((seed, epoch)).permutation(n)
 
 
-def sgd(x: np.ndarray, y: np.ndarray, w: Sequence[float], epochs: int, lr: float, batch: int | None = None, seed: int = 0, loss: str = "logistic") -> np.ndarray:
-    """Epochs of descent over one cluster's rows, from w: whole, or in batches of a size (the last may be short)."""
+def sgd(x: np.ndarray, y: np.ndarray, w: Sequence[float], epochs: int, lr: float, batch: int | None = None, seed: int = 0, loss: str = "logistic", shuffle: bool = True) -> np.ndarray:
+    """Epochs of descent over one cluster's rows, from w: whole, or in batches of a size (the last may be short), shuffled or as the rows lie."""
     w = np.array(w, float)
     for epoch in range(epochs):
         if batch is None or batch >= len(y):
             w -= lr * gradient(x, y, w, loss)
             continue
-        order = _shuffled(len(y), seed, epoch)
+        order = _shuffled(len(y), seed, epoch) if shuffle else np.arange(len(y))
         for i in range(0, len(y), batch):
             rows = order[i : i + batch]
             w -= lr * gradient(x[rows], y[rows], w, loss)
     return w
 
 
-def sgd_stream(blocks: Sequence[tuple[np.ndarray, np.ndarray]] | Iterable, w: Sequence[float], epochs: int, lr: float, batch: int | None = None, seed: int = 0, loss: str = "logistic") -> np.ndarray:
+def sgd_stream(blocks: Sequence[tuple[np.ndarray, np.ndarray]] | Iterable, w: Sequence[float], epochs: int, lr: float, batch: int | None = None, seed: int = 0, loss: str = "logistic", shuffle: bool = True) -> np.ndarray:
     """The same over a cluster's blocks without joining them: whole epochs add up the blocks' gradients; batches don't cross blocks."""
     w, blocks = np.array(w, float), list(blocks)
     n = sum(len(y) for _, y in blocks)
@@ -61,7 +61,7 @@ def sgd_stream(blocks: Sequence[tuple[np.ndarray, np.ndarray]] | Iterable, w: Se
             w -= lr * sum(gradient(x, y, w, loss) * (len(y) / n) for x, y in blocks)
             continue
         for k, (x, y) in enumerate(blocks):
-            order = _shuffled(len(y), seed + 7919 * k, epoch)
+            order = _shuffled(len(y), seed + 7919 * k, epoch) if shuffle else np.arange(len(y))
             for i in range(0, len(y), batch):
                 rows = order[i : i + batch]
                 w -= lr * gradient(x[rows], y[rows], w, loss)

@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..sources.checkpoints import materialised
+
 INDICATORS = ("accuracy", "precision", "recall", "f1", "ks")
 
 
@@ -90,60 +92,107 @@ def stability(history: DataFrame, metric: str, by: Sequence[str] = ("method",))
     return history.groupBy(*by).agg(F.stddev_samp(metric).alias("sd"), (F.percentile(metric, 0.75) - F.percentile(metric, 0.25)).alias("iqr"))
 
 
-def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray, vectors: np.ndarray, label: str = "label", intercept: bool = True, threshold: float = 0.5, bins: int | None = None) -> DataFrame:
-    """Confusion counts, indicators, KS and log loss of all rounds.
+#: Bits of a margin's order that make its bin: sign, exponent and six of the mantissa. Cells of rounds and bins that a task holds before it adds up equal ones.
+BIN_BITS, HELD_CELLS = 18, 4_000_000
+
+
+def _order(margins: np.ndarray) -> np.ndarray:
+    """Integers in the order of the margins."""
+    bits = (margins + 0.0).view(np.int64)
+    return np.where(bits < 0, ~(bits & np.int64(2**63 - 1)), bits)
+
 
-    KS is over all distinct margins, which order rows like their scores but don't saturate; it takes a second pass and a window of
-    one round's distinct margins. Only where the caller names bins, it comes from a histogram of scores by round and class in the first
-    pass, with a resolution of 1 / bins; the counts at the threshold are exact either way.
+def _margins(part: pa.RecordBatch, w: np.ndarray, intercept: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Labels, and a column of margins for each vector; one product after the other, so that equal rows have equal margins in every batch."""
+    x = [c.to_numpy(zero_copy_only=False) for c in part.columns]
+    at = np.zeros((len(part), len(w)))
+    for k, column in enumerate([np.ones(len(part)), *x[:-1]] if intercept else x[:-1]):
+        at += column[:, None] * w[:, k]
+    return x[-1] == 1, at
+
+
+def evaluate_rounds(df: DataFrame, features: Sequence[str], rounds: np.ndarray, vectors: np.ndarray, label: str = "label", intercept: bool = True, threshold: float = 0.5) -> DataFrame:
+    """Confusion counts, indicators, KS and log loss of all rounds, exact, in two passes over the rows.
+
+    KS is over all distinct margins, which order rows like their scores but don't saturate. The first pass counts rows by class
+    and bin of margins (BIN_BITS of their order, so few bins hold any). KS is at least its value at the edges of bins, and
+    inside a bin it can't exceed the value at the upper edge plus the bin's share of the positives; the second pass takes the distinct
+    margins of those bins alone that may hold more than the best edge.
     """
     w = np.asarray(vectors, float)
     source = df.select(*(F.col(c).cast("double").alias(f"f{k}") for k, c in enumerate(features)), F.col(label).cast("double").alias("y"))
-    numbers = np.asarray(rounds, int)
-    names = ["round", "kind", "at", "n"]
+    numbers, bits, most = np.asarray(rounds, int), BIN_BITS, HELD_CELLS
+    shift = 64 - bits
+    names = ["round", "kind", "at", "n", "p"]
+
+    def sums(r: np.ndarray, kind: str, at: np.ndarray, n: np.ndarray, p: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(numbers[r]), pa.array([kind] * len(r), pa.string()), pa.array(at.astype(np.int64)), pa.array(n.astype(float)), pa.array(p.astype(float))], names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = len(w)
-        counts, hist, losses, seen = np.zeros((m, 4)), np.zeros((m, 2, bins or 0)), np.zeros(m), 0
-        offset = np.arange(m) * (bins or 0)
+        counts, losses, seen, held = np.zeros((len(w), 4)), np.zeros(len(w)), 0, [np.zeros((3, 0), np.int64)]
+
+        def merged() -> np.ndarray:
+            cell, n, p = np.concatenate(held, axis=1)
+            cell, place = np.unique(cell, return_inverse=True)
+            return np.stack([cell, *(np.bincount(place, x, len(cell)).astype(np.int64) for x in (n, p))])
+
         for batch in batches:
             for part in (batch.slice(i, 2000) for i in range(0, len(batch), 2000)):
-                x = np.column_stack([c.to_numpy(zero_copy_only=False) for c in part.columns])
-                x, y = x[:, :-1], x[:, -1] == 1
-                x = np.column_stack([np.ones(len(x)), x]) if intercept else x
-                p = 1 / (1 + np.exp(-np.clip(x @ w.T, -30, 30)))
-                hit = p >= threshold
-                counts += np.stack([(hit & y[:, None]).sum(0), (hit & ~y[:, None]).sum(0), (~hit & ~y[:, None]).sum(0), (~hit & y[:, None]).sum(0)], axis=1)
-                if bins:
-                    at = np.minimum((p * bins).astype(int), bins - 1) + offset
-                    for k, rows in enumerate((~y, y)):
-                        hist[:, k] += np.bincount(at[rows].ravel(), minlength=m * bins).reshape(m, bins)
-                losses -= np.log(np.where(y[:, None], p, 1 - p)).sum(0)
+                y, at = _margins(part, w, intercept)
+                p = 1 / (1 + np.exp(-np.clip(at, -30, 30)))
+                hit, real = p >= threshold, y[:, None]
+                counts += np.stack([(hit & real).sum(0), (hit & ~real).sum(0), (~hit & ~real).sum(0), (~hit & real).sum(0)], axis=1)
+                losses -= np.log(np.where(real, p, 1 - p)).sum(0)
                 seen += len(y)
+                # round and bin in one number, the bin from its place above the lowest
+                cell = (np.arange(len(w), dtype=np.int64) << bits) + (_order(at) >> shift) + (1 << (bits - 1))
+                cell, place = np.unique(cell.ravel(), return_inverse=True)
+                positive = np.bincount(place.ravel(), np.repeat(y, len(w)), len(cell)).astype(np.int64)
+                held.append(np.stack([cell, np.bincount(place.ravel(), minlength=len(cell)) - positive, positive]))
+                if sum(h.shape[1] for h in held) > most:
+                    held = [merged()]
         if seen:
-            for kind, table in (("c", counts), ("n", hist[:, 0]), ("p", hist[:, 1]), ("l", losses[:, None])):
+            cell, n, p = merged()
+            yield sums(cell >> bits, "b", cell & ((1 << bits) - 1), n, p)
+            for kind, table in (("c", counts), ("l", losses[:, None])):
                 r, k = np.nonzero(table)
-                yield pa.RecordBatch.from_arrays([pa.array(numbers[r]), pa.array([kind] * len(r), pa.string()), pa.array(k), pa.array(table[r, k].astype(float))], names)
+                yield sums(r, kind, k, table[r, k], np.zeros(len(r)))
+
+    # a row for each round and occupied bin, whatever the rows of df
+    cells = materialised(source.mapInArrow(run, "round long, kind string, at long, n double, p double").groupBy("round", "kind", "at").agg(F.sum("n").alias("n"), F.sum("p").alias("p")))
+    cell = lambda k: F.coalesce(F.sum(F.when((F.col("kind") == "c") & (F.col("at") == k), F.col("n"))), F.lit(0.0)).cast("long")
+    table = cells.groupBy("round").agg(cell(0).alias("tp"), cell(1).alias("fp"), cell(2).alias("tn"), cell(3).alias("fn"), F.sum(F.when(F.col("kind") == "l", F.col("n"))).alias("__loss"))
+    whole = Window.partitionBy("round")
+    above = whole.orderBy(F.desc("at")).rowsBetween(Window.unboundedPreceding, -1)
+    bins = cells.where("kind = 'b'").select("round", "at", "n", "p", F.coalesce(F.sum("p").over(above), F.lit(0.0)).alias("p0"), F.coalesce(F.sum("n").over(above), F.lit(0.0)).alias("n0"), F.nullif(F.sum("p").over(whole), F.lit(0.0)).alias("all_p"), F.nullif(F.sum("n").over(whole), F.lit(0.0)).alias("all_n"))
+    bins = bins.withColumns({"upper": F.col("p0") / F.col("all_p") - F.col("n0") / F.col("all_n"), "lower": (F.col("p0") + F.col("p")) / F.col("all_p") - (F.col("n0") + F.col("n")) / F.col("all_n")})
+    bins = bins.withColumn("best", F.greatest(F.max("lower").over(whole), F.lit(0.0)))
+    # edges of bins of one class only are exact already
+    open_bins = bins.where("n > 0 AND p > 0 AND upper + p / all_p > best").select("round", "at", "p0", "n0", "all_p", "all_n")
+    wanted = {}
+    for row in open_bins.select("round", "at").collect():
+        wanted.setdefault(row["round"], []).append(row["at"])
+    wanted = {r: np.array(sorted(at)) for r, at in wanted.items()}
 
     def margins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in (batch.slice(i, 2000) for i in range(0, len(batch), 2000)):
-                x = [c.to_numpy(zero_copy_only=False) for c in part.columns]
-                y, x = x[-1] == 1, [np.ones(len(part)), *x[:-1]] if intercept else x[:-1]
-                # one product after the other, so that equal rows have equal margins in every batch
-                at = np.zeros((len(part), len(w)))
-                for k, column in enumerate(x):
-                    at += column[:, None] * w[:, k]
-                for r in range(len(w)):
-                    values, place = np.unique(at[:, r], return_inverse=True)
-                    p, n = np.bincount(place[y], minlength=len(values)), np.bincount(place[~y], minlength=len(values))
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), numbers[r])), pa.array(values), pa.array(p.astype(float)), pa.array(n.astype(float))], ["round", "at", "p", "n"])
-
-    cells = source.mapInArrow(run, "round long, kind string, at long, n double").groupBy("round", "kind", "at").agg(F.sum("n").alias("n"))
-    cell = lambda k: F.coalesce(F.sum(F.when((F.col("kind") == "c") & (F.col("at") == k), F.col("n"))), F.lit(0.0)).cast("long")
-    table = cells.groupBy("round").agg(cell(0).alias("tp"), cell(1).alias("fp"), cell(2).alias("tn"), cell(3).alias("fn"), F.sum(F.when(F.col("kind") == "l", F.col("n"))).alias("__loss"))
-    hists = source.mapInArrow(margins, "round long, at double, p double, n double").groupBy("round", "at").agg(F.sum("p").alias("p"), F.sum("n").alias("n")) if bins is None else cells.where("kind IN ('n', 'p')").groupBy("round", "at").agg(F.sum(F.when(F.col("kind") == "p", F.col("n")).otherwise(0.0)).alias("p"), F.sum(F.when(F.col("kind") == "n", F.col("n")).otherwise(0.0)).alias("n"))
-    down, whole = Window.partitionBy("round").orderBy(F.desc("at")), Window.partitionBy("round")
-    gaps = hists.select("round", (F.sum("p").over(down) / F.sum("p").over(whole) - F.sum("n").over(down) / F.sum("n").over(whole)).alias("gap"))
-    found = indicators(table).join(gaps.groupBy("round").agg(F.greatest(F.max("gap"), F.lit(0.0)).alias("ks")), "round", "left")
+                y, at = _margins(part, w, intercept)
+                for r, number in enumerate(numbers):
+                    if int(number) in wanted:
+                        order = _order(at[:, r])
+                        where = (order >> shift) + (1 << (bits - 1))
+                        own = np.isin(where, wanted[int(number)])
+                        values, first, place = np.unique(order[own], return_index=True, return_inverse=True)
+                        p, every = (np.bincount(place, x, len(values)).astype(float) for x in (y[own], None))
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), number)), pa.array(where[own][first]), pa.array(values), pa.array(p), pa.array(every - p)], ["round", "at", "value", "p", "n"])
+
+    edges = bins.groupBy("round").agg(F.max("best").alias("best"))
+    if wanted:
+        points = source.mapInArrow(margins, "round long, at long, value long, p double, n double").groupBy("round", "at", "value").agg(F.sum("p").alias("p"), F.sum("n").alias("n"))
+        down = Window.partitionBy("round", "at").orderBy(F.desc("value"))
+        points = points.select("round", "at", F.sum("p").over(down).alias("p"), F.sum("n").over(down).alias("n")).join(open_bins, ["round", "at"])
+        inside = points.groupBy("round").agg(F.max((F.col("p0") + F.col("p")) / F.col("all_p") - (F.col("n0") + F.col("n")) / F.col("all_n")).alias("inside"))
+        edges = edges.join(inside, "round", "left").withColumn("best", F.greatest("best", "inside"))
+    found = indicators(table).join(edges.select("round", F.col("best").alias("ks")), "round", "left")
     return found.withColumn("logloss", F.coalesce("__loss", F.lit(0.0)) / (F.col("tp") + F.col("fp") + F.col("tn") + F.col("fn"))).drop("__loss")

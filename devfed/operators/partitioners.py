@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-#: Ranges of the leading key within which rows are ranked on their own.
-RANGES = 32
+from ..sources.checkpoints import materialised
+
+#: Rows that are sorted in one task, about.
+RANGE_ROWS = 2_000_000
 
 
 def _range_of(column: Column, bounds: list[float]) -> Column:
@@ -24,23 +27,23 @@ def _range_of(column: Column, bounds: list[float]) -> Column:
     return tree(0, len(bounds))
 
 
-def global_rank(df: DataFrame, order: Sequence[str], ranges: int = RANGES, name: str = "rank") -> DataFrame:
-    """Adds 0-based ranks in the order of some columns (the first may be any type, the second numeric) and ``total``.
+def global_rank(df: DataFrame, order: Sequence[str], name: str = "rank", range_rows: int = RANGE_ROWS) -> DataFrame:
+    """Adds 0-based ranks in the order of some columns, and ``total``.
 
-    No window runs over the whole table: rows are ranked within (first column, range of the second), and the sizes of these
-    parts, a small table, are summed up in order and joined back.
+    No window runs over the table: rows are dealt out by ranges of the whole key, as many as their number asks for, sorted
+    there and numbered in generated code. The numbered rows are written before the ranges are counted, so that both agree
+    whatever is lost; a row for each range, with the rows before it, joins them.
     """
-    first, second = order[0], order[1]
-    found = df.agg(F.percentile_approx(F.col(second).cast("double"), [k / ranges for k in range(1, ranges)], 1000)).first()[0]
-    bounds = sorted(set(found or []))
-    parts = df.withColumn("__part", _range_of(F.col(second).cast("double"), bounds) if bounds else F.lit(0))
-    sizes = parts.groupBy(first, "__part").agg(F.count("*").alias("__n"))
-    # one row for each value of a few-valued column and range
-    before = Window.orderBy(F.col(first), F.col("__part"))
-    sizes = sizes.select(F.col(first).alias("__first"), F.col("__part").alias("__p"), (F.sum("__n").over(before) - F.col("__n")).alias("__before"), F.sum("__n").over(Window.partitionBy()).alias("total"))
-    ranked = parts.withColumn("__own", F.row_number().over(Window.partitionBy(first, "__part").orderBy(*order)))
-    joined = ranked.join(sizes, F.col(first).eqNullSafe(F.col("__first")) & (F.col("__part") == F.col("__p")))
-    return joined.withColumn(name, F.col("__before") + F.col("__own") - 1).drop("__part", "__own", "__first", "__p", "__before")
+    total = df.count()
+    ranges = max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(total / range_rows))
+    dealt = df.repartitionByRange(ranges, *order).sortWithinPartitions(*order)
+    # the id holds the number of the partition above bit 33 and the row's place in it below
+    numbered = materialised(dealt.withColumn("__id", F.monotonically_increasing_id()).withColumn("__range", F.shiftright("__id", 33)))
+    sizes = numbered.groupBy("__range").agg(F.count("*").alias("__n"))
+    # one row for each range
+    before = sizes.select("__range", (F.sum("__n").over(Window.orderBy("__range")) - F.col("__n")).alias("__before"))
+    place = F.col("__before") + F.col("__id") - F.shiftleft("__range", 33)
+    return numbered.join(F.broadcast(before), "__range").withColumns({name: place, "total": F.lit(total).cast("long")}).select(*df.columns, name, "total")
 
 
 def _tile(rank: Column, total: Column, k: int) -> Column:
@@ -68,7 +71,7 @@ def by_label(df: DataFrame, k: int, key: Sequence[str], label: str = "label") ->
 
 def by_range(df: DataFrame, column: str, k: int, key: Sequence[str]) -> DataFrame:
     """Equal shards of rows ordered by a numeric attribute: strong skew if it goes with the label."""
-    return _shards(df.withColumn("__all", F.lit(0)), ["__all", column, *key], k).drop("__all")
+    return _shards(df, [column, *key], k)
 
 
 def by_key(df: DataFrame, column: str) -> DataFrame:

@@ -16,12 +16,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from ..plans.planner import merge_on_driver
+from ..plans.planner import DRIVER_CLIENTS, SIMULATED_BYTES, merge_on_driver
 from ..sources import tables
+from ..sources.checkpoints import materialised
 from . import blocks as packed
-from . import commcost, localtrain, metrics, weighting
+from . import commcost, localtrain, metrics, splitter, weighting
 
 
 @dataclass(frozen=True)
@@ -32,6 +32,7 @@ class FedConfig:
     epochs: int = 10
     lr: float = 0.01
     batch_size: int | None = None
+    shuffle: bool = True
     loss: str = "logistic"
     fit_intercept: bool = True
     init: Sequence[float] | None = None
@@ -47,6 +48,7 @@ class FedConfig:
     eps: float = weighting.EPS
     seed: int = 0
     tol: float | None = None
+    strata_fraction: float = 1.0
     flush: int = 50
     history_path: str | None = None
     engine: str = "auto"
@@ -62,6 +64,8 @@ class FedConfig:
             raise ValueError(f"loss is one of {sorted(localtrain.SLOPES)}")
         if self.quorum is not None and not 0 < self.quorum <= 1:
             raise ValueError("quorum is a share of the clients, above 0")
+        if not 0 < self.strata_fraction <= 1:
+            raise ValueError("strata_fraction is a share of each cluster's rows, above 0")
         if min(self.rounds, self.epochs, self.sub_rounds, self.client_rounds) < 1:
             raise ValueError("there is at least one round and epoch")
         if self.engine not in ("auto", "driver", "frame"):
@@ -99,15 +103,25 @@ def mark(seed: int, number: int, client: int) -> str:
 
 def participants(clients: Sequence[int], number: int, quorum: float, seed: int = 0) -> set[int]:
     """The ceil(quorum * clients) clients whose vectors arrive first in a round."""
-    ranked = sorted(clients, key=lambda c: (mark(seed, number, c), c))
-    return set(ranked[: max(1, math.ceil(quorum * len(ranked)))])
+    last = _last_of(clients, number, quorum, seed)
+    return {c for c in clients if (mark(seed, number, c), c) <= last}
+
+
+def _last_of(clients: Sequence[int], number: int, quorum: float, seed: int) -> tuple[str, int]:
+    ordered = sorted((mark(seed, number, c), c) for c in clients)
+    return ordered[max(1, math.ceil(quorum * len(ordered))) - 1]
 
 
 def participants_frame(clients: DataFrame, number: int, quorum: float, seed: int = 0) -> DataFrame:
-    """The same for a table of client_id, by rank of the hash."""
-    key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.lit(str(number)), F.col("client_id").cast("string")))
-    n = clients.agg(F.greatest(F.lit(1), F.ceil(F.count("*") * F.lit(quorum))).alias("__take"))
-    return clients.withColumn("rank", F.row_number().over(Window.orderBy(key, "client_id"))).crossJoin(F.broadcast(n)).where(F.col("rank") <= F.col("__take")).select("client_id", "rank")
+    """The same for a table of client_id, with the rank in the round."""
+    own = F.md5(F.concat_ws("|", F.lit(str(seed)), F.lit(str(number)), F.col("client_id").cast("string")))
+    return splitter.ranked(clients, own, quorum, key=["client_id"]).select("client_id", F.col("rank").cast("int").alias("rank"))
+
+
+def _last_of_frame(clients: DataFrame, number: int, quorum: float, seed: int) -> tuple[str, int]:
+    """Mark and id of a round's last participant, which tell every task who takes part, however many clients there are."""
+    client = participants_frame(clients, number, quorum, seed).agg(F.max_by("client_id", "rank")).first()[0]
+    return mark(seed, number, client), client
 
 
 def train_client(held: dict[int, list], w: np.ndarray, cfg: FedConfig) -> tuple[int, np.ndarray]:
@@ -121,39 +135,48 @@ def train_client(held: dict[int, list], w: np.ndarray, cfg: FedConfig) -> tuple[
             slopes = np.stack([sum(localtrain.gradient(x, y, w, cfg.loss) * (len(y) / n) for x, y in held[c]) for c, n in zip(clusters, rows, strict=True)])
             w = w - cfg.lr * weighting.merge_np(slopes, rows, cfg.client_rule, cfg.eps)
         else:
-            vectors = np.stack([localtrain.sgd_stream(held[c], w, cfg.epochs, cfg.lr, cfg.batch_size, cfg.seed + step, cfg.loss) for c in clusters])
+            vectors = np.stack([localtrain.sgd_stream(held[c], w, cfg.epochs, cfg.lr, cfg.batch_size, cfg.seed + step, cfg.loss, cfg.shuffle) for c in clusters])
             w = weighting.merge_np(vectors, rows, cfg.client_rule, cfg.eps)
     return int(rows.sum()), w
 
 
-def _local(blocks: DataFrame, at: dict[int, np.ndarray], cfg: FedConfig, only: set[int] | None) -> DataFrame:
-    """(client_id, subserver_id, n_rows, w) after local training from each sub-server's vector."""
+def _local(blocks: DataFrame, at: dict[int, np.ndarray], cfg: FedConfig, last: tuple[str, int] | None, number: int = 0) -> DataFrame:
+    """(client_id, subserver_id, n_rows, w) after local training from each sub-server's vector; last: the round's last participant."""
     names = ["client_id", "subserver_id", "n_rows", "w"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for client, server, held in packed.clients(batches):
-            if only is None or client in only:
+            if last is None or (mark(cfg.seed, number, client), client) <= last:
                 n, w = train_client(held, at[server] if server in at else at[-1], cfg)
                 yield pa.RecordBatch.from_arrays([pa.array([client], pa.int32()), pa.array([server], pa.int32()), pa.array([n]), pa.array([w.tolist()], pa.list_(pa.float64()))], names)
 
     return blocks.mapInArrow(run, "client_id int, subserver_id int, n_rows long, w array<double>")
 
 
-def _servers(members: DataFrame, cfg: FedConfig, rule: str, three: bool, on_driver: bool) -> tuple[list[tuple[int, float, np.ndarray]], list]:
-    """(sub-server, rows, vector) of each sub-server, merged from its clients; two tiers have the one sub-server -1."""
-    if not on_driver:
-        own = members if three else members.withColumn("subserver_id", F.lit(-1))
-        merged = weighting.merge(own, ["subserver_id"], rule=rule, eps=cfg.eps, share=cfg.sub_share if three else "local").collect()
-        return [(r["subserver_id"], float(r["n_rows"]), np.array(r["w"])) for r in merged], []
-    rows = [(r["client_id"], r["subserver_id"] if three else -1, r["n_rows"], np.array(r["w"])) for r in members.collect()]
-    rows.sort(key=lambda r: r[0])
+def merge_members(rows: list[tuple[int, int, int, np.ndarray]], cfg: FedConfig, rule: str, three: bool) -> list[tuple[int, float, np.ndarray]]:
+    """(sub-server, rows, vector) of each sub-server from (client, sub-server, rows, vector) in order of clients; two tiers have the one sub-server -1."""
     total = float(sum(r[2] for r in rows)) if three and cfg.sub_share == "global" else None
     out = []
     for server in sorted({r[1] for r in rows}):
         own = [r for r in rows if r[1] == server]
         counts = np.array([r[2] for r in own], float)
         out.append((server, counts.sum(), weighting.merge_np(np.stack([r[3] for r in own]), counts, rule, cfg.eps, total)))
-    return out, rows
+    return out
+
+
+def _servers(members: DataFrame, cfg: FedConfig, rule: str, three: bool, on_driver: bool) -> tuple[list[tuple[int, float, np.ndarray]], list]:
+    """merge_members of a DataFrame of members, on the driver or as a DataFrame."""
+    if not on_driver:
+        # members are read several times, and trained once
+        own = materialised(members if three else members.withColumn("subserver_id", F.lit(-1)))
+        merged = weighting.merge(own, ["subserver_id"], rule=rule, eps=cfg.eps, share=cfg.sub_share if three else "local").collect()
+        return [(r["subserver_id"], float(r["n_rows"]), np.array(r["w"])) for r in merged], []
+    rows = sorted(((r["client_id"], r["subserver_id"] if three else -1, r["n_rows"], np.array(r["w"])) for r in members.collect()), key=lambda r: r[0])
+    return merge_members(rows, cfg, rule, three), rows
+
+
+def _centre(servers: list[tuple[int, float, np.ndarray]], cfg: FedConfig, three: bool) -> np.ndarray:
+    return weighting.merge_np(np.stack([v for _, _, v in servers]), np.array([n for _, n, _ in servers]), cfg.server_rule, cfg.eps) if three else servers[0][2]
 
 
 def train(blocks: DataFrame, width: int, cfg: FedConfig, three_tier: bool = False, on_round: Callable[[int, np.ndarray], None] | None = None) -> FedResult:
@@ -161,27 +184,94 @@ def train(blocks: DataFrame, width: int, cfg: FedConfig, three_tier: bool = Fals
     spark, w, first = blocks.sparkSession, np.zeros(width) if cfg.init is None else np.array(cfg.init, float), 1
     if cfg.history_path and (found := tables.last_round(spark, cfg.history_path)):
         first, w = found[0] + 1, np.array(found[1])
-    ids = [r[0] for r in blocks.select("client_id").distinct().collect()] if cfg.quorum or cfg.engine == "auto" else []
+    known = blocks.select("client_id").distinct()
+    # more than the driver merges need not be known by name
+    ids = [r[0] for r in known.limit(DRIVER_CLIENTS + 1).collect()] if cfg.quorum or cfg.engine == "auto" else []
     on_driver = cfg.engine == "driver" or (cfg.engine == "auto" and merge_on_driver(len(ids), width))
     vectors, models, pending = [], [], []
     for number in range(first, cfg.rounds + 1):
-        only = participants(ids, number, cfg.quorum, cfg.seed) if cfg.quorum else None
+        last = None
+        if cfg.quorum:
+            last = _last_of(ids, number, cfg.quorum, cfg.seed) if len(ids) <= DRIVER_CLIENTS else _last_of_frame(known, number, cfg.quorum, cfg.seed)
         at, before = {-1: w}, w
         for _ in range(cfg.sub_rounds if three_tier else 1):
-            servers, models = _servers(_local(blocks, at, cfg, only), cfg, cfg.subserver_rule if three_tier else cfg.server_rule, three_tier, on_driver)
+            servers, models = _servers(_local(blocks, at, cfg, last, number), cfg, cfg.subserver_rule if three_tier else cfg.server_rule, three_tier, on_driver)
             # a sub-server without a participant goes on from its last vector
             at = at | {s: v for s, _, v in servers}
-        w = weighting.merge_np(np.stack([v for _, _, v in servers]), np.array([n for _, n, _ in servers]), cfg.server_rule, cfg.eps) if three_tier else servers[0][2]
+        w = _centre(servers, cfg, three_tier)
         vectors.append(w)
         pending.append((number, w.tolist()))
         if on_round:
             on_round(number, w)
-        if cfg.history_path and (len(pending) >= cfg.flush or number == cfg.rounds):
+        over = number == cfg.rounds or (cfg.tol is not None and np.abs(w - before).max() <= cfg.tol)
+        if cfg.history_path and (len(pending) >= cfg.flush or over):
             tables.append_history(spark.createDataFrame(pending, "round int, w array<double>"), cfg.history_path)
             pending = []
-        if cfg.tol is not None and np.abs(w - before).max() <= cfg.tol:
+        if over:
             break
     done = len(vectors)
-    clients = len(ids) or len(models)
+    clients = (len(ids) if len(ids) <= DRIVER_CLIENTS else known.count()) or len(models)
     ledger = commcost.ledger(spark, done, clients, width, len(servers) if three_tier and done else None, cfg.sub_rounds, cfg.quorum)
     return FedResult(w, np.array(vectors).reshape(done, width), first, ledger, models)
+
+
+def fit(df: DataFrame, features: Sequence[str], key: Sequence[str], cfg: FedConfig, three_tier: bool = False, label: str = "label", **split_options) -> FedResult:
+    """The whole method on rows with client_id (and subserver_id): split every client, sample its clusters, pack, train.
+
+    cluster_id, if it is there, stands for the splitter's.
+    """
+    held = prepare(df, features, key, cfg, label, **split_options).persist()
+    try:
+        return train(held, len(features) + cfg.fit_intercept, cfg, three_tier)
+    finally:
+        held.unpersist()
+
+
+def prepare(df: DataFrame, features: Sequence[str], key: Sequence[str], cfg: FedConfig, label: str = "label", **split_options) -> DataFrame:
+    """Blocks of the rows that clients train on: split where cfg does, then a stratified sample of each cluster."""
+    wanted = [c for c in ("client_id", "subserver_id", "cluster_id") if c in df.columns]
+    rows = df.select(*wanted, *key, *(c for c in features if c not in key), label)
+    if cfg.split and "cluster_id" not in wanted:
+        rows = splitter.split_clients(rows, features, key, **split_options)
+    if cfg.strata_fraction < 1:
+        strata = [c for c in ("client_id", "cluster_id") if c in rows.columns]
+        rows = splitter.stratified_sample(rows, cfg.strata_fraction, strata, key, cfg.seed)
+    return packed.to_blocks(rows, features, label, key, cfg.fit_intercept)
+
+
+def simulate(blocks: DataFrame, width: int, configs: dict[str, FedConfig], three_tier: bool = False) -> dict[str, FedResult]:
+    """``train`` for many configurations of few rows: each is one task's work from its first round to its last, all in one job.
+
+    The blocks of all owners lie in every task, so this is for studies on SIMULATED_BYTES of rows at most; beyond, and for runs
+    with a history or a tolerance, each configuration is trained in rounds over the blocks.
+    """
+    spark, plain = blocks.sparkSession, all(c.history_path is None and c.tol is None and c.init is None for c in configs.values())
+    size = blocks.agg(F.sum("n")).first()[0] or 0
+    if not plain or size * (width + 1) * 8 > SIMULATED_BYTES:
+        return {name: train(blocks, width, cfg, three_tier) for name, cfg in configs.items()}
+    listed = list(configs.values())
+
+    def run(table: pa.Table) -> pa.Table:
+        cfg = listed[table["config"][0].as_py()]
+        order = np.lexsort([table[c].to_numpy() for c in ("block", "cluster_id", "client_id")])
+        owners = list(packed.clients(table.select(packed.NAMES).take(order).to_batches()))
+        w, out = np.zeros(width), []
+        for number in range(1, cfg.rounds + 1):
+            last, at = _last_of([c for c, _, _ in owners], number, cfg.quorum, cfg.seed) if cfg.quorum else None, {-1: w}
+            for _ in range(cfg.sub_rounds if three_tier else 1):
+                members = [(c, s if three_tier else -1, *train_client(held, at.get(s, at[-1]), cfg)) for c, s, held in owners if last is None or (mark(cfg.seed, number, c), c) <= last]
+                servers = merge_members(members, cfg, cfg.subserver_rule if three_tier else cfg.server_rule, three_tier)
+                at = at | {s: v for s, _, v in servers}
+            w = _centre(servers, cfg, three_tier)
+            out.append(w.tolist())
+        return pa.table({"config": pa.array([table["config"][0].as_py()] * len(out), pa.int32()), "round": pa.array(range(1, len(out) + 1), pa.int32()), "w": pa.array(out, pa.list_(pa.float64())), "owners": pa.array([len(owners)] * len(out), pa.int32()), "servers": pa.array([len(servers)] * len(out), pa.int32())})
+
+    dealt = blocks.withColumn("config", F.explode(F.sequence(F.lit(0), F.lit(len(listed) - 1)))).repartitionByRange(len(listed), "config")
+    rows = dealt.groupBy("config").applyInArrow(run, "config int, round int, w array<double>, owners int, servers int").orderBy("config", "round").collect()
+    out = {}
+    for k, (name, cfg) in enumerate(configs.items()):
+        own = [r for r in rows if r["config"] == k]
+        vectors = np.array([r["w"] for r in own]).reshape(len(own), width)
+        ledger = commcost.ledger(spark, len(own), own[0]["owners"] if own else 0, width, own[0]["servers"] if three_tier and own else None, cfg.sub_rounds, cfg.quorum)
+        out[name] = FedResult(vectors[-1] if own else np.zeros(width), vectors, 1, ledger)
+    return out

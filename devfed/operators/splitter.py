@@ -13,10 +13,12 @@ from collections.abc import Sequence
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..sources.checkpoints import materialised
+
 GROWTH = ("one_at_a_time", "single_sweep")
 SEEDS = ("first", "hash", "medoid")
 ACCEPT = ("spread", "gap", "both", "always")
@@ -30,24 +32,27 @@ def cap_of(n: int, divisor: int = 50) -> int:
     return max(2, n // divisor)
 
 
-def first_centre(z: np.ndarray, seed_rule: str = "first") -> int:
+def first_centre(z: np.ndarray, seed_rule: str = "first", marks: np.ndarray | None = None) -> int:
+    """The first row, the one nearest to the mean, or the one with the lowest mark (a hash of its key)."""
     if seed_rule == "first":
         return 0
     if seed_rule == "medoid":
         return int(_distances(z, z.mean(axis=0)).argmin())
     if seed_rule == "hash":
-        return (len(z) * 2654435761 >> 7) % len(z)
+        if marks is None:
+            raise ValueError("seed_rule 'hash' needs the rows' marks")
+        return int(np.argmin(marks)) if np.asarray(marks).dtype.kind in "iuf" else min(range(len(marks)), key=lambda i: (marks[i], i))
     raise ValueError(f"seed_rule is one of {SEEDS}")
 
 
-def maxmin(z: np.ndarray, theta: float = 0.5, cap: int | None = None, growth: str = "one_at_a_time", seed_rule: str = "first") -> tuple[np.ndarray, list[int]]:
-    """(cluster of each row, rows that are centres) for rows in order of their keys."""
+def maxmin(z: np.ndarray, theta: float = 0.5, cap: int | None = None, growth: str = "one_at_a_time", seed_rule: str = "first", marks: np.ndarray | None = None) -> tuple[np.ndarray, list[int]]:
+    """(cluster of each row, rows that are centres) for rows in order of their keys; marks: what seed_rule "hash" goes by."""
     if not 0 < theta < 1:
         raise ValueError("theta lies between 0 and 1")
     if growth not in GROWTH:
         raise ValueError(f"growth is one of {GROWTH}")
     cap = cap_of(len(z)) if cap is None else cap
-    centres = [first_centre(z, seed_rule)]
+    centres = [first_centre(z, seed_rule, marks)]
     nearest = _distances(z, z[centres[0]])
     second = int(nearest.argmax())
     gap = nearest[second]
@@ -154,14 +159,15 @@ def accepted(found: dict[str, float], accept: str = "spread", spread_factor: flo
     return {"spread": spread, "gap": gap, "both": spread and gap, "always": True}[accept]
 
 
-def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int | None = None, method: str = "maxmin", cap: int | None = None) -> tuple[np.ndarray, dict]:
-    """Clusters of one client's standardised rows, and a report. cap bounds the centres in place of cap_divisor. Of several thetas the accepted split with the largest gap ratio counts (then the fewer clusters)."""
+def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int = 300, cap_divisor: int = 50, growth: str = "one_at_a_time", seed_rule: str = "first", accept: str = "spread", spread_factor: float = 1.2, gap_factor: float = 0.5, dist: str = "pairwise", limit: int | None = None, method: str = "maxmin", cap: int | None = None, most: int | None = None, marks: np.ndarray | None = None) -> tuple[np.ndarray, dict]:
+    """Clusters of one client's standardised rows, and a report. cap bounds the centres in place of cap_divisor, most bounds them beside it. Of several thetas the accepted split with the largest gap ratio counts (then the fewer clusters)."""
     n, best = len(z), None
     report = {"n_rows": n, "n_clusters": 1, "accepted": False, "theta": None, "spread_ratio": None, "gap_ratio": None}
     if n <= min_rows:
         return np.zeros(n, int), report
+    bound = cap_of(n, cap_divisor) if cap is None else cap
     for theta in thetas:
-        label, centres = maxmin(z, theta, cap_of(n, cap_divisor) if cap is None else cap, growth, seed_rule)
+        label, centres = maxmin(z, theta, bound if most is None else min(bound, most), growth, seed_rule, marks)
         points = z[centres]
         if method == "complete_linkage":
             label = complete_linkage(z, len(centres))
@@ -182,16 +188,32 @@ def split_rows(z: np.ndarray, thetas: Sequence[float] = (0.5,), min_rows: int =
     return label, report | {"n_clusters": int(label.max()) + 1, "accepted": True, "theta": theta, "spread_ratio": found["spread_ratio"], "gap_ratio": found["gap_ratio"]}
 
 
+def key_mark(key: Sequence[str]) -> Column:
+    """A hash of a row's key, the same wherever the row lies."""
+    return F.md5(F.concat_ws("|", *(F.col(c).cast("string") for c in key)))
+
+
+def _own(df: DataFrame, key: Sequence[str], options: dict) -> tuple[DataFrame, list[str]]:
+    """df with the marks of its rows where the first centre goes by them, and its own columns."""
+    return (df.withColumn("__mark", key_mark(key)) if options.get("seed_rule") == "hash" else df), df.columns
+
+
+def _split(rows: pd.DataFrame, features: list[str], options: dict) -> tuple[np.ndarray, dict]:
+    marks = rows["__mark"].tolist() if "__mark" in rows else None
+    return split_rows(standardized(rows[features].to_numpy(float)), marks=marks, **options)
+
+
 def split_clients(df: DataFrame, features: Sequence[str], key: Sequence[str], **options) -> DataFrame:
-    """Adds ``cluster_id`` within each client. Rows are standardised in the client and ordered by key; one client's rows are one group, so very large owners are salted before (partitioners.salted)."""
-    names, features, key = df.columns, list(features), list(key)
+    """Adds ``cluster_id`` within each client. Rows are standardised in the client and ordered by key; one client's rows are one group, so owners too large for a task are salted before (partitioners.salted) or split by ``maxmin_frame``."""
+    features, key = list(features), list(key)
+    source, names = _own(df, key, options)
 
     def one(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(key, kind="stable")
-        return rows.assign(cluster_id=split_rows(standardized(rows[features].to_numpy(float)), **options)[0].astype("int32"))
+        return rows[names].assign(cluster_id=_split(rows, features, options)[0].astype("int32"))
 
     schema = f"{', '.join(f'`{f.name}` {f.dataType.simpleString()}' for f in df.schema)}, cluster_id int"
-    return df.groupBy("client_id").applyInPandas(one, schema).select(*names, "cluster_id")
+    return source.groupBy("client_id").applyInPandas(one, schema).select(*names, "cluster_id")
 
 
 def split_report(df: DataFrame, features: Sequence[str], key: Sequence[str], **options) -> DataFrame:
@@ -199,10 +221,10 @@ def split_report(df: DataFrame, features: Sequence[str], key: Sequence[str], **o
     features, key = list(features), list(key)
 
     def one(rows: pd.DataFrame) -> pd.DataFrame:
-        z = standardized(rows.sort_values(key, kind="stable")[features].to_numpy(float))
-        return pd.DataFrame([{"client_id": rows["client_id"].iloc[0], **split_rows(z, **options)[1]}])
+        rows = rows.sort_values(key, kind="stable")
+        return pd.DataFrame([{"client_id": rows["client_id"].iloc[0], **_split(rows, features, options)[1]}])
 
-    return df.groupBy("client_id").applyInPandas(one, "client_id int, n_rows long, n_clusters int, accepted boolean, theta double, spread_ratio double, gap_ratio double")
+    return _own(df, key, options)[0].groupBy("client_id").applyInPandas(one, "client_id int, n_rows long, n_clusters int, accepted boolean, theta double, spread_ratio double, gap_ratio double")
 
 
 def standardized(x: np.ndarray) -> np.ndarray:
@@ -210,42 +232,73 @@ def standardized(x: np.ndarray) -> np.ndarray:
     return np.where(s > 0, (x - x.mean(axis=0)) / np.where(s > 0, s, 1), 0.0)
 
 
-def maxmin_frame(df: DataFrame, features: Sequence[str], key: Sequence[str], clusters: int, theta: float | None = None, by: str = "client_id", growth: str = "one_at_a_time") -> DataFrame:
-    """The same growth as DataFrame passes, one aggregate and one join of a row per client for each centre: for clients too large for one task. Adds ``cluster_id`` and ``nearest``.
+def maxmin_frame(df: DataFrame, features: Sequence[str], key: Sequence[str], clusters: int, theta: float | None = None, by: str = "client_id") -> DataFrame:
+    """The growth one at a time as DataFrame passes, for clients too large for one task. Adds ``cluster_id`` and ``nearest``.
 
-    clusters bounds the number of centres; theta None leaves out the threshold.
+    Only the centres, a row per client, are written between passes: each pass is one scan of df, which meets the centres in one
+    join and ends in one aggregate by client, combined before it is shuffled. clusters bounds the number of centres; theta None
+    leaves out the threshold.
     """
-    key, seed = list(key), Window.partitionBy(by)
-    place = F.struct(*key)
-
-    def distance(prefix: str):
-        return F.sqrt(sum(((F.col(c) - F.col(f"{prefix}{k}")) * (F.col(c) - F.col(f"{prefix}{k}")) for k, c in enumerate(features)), F.lit(0.0)))
-
-    point = F.struct(*(F.col(c).alias(f"p{k}") for k, c in enumerate(features)))
-    first = df.groupBy(by).agg(F.min_by(point, place).alias("c")).select(by, *(F.col(f"c.p{k}").alias(f"p{k}") for k in range(len(features))))
-    rows = df.join(first, by).withColumns({"nearest": distance("p"), "cluster_id": F.lit(0)}).drop(*(f"p{k}" for k in range(len(features))))
-    rows = rows.withColumn("__gap", F.max("nearest").over(seed))
-    if growth == "single_sweep" and clusters > 2:
-        raise ValueError("the frame form grows one at a time")
+    width, place = range(len(features)), F.struct(*key)
+    point = F.struct(*(F.col(c).cast("double").alias(f"p{k}") for k, c in enumerate(features)))
+
+    def distance(j: int):
+        return F.sqrt(sum(((F.col(c) - F.col(f"__c{j}.p{k}")) * (F.col(c) - F.col(f"__c{j}.p{k}")) for k, c in enumerate(features)), F.lit(0.0))) if width else F.lit(0.0)
+
+    def measured(centres: DataFrame, n: int) -> DataFrame:
+        # a client that has stopped growing has no further centres, and no distance to them
+        rows = df.join(centres, by).withColumns({f"__d{j}": distance(j) for j in range(n)})
+        nearest = F.least(*(F.col(f"__d{j}") for j in range(n))) if n > 1 else F.col("__d0")
+        return rows.withColumn("nearest", nearest)
+
+    centres = materialised(df.groupBy(by).agg(F.min_by(point, place).alias("__c0")).withColumn("__gap", F.lit(None).cast("double")))
     for j in range(1, clusters):
         # the farthest row, and the lowest key among equals
-        top = rows.groupBy(by).agg(F.max("nearest").alias("__far"), F.max("__gap").alias("__g"))
-        far = rows.join(top, by).where((F.col("nearest") == F.col("__far")) & (F.col("__far") > (F.col("__g") * theta if theta and j > 1 else F.lit(0.0))))
-        far = far.groupBy(by).agg(F.min_by(point, place).alias("c")).select(by, *(F.col(f"c.p{k}").alias(f"p{k}") for k in range(len(features))))
-        rows = rows.join(far, by, "left").withColumn("__d", distance("p"))
-        closer = F.coalesce(F.col("__d") < F.col("nearest"), F.lit(False))
-        rows = rows.withColumns({"cluster_id": F.when(closer, F.lit(j)).otherwise(F.col("cluster_id")), "nearest": F.when(closer, F.col("__d")).otherwise(F.col("nearest"))}).drop("__d", *(f"p{k}" for k in range(len(features))))
-    return rows.drop("__gap")
+        far = measured(centres, j).groupBy(by).agg(F.min_by(point, F.struct(-F.col("nearest"), place)).alias("__c"), F.max("nearest").alias("__far"))
+        grown = centres.join(far, by, "left").withColumn("__gap", F.coalesce("__gap", "__far"))
+        enough = F.col("__far") > (F.col("__gap") * F.lit(theta) if theta and j > 1 else F.lit(0.0))
+        before = [f"__c{i}" for i in range(j)]
+        # no centre follows one that was too near
+        enough = enough & F.col(before[-1]).isNotNull()
+        centres = materialised(grown.select(by, *before, F.when(enough, F.col("__c")).alias(f"__c{j}"), "__gap"))
+    rows = measured(centres, clusters)
+    label = F.coalesce(*(F.when(F.col(f"__d{j}") == F.col("nearest"), F.lit(j)) for j in range(clusters)))
+    return rows.withColumn("cluster_id", label).select(*df.columns, "nearest", "cluster_id")
+
+
+#: Parts into which marks are dealt before rows are ranked, so that no group is ranked in one task.
+MARK_PARTS = 4096
+
+
+def ranked(df: DataFrame, mark: Column, fraction: float, by: Sequence[str] = (), key: Sequence[str] = (), least: int = 1) -> DataFrame:
+    """The max(least, ceil(fraction * n)) rows of each group with the lowest marks (md5 texts), with their ``rank`` from 1.
+
+    Rows are ranked within a group's part by the first three digits of the mark; counts by part, a table of at most MARK_PARTS rows a
+    group, tell where a part begins and which are needed at all.
+    """
+    by = list(by)
+    rows = df.withColumns({"__mark": mark, "__part": F.conv(F.substring(mark, 1, 3), 16, 10).cast("int")})
+    group = Window.partitionBy(*by) if by else Window.partitionBy(F.lit(0))
+    parts = rows.groupBy(*by, "__part").agg(F.count("*").alias("__n"))
+    parts = parts.withColumns({"__before": F.sum("__n").over(group.orderBy("__part")) - F.col("__n"), "__take": F.greatest(F.lit(least), F.ceil(F.sum("__n").over(group) * F.lit(fraction)))})
+    parts = parts.where(F.col("__before") < F.col("__take")).drop("__n")
+    own = [f"__by{k}" for k in range(len(by))]
+    met = F.col("__part") == F.col("__own")
+    for c, name in zip(by, own, strict=True):
+        met = met & F.col(c).eqNullSafe(F.col(name))
+    rows = rows.join(parts.select(*(F.col(c).alias(n) for c, n in zip(by, own, strict=True)), F.col("__part").alias("__own"), "__before", "__take"), met)
+    rows = rows.withColumn("rank", F.col("__before") + F.row_number().over(Window.partitionBy(*by, "__part").orderBy("__mark", *key)))
+    return rows.where(F.col("rank") <= F.col("__take")).select(*(c for c in df.columns if c != "rank"), "rank")
 
 
 def stratified_sample(df: DataFrame, fraction: float, strata: Sequence[str] = ("client_id", "cluster_id"), key: Sequence[str] = (), seed: int = 0) -> DataFrame:
     """ceil(fraction * n) rows of each stratum, at least one, by rank of a hash of the key: repeatable, and nested in fraction."""
     if fraction >= 1:
         return df
-    strata, mark = list(strata), F.md5(F.concat_ws("|", F.lit(str(seed)), *(F.col(c).cast("string") for c in key)))
-    sizes = df.groupBy(*strata).agg(F.ceil(F.count("*") * F.lit(fraction)).alias("__take"))
-    ranked = df.withColumn("__rank", F.row_number().over(Window.partitionBy(*strata).orderBy(mark, *key)))
-    return ranked.join(sizes, strata).where(F.col("__rank") <= F.col("__take")).select(*df.columns)
+    if fraction <= 0:
+        raise ValueError("fraction is above 0")
+    mark = F.md5(F.concat_ws("|", F.lit(str(seed)), *(F.col(c).cast("string") for c in key)))
+    return ranked(df, mark, fraction, strata, key).select(*df.columns)
 
 
 def report(df: DataFrame) -> DataFrame:

@@ -20,7 +20,6 @@ from collections.abc import Sequence
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 RULES = ("proportional", "inverse", "complement", "samples", "uniform")
 EPS = 1e-12
@@ -56,35 +55,38 @@ def merge_np(vectors: np.ndarray, rows: np.ndarray, rule: str = "proportional",
     return weights_np(vectors, rows, rule, eps, total) @ vectors
 
 
+def _with_sums(df: DataFrame, parents: list[str], *sums: Column) -> DataFrame:
+    """df with grouped sums of its own, joined back: one row a parent, so that no parent's members gather in one task."""
+    found = df.groupBy(*parents).agg(*sums)
+    return df.join(found, parents) if parents else df.crossJoin(F.broadcast(found))
+
+
 def weigh(df: DataFrame, parents: Sequence[str] = (), vector: str = "w", rows: str = "n_rows", rule: str = "proportional", eps: float = EPS, share: str = "local") -> DataFrame:
-    """Members with ``share``, ``deviation`` and ``weight``, below each parent. d-wide vectors are summed by position; a parent's members never meet in one row."""
+    """Members with ``share``, ``deviation`` and ``weight``, below each parent. d-wide vectors are summed by position; a parent's members never meet in one row or task.
+
+    df is read several times: members that are costly to compute are materialised before.
+    """
     _check(rule)
     parents = list(parents)
-    total = F.sum(rows).over(Window.partitionBy(*parents)).cast("double")
-    base = df.withColumn("__total", total if share == "local" else F.sum(rows).over(Window.partitionBy()).cast("double"))
-    parts = base.select(*parents, F.posexplode(vector).alias("__k", "__x"), (F.col(rows) / F.col("__total")).alias("__s"))
+    base = _with_sums(df, parents, F.sum(rows).cast("double").alias("__own"), F.count("*").alias("__members"))
+    if share != "local":
+        base = base.crossJoin(F.broadcast(df.agg(F.sum(rows).cast("double").alias("__total"))))
+    total = F.col("__own" if share == "local" else "__total")
+    parts = base.select(*parents, F.posexplode(vector).alias("__k", "__x"), (F.col(rows) / total).alias("__s"))
     means = parts.groupBy(*parents, "__k").agg(F.sum(F.col("__x") * F.col("__s")).alias("__m")).groupBy(*parents)
     means = means.agg(F.transform(F.array_sort(F.collect_list(F.struct("__k", "__m"))), lambda s: s["__m"]).alias("__mean"))
-    joined = df.join(means, parents) if parents else df.crossJoin(F.broadcast(means))
+    joined = base.join(means, parents) if parents else base.crossJoin(F.broadcast(means))
     square = F.aggregate(F.zip_with(vector, "__mean", lambda x, m: (x - m) * (x - m)), F.lit(0.0), lambda s, x: s + x)
-    everyone = Window.partitionBy(*parents)
-    out = joined.withColumns({"share": F.col(rows) / F.sum(rows).over(everyone), "deviation": F.sqrt(square), "__members": F.count("*").over(everyone)})
-    return _weight_columns(out, everyone, rule, eps).drop("__mean", "__members")
-
-
-def _weight_columns(df: DataFrame, everyone: Window, rule: str, eps: float) -> DataFrame:
-    r, every, n = F.col("deviation"), F.sum("deviation").over(everyone), F.col("__members")
-    floored = 1.0 / F.greatest(r, F.lit(eps) * (1.0 + F.col("__every")))
-    df = df.withColumn("__every", every).withColumn("__inverse", floored)
-    chosen: dict[str, Column] = {
-        "proportional": r / F.col("__every"),
-        "inverse": F.col("__inverse") / F.sum("__inverse").over(everyone),
-        "complement": (1.0 - r / F.col("__every")) / (n - 1),
-        "samples": F.col("share"),
-        "uniform": 1.0 / n,
-    }
-    plain = F.lit(rule in ("samples", "uniform"))
-    return df.withColumn("weight", F.when(~plain & ((n == 1) | (F.col("__every") <= eps)), F.col("share")).otherwise(chosen[rule])).drop("__every", "__inverse")
+    out = joined.withColumns({"share": F.col(rows) / F.col("__own"), "deviation": F.sqrt(square)}).drop("__mean", "__total", "__own")
+    n, r, every = F.col("__members"), F.col("deviation"), F.col("__every")
+    if rule in ("samples", "uniform"):
+        return out.withColumn("weight", F.col("share") if rule == "samples" else 1.0 / n).drop("__members")
+    out = _with_sums(out, parents, F.sum("deviation").alias("__every"))
+    if rule == "inverse":
+        out = out.withColumn("__near", 1.0 / F.greatest(r, F.lit(eps) * (1.0 + every)))
+        out = _with_sums(out, parents, F.sum("__near").alias("__nears"))
+    chosen = {"proportional": lambda: r / every, "inverse": lambda: F.col("__near") / F.col("__nears"), "complement": lambda: (1.0 - r / every) / (n - 1)}[rule]()
+    return out.withColumn("weight", F.when((n == 1) | (every <= eps), F.col("share")).otherwise(chosen)).drop("__every", "__near", "__nears", "__members")
 
 
 def merge(df: DataFrame, parents: Sequence[str] = (), vector: str = "w", rows: str = "n_rows", rule: str = "proportional", eps: float = EPS, share: str = "local") -> DataFrame:

@@ -4,24 +4,9 @@ from __future__ import annotations
 
 #: Owners up to which members' vectors come to the driver, and bytes of vectors at most.
 DRIVER_CLIENTS, DRIVER_BYTES = 10_000, 64 << 20
-#: Features up to which gradients are unrolled in one aggregate; beyond it generated code grows too long.
-UNROLLED = 100
+#: Bytes of rows of which one task may hold all, to train one of many configurations.
+SIMULATED_BYTES = 64 << 20
 
 
 def merge_on_driver(clients: int, width: int) -> bool:
     return clients <= DRIVER_CLIENTS and clients * width * 8 <= DRIVER_BYTES
-
-
-def gradient_engine(width: int, epochs: int, batch: int | None) -> str:
-    """"sql" for one whole-set step over few features, otherwise the numpy kernel."""
-    return "sql" if epochs == 1 and batch is None and width <= UNROLLED else "kernel"
-
-
-def accept_exactly(rows: int, limit: int = 2000) -> bool:
-    """Whether the acceptance test takes all pairs; else a sample of limit rows."""
-    return rows <= limit
-
-
-def curve_bins(rows: int, limit: int = 10_000_000) -> int | None:
-    """Exact ROC points for so many rows; else 10 000 levels of scores."""
-    return None if rows <= limit else 10_000

@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import blocks, features, metrics, partitioners, rounds, splitter
+from ..operators import features, metrics, partitioners, rounds
 from ..operators.rounds import FedConfig, FedResult
 from ..sources.tables import table
 
@@ -79,12 +80,16 @@ def late_shipment_run(spark: SparkSession, sf_dir: str, configs: dict[str, FedCo
     if scale == "client":
         train = features.standardize(train, columns, ["client_id"])
     train = train.withColumn("subserver_id", F.pmod(F.col("client_id"), F.lit(q or 1)))
-    if split:
-        train = splitter.split_clients(train.select("client_id", "subserver_id", *KEY, *columns, "label"), columns, KEY, **split_options)
-    held = blocks.to_blocks(train, columns, order=KEY).persist()
-    test = rows.where("is_test").select(*columns, "label").persist()
+    return trained(spark, train, rows.where("is_test"), columns, KEY, configs, q is not None, split, **split_options)
+
+
+def trained(spark: SparkSession, train: DataFrame, test: DataFrame, columns: Sequence[str], key: Sequence[str], configs: dict[str, FedConfig], three_tier: bool = False, split: bool = True, **split_options) -> tuple[dict[str, FedResult], DataFrame]:
+    """Every configuration on one split of the same training rows; results by name, and the indicators of all rounds on the test rows."""
+    columns, base = list(columns), next(iter(configs.values()))
+    held = rounds.prepare(train, columns, key, replace(base, split=split), **split_options).persist()
+    test = test.select(*columns, "label").persist()
     try:
-        results = {name: rounds.train(held, len(columns) + 1, cfg, three_tier=q is not None) for name, cfg in configs.items()}
+        results = rounds.simulate(held, len(columns) + 1, configs, three_tier)
         history = None
         for name, result in results.items():
             scored = result.scored(test, columns, name)
@@ -96,6 +101,12 @@ def late_shipment_run(spark: SparkSession, sf_dir: str, configs: dict[str, FedCo
     return results, history
 
 
+def compare(spark: SparkSession, rows: DataFrame, columns: Sequence[str], key: Sequence[str], configs: dict[str, FedConfig], three_tier: bool = False, scale: str = "global", **split_options) -> tuple[dict[str, FedResult], DataFrame]:
+    """``trained`` for rows with client_id and is_test, whose features are scaled by the training rows."""
+    rows = scaled(rows, list(columns), scale)
+    return trained(spark, rows.where("NOT is_test"), rows.where("is_test"), columns, key, configs, three_tier, **split_options)
+
+
 def document_quality(spark: SparkSession, sf_dir: str, target: str = "quality") -> DataFrame:
     """Labelled documents: six text ratios; the source is the client and the language the tier."""
     docs = table(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source", "n_chars"])
@@ -103,7 +114,7 @@ def document_quality(spark: SparkSession, sf_dir: str, target: str = "quality")
     rows = docs.join(labels, "doc_id")
     ratios = features.text_ratios("text", "n_chars")
     servers = F.expr("CASE lang WHEN 'en' THEN 0 WHEN 'fr' THEN 1 WHEN 'de' THEN 2 ELSE 3 END")
-    return rows.select("doc_id", "source", "lang", F.regexp_extract("source", "([0-9]+)$", 1).cast("int").alias("client_id"), servers.alias("subserver_id"), *(c.alias(f"x{k}") for k, c in enumerate(ratios.values(), 1)), F.col(target).cast("double").alias("label"))
+    return rows.select("doc_id", "source", "lang", F.regexp_extract("source", "([0-9]+)$", 1).cast("int").alias("client_id"), servers.alias("subserver_id"), *(c.alias(f"x{k}") for k, c in enumerate(ratios.values(), 1)), F.col(target).cast("double").alias("label"), (F.col("doc_id") % 7 == 0).alias("is_test"))
 
 
 def embedding_one_vs_rest(spark: SparkSession, sf_dir: str, positive: int = 0) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -14,14 +15,13 @@ from .operators import align, baselines, blocks, commcost, features, localtrain,
 from .operators.rounds import FedConfig
 from .oracle import sqltext as sql
 from .plans import workloads
+from .sources.checkpoints import materialised
 from .sources.tables import table
 from .streaming import activity as windows
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
-#: SQL over a part of the rows, with the condition of that part: the query itself takes all rows, and the part as an argument.
-PART_ORACLES: dict[str, tuple[str, str]] = {}
 
 FEW = workloads.FEW_FEATURES
 KEY = workloads.KEY
@@ -38,21 +38,13 @@ def query(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
     return add
 
 
-def in_part(name: str, oracle: str, part: str) -> Callable[[Query], Query]:
-    def add(f: Query) -> Query:
-        PART_ORACLES[name] = oracle, part
-        return query(name)(f)
-
-    return add
-
-
 def _base(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.late_shipment(spark, sf_dir, few=True)
 
 
 def _few(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Four features scaled over all rows, ten clients by supplier, three sub-servers, two static clusters."""
-    rows = features.standardize(_base(spark, sf_dir).withColumn("raw", F.col("x1")), FEW)
+    """Four features scaled by the training rows, ten clients by supplier, three sub-servers, two static clusters."""
+    rows = workloads.scaled(_base(spark, sf_dir).withColumn("raw", F.col("x1")), FEW)
     client = F.pmod(F.col("k3"), F.lit(10)).cast("int")
     return rows.withColumns({"client_id": client, "subserver_id": client % 3, "cluster_id": F.when(F.col("raw") > 25, 1).otherwise(0)}).drop("raw")
 
@@ -202,6 +194,9 @@ _RUNS: dict[str, tuple[dict, dict]] = {
     "sda_3t_rounds": ({"rounds": 2, "epochs": 2}, {"three": True}),
     "sda_3t_global_share": ({"rounds": 2, "epochs": 1, "sub_share": "global"}, {"three": True}),
     "sda_3t_sub_rounds": ({"rounds": 2, "epochs": 1, "sub_rounds": 2}, {"three": True}),
+    "client_rounds_training": ({"rounds": 2, "epochs": 1, "client_rounds": 2}, {}),
+    "loss_squared_rounds": ({"rounds": 2, "epochs": 2, "loss": "squared"}, {}),
+    "loss_hinge_rounds": ({"rounds": 2, "epochs": 2, "loss": "hinge"}, {}),
     "ablation_split_only": ({"rounds": 2, "epochs": 2, "client_rule": "samples", "server_rule": "samples"}, {}),
     "ablation_deviation_only": ({"rounds": 2, "epochs": 2, "split": False}, {}),
 }
@@ -209,6 +204,10 @@ for _name, (_options, _more) in _RUNS.items():
     query(_name, sql.training(**{"lr": 0.5, **_options, **_more}))(_train(**_options, **_more))
 
 
+#: Batches in the order of keys, which SQL can number; four hold a cluster's rows at the scale of the comparison.
+query("mini_batch_rounds", sql.training(1, 2, 0.5, batch_size=1000, batches=4))(_train(rounds=1, epochs=2, batch_size=1000, shuffle=False))
+
+
 def _only(quorum: float, n_rounds: int) -> dict[int, str]:
     return {t: f"client_id IN ({', '.join(map(str, sorted(rounds.participants(range(10), t, quorum))))})" for t in range(1, n_rounds + 1)}
 
@@ -265,9 +264,24 @@ def local_only(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("client_id", "n_rows", *(vec.tidy(F.col("w")[k]).alias(f"w{k}") for k in range(sql.D)))
 
 
+def _hof_sql() -> str:
+    rows = f"SELECT CAST(k1 % 500 AS INTEGER) AS client_id, 0 AS subserver_id, 0 AS cluster_id, label AS y, {', '.join(FEW)} FROM few WHERE NOT is_test"
+    ctes = sql.training_ctes(1, 2, 0.5, split=False, client_rule="samples", server_rule="samples", rows=rows)
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT client_id, {', '.join(sql.tidy(f'w{k}', f'w{k}') for k in range(sql.D))} FROM r1_0_0_k"
+
+
+@query("hof_kernel", _hof_sql())
+def hof_kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two local steps of small owners in higher-order functions, the kernel that checks the others."""
+    rows = _few(spark, sf_dir).where("NOT is_test").select(F.pmod("k1", F.lit(500)).cast("int").alias("client_id"), F.struct(F.array(F.lit(1.0), *FEW).alias("x"), F.col("label").alias("y")).alias("r"))
+    own = rows.groupBy("client_id").agg(F.collect_list("r").alias("rows"))
+    trained = own.select("client_id", localtrain.hof_train(F.col("rows"), [0.0] * sql.D, 2, 0.5).alias("w"))
+    return trained.select("client_id", *(vec.tidy(F.col("w")[k]).alias(f"w{k}") for k in range(sql.D)))
+
+
 def _members(spark: SparkSession, sf_dir: str, zero: bool = False) -> DataFrame:
     own = localtrain.gradients(_few(spark, sf_dir).where("NOT is_test"), FEW, sql.AT, ["client_id"])
-    return own.select("client_id", "n_rows", F.array(*(F.lit(0.25) if zero else F.col(f"g{k}") for k in range(sql.D))).alias("w"))
+    return materialised(own.select("client_id", "n_rows", F.array(*(F.lit(0.25) if zero else F.col(f"g{k}") for k in range(sql.D))).alias("w")))
 
 
 def _deviation(rule: str, zero: bool = False) -> Query:
@@ -287,91 +301,137 @@ query("deviation_merge_zero", sql.one_merge("proportional", zero=True))(_deviati
 
 # --- splitting --------------------------------------------------------------------------------------------------------
 
-
-def _trained(spark: SparkSession, sf_dir: str, part: str) -> DataFrame:
-    return partitioners.by_key_bucket(_base(spark, sf_dir).where(f"NOT is_test AND {part}"), "k3", 10)
+#: Owners of the splitter's queries, and what they are split by.
+OWNERS, SUBSERVERS = 50, 5
+_LABELS = "k1, k2, k3, CAST(k4 AS INTEGER) AS k4, client_id, CAST(cluster_id AS INTEGER) AS cluster_id"
 
 
-def _own_rows(spark: SparkSession, sf_dir: str, part: str) -> DataFrame:
-    return features.standardize(_trained(spark, sf_dir, part), FEW, ["client_id"]).select(*KEY, "client_id", *FEW)
+def _trained(spark: SparkSession, sf_dir: str, owners: int = OWNERS) -> DataFrame:
+    return partitioners.by_key_bucket(_base(spark, sf_dir).where("NOT is_test"), "k3", owners).select(*KEY, "client_id", *FEW)
 
 
-#: The part of the rows that the SQL of splitting reads.
-_FIFTH = "k1 % 5 = 0"
-_SPLIT, _LAST = sql.splitting()
+def _growth(centres: int, theta: float | None, last: str, **options) -> str:
+    return "WITH " + ",\n".join([sql.BASE, *sql.splitting(centres, **options), *sql.grown(centres, theta, "g")]) + "\n" + last
 
 
-@in_part("maxmin_assign", f"{_SPLIT}\nSELECT k1, k2, k3, CAST(k4 AS INTEGER) AS k4, client_id, CAST(cluster_id AS INTEGER) AS cluster_id, {sql.tidy('nearest', 'nearest')} FROM {_LAST}", _FIFTH)
-def maxmin_assign(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
-    found = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 4)
+@query("maxmin_assign", _growth(4, None, f"SELECT {_LABELS}, {sql.tidy('nearest', 'nearest')} FROM g"))
+def maxmin_assign(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = features.standardize(_trained(spark, sf_dir, 10), FEW, ["client_id"])
+    found = splitter.maxmin_frame(rows, FEW, KEY, 4)
     return found.select("k1", "k2", "k3", F.col("k4").cast("int").alias("k4"), "client_id", "cluster_id", vec.tidy(F.col("nearest")).alias("nearest"))
 
 
-_GROWN, _GROWN_LAST = sql.splitting(4, 0.6)
+@query("maxmin_centers", _growth(4, 0.6, f"SELECT client_id, CAST(cluster_id AS INTEGER) AS cluster_id, count(*) AS n, {sql.tidy('max(nearest)', 'radius')} FROM g GROUP BY client_id, cluster_id"))
+def maxmin_centers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = features.standardize(_trained(spark, sf_dir, 10), FEW, ["client_id"])
+    found = splitter.maxmin_frame(rows, FEW, KEY, 4, theta=0.6)
+    return found.groupBy("client_id", "cluster_id").agg(F.count("*").alias("n"), vec.tidy(F.max("nearest")).alias("radius"))
 
 
-@in_part("maxmin_centers", f"{_GROWN}\nSELECT client_id, CAST(cluster_id AS INTEGER) AS cluster_id, count(*) AS n, {sql.tidy('max(nearest)', 'radius')} FROM {_GROWN_LAST} GROUP BY client_id, cluster_id", _FIFTH)
-def maxmin_centers(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
-    found = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 4, theta=0.6)
-    return found.groupBy("client_id", "cluster_id").agg(F.count("*").alias("n"), vec.tidy(F.max("nearest")).alias("radius"))
+def _kernel(**options) -> Query:
+    """The clusters of the kernel that training uses."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        found = splitter.split_clients(_trained(spark, sf_dir), FEW, KEY, min_rows=1, accept="always", dist="centroid", **options)
+        return found.select("k1", "k2", "k3", F.col("k4").cast("int").alias("k4"), "client_id", "cluster_id")
+
+    return run
 
 
-_KERNEL_SQL = f"{_GROWN}\nSELECT client_id, count(*) AS n_rows, CAST(max(cluster_id) + 1 AS INTEGER) AS n_clusters FROM {_GROWN_LAST} GROUP BY client_id"
+query("maxmin_kernel", _growth(8, 0.6, f"SELECT {_LABELS} FROM g", clients=OWNERS))(_kernel(thetas=(0.6,), cap=8))
+for _seed in splitter.SEEDS:
+    query(f"maxmin_seed_{_seed}", _growth(5, 0.5, f"SELECT {_LABELS} FROM g", clients=OWNERS, seed=_seed))(_kernel(thetas=(0.5,), cap=5, seed_rule=_seed))
 
 
-@in_part("maxmin_kernel", _KERNEL_SQL, _FIFTH)
-def maxmin_kernel(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
-    rows = _trained(spark, sf_dir, part).select(*KEY, "client_id", *FEW)
-    found = splitter.split_report(rows, FEW, KEY, thetas=(0.6,), min_rows=1, cap=4, accept="always", dist="centroid")
-    return found.select("client_id", "n_rows", "n_clusters")
+def _sweep_sql() -> str:
+    """Centres from the third on are all rows over the threshold at once, the farthest first; rows join the nearest, the earliest of equals."""
+    distance = sql._DISTANCE.format("r", "c")
+    ctes = [
+        sql.BASE,
+        *sql.splitting(2, clients=OWNERS),
+        f"ranked AS (SELECT s.*, gap, row_number() OVER (PARTITION BY s.client_id ORDER BY nearest DESC, k1, k2, k3, k4, k5) AS rank FROM s_2 s JOIN fars f ON s.client_id = f.client_id)",
+        f"centres AS (SELECT client_id, 0 AS j, {', '.join(FEW)} FROM c_1 UNION ALL SELECT client_id, 1, {', '.join(FEW)} FROM c_2 UNION ALL SELECT client_id, 1 + rank, {', '.join(FEW)} FROM ranked WHERE rank <= 6 AND nearest > 0.6e0 * gap)",
+        f"met AS (SELECT r.*, j, {distance} AS d FROM own r JOIN centres c ON r.client_id = c.client_id)",
+        f"g AS (SELECT k1, k2, k3, k4, k5, client_id, arg_min(j, {{'d': d, 'j': j}}) AS cluster_id FROM met GROUP BY ALL)",
+    ]
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT {_LABELS} FROM g"
 
 
-_SWEEP = f"{sql.splitting(2)[0]}, ranked AS (SELECT client_id, nearest, row_number() OVER (PARTITION BY client_id ORDER BY nearest DESC, k1, k2, k3, k4, k5) AS rank FROM s2) SELECT r.client_id, CAST(2 + count_if(rank <= 6 AND nearest > 0.6e0 * gap) AS BIGINT) AS centres FROM ranked r JOIN gap ON gap.client_id = r.client_id GROUP BY r.client_id"
+query("maxmin_single_sweep", _sweep_sql())(_kernel(thetas=(0.6,), cap=8, growth="single_sweep"))
 
 
-@in_part("maxmin_single_sweep", _SWEEP, _FIFTH)
-def maxmin_single_sweep(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
-    rows = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 2)
-    first = splitter.maxmin_frame(_own_rows(spark, sf_dir, part), FEW, KEY, 1).groupBy("client_id").agg(F.max("nearest").alias("gap"))
-    ranked = features.rank_in(rows, ["client_id"], [F.desc("nearest"), *KEY])
-    return ranked.join(first, "client_id").groupBy("client_id").agg((F.count_if((F.col("rank") <= 6) & (F.col("nearest") > 0.6 * F.col("gap"))) + 2).alias("centres"))
+def _accept(what: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        found = splitter.split_report(_trained(spark, sf_dir), FEW, KEY, thetas=(1e-9,), min_rows=1, cap=3, accept=what)
+        return found.select("client_id", vec.tidy(F.col(f"{what}_ratio")).alias("ratio"), "accepted")
+
+    return run
 
 
-_PAIRS = "sqrt(" + " + ".join(f"(a.{c} - b.{c}) * (a.{c} - b.{c})" for c in FEW) + ")"
+for _what, _test in (("spread", "spread < 1.2e0"), ("gap", "gap > 0.5e0")):
+    _ctes = [sql.BASE, *sql.splitting(3, clients=OWNERS), *sql.grown(3, None, "g"), *sql.accepting(3, "g")]
+    query(f"split_accept_{_what}", "WITH " + ",\n".join(_ctes) + f"\nSELECT client_id, {sql.tidy(_what, 'ratio')}, {_test} AS accepted FROM g_f")(_accept(_what))
 
+#: What the report and the whole method split by: clients of more rows than the gate, at most n / 50 clusters and eight, the better of two thetas.
+THETAS, GATE, MOST = (0.5, 0.7), 1000, 8
 
-def _accept_sql(what: str) -> str:
-    ctes, last = sql.splitting(3)
-    some = f"three AS MATERIALIZED (SELECT * FROM {last} WHERE client_id < 3)"
-    pairs = f"pairs AS MATERIALIZED (SELECT a.client_id, a.cluster_id AS ca, b.cluster_id AS cb, {_PAIRS} AS d FROM three a JOIN three b ON a.client_id = b.client_id AND (a.k1, a.k2, a.k3, a.k4, a.k5) <> (b.k1, b.k2, b.k3, b.k4, b.k5))"
-    overall = "overall AS (SELECT client_id, avg(d) AS overall FROM pairs GROUP BY client_id)"
-    if what == "spread":
-        inner = "(SELECT client_id, max(d) AS x FROM (SELECT client_id, ca, avg(d) AS d FROM pairs WHERE ca = cb GROUP BY client_id, ca) GROUP BY client_id)"
-        return f"{ctes}, {some}, {pairs}, {overall} SELECT o.client_id, round(x / overall, 6) + 0.0e0 AS ratio, x / overall < 1.2e0 AS accepted FROM overall o JOIN {inner} i ON o.client_id = i.client_id"
-    centres = "centres AS (" + " UNION ALL ".join(f"SELECT client_id, {j} AS j, {', '.join(f'p_{c} AS {c}' for c in FEW)} FROM c{j}" for j in (1, 2, 3)) + ")"
-    inner = f"(SELECT a.client_id, min({_PAIRS}) AS x FROM centres a JOIN centres b ON a.client_id = b.client_id AND a.j < b.j GROUP BY a.client_id)"
-    return f"{ctes}, {some}, {pairs}, {overall}, {centres} SELECT o.client_id, round(x / overall, 6) + 0.0e0 AS ratio, x / overall > 0.5e0 AS accepted FROM overall o JOIN {inner} i ON o.client_id = i.client_id"
 
+def _chosen(gate: int = GATE, most: int = MOST) -> list[str]:
+    """CTEs of splits at both thetas: ``chosen`` (client_id, n, tried, theta, j, spread, gap), the accepted split of the largest gap ratio, then of fewer clusters."""
+    cap = f"least({most}, greatest(2, {{n}} // 50))"
+    ctes = [sql.BASE, *sql.splitting(most, cap, OWNERS)]
+    for k, theta in enumerate(THETAS):
+        ctes += [*sql.grown(most, theta, f"g{k}"), *sql.accepting(most, f"g{k}")]
+    tried = " UNION ALL ".join(f"SELECT f.*, {k} AS tried, {theta!r}e0 AS theta, n, n > {gate} AND f.j > 1 AS counts FROM g{k}_f f JOIN c_1 c ON c.client_id = f.client_id" for k, theta in enumerate(THETAS))
+    ctes.append(f"tried AS MATERIALIZED (SELECT *, counts AND spread < 1.2e0 AS accepted FROM ({tried}))")
+    # without an accepted one the last that was tried is reported
+    order = "{'a': CASE WHEN accepted THEN 0 ELSE 1 END, 'g': CASE WHEN accepted THEN -gap ELSE 0 END, 'j': CASE WHEN accepted THEN j ELSE 0 END, 't': CASE WHEN accepted THEN tried ELSE -tried END}"
+    ctes.append(f"best AS MATERIALIZED (SELECT client_id, arg_min(tried, {order}) AS tried FROM tried WHERE counts GROUP BY client_id)")
+    return ctes
 
-def _accept(what: str) -> Query:
-    def run(spark: SparkSession, sf_dir: str, part: str = "true") -> DataFrame:
-        import pandas as pd
 
-        rows = _own_rows(spark, sf_dir, part)
+def _report_sql() -> str:
+    return "WITH " + ",\n".join(_chosen()) + f"\nSELECT c.client_id, c.n AS n_rows, CAST(CASE WHEN t.accepted THEN t.j ELSE 1 END AS BIGINT) AS n_clusters, coalesce(t.accepted, false) AS accepted, t.theta, {sql.tidy('t.spread', 'spread_ratio')}, {sql.tidy('t.gap', 'gap_ratio')} FROM c_1 c LEFT JOIN best b ON b.client_id = c.client_id LEFT JOIN tried t ON t.client_id = b.client_id AND t.tried = b.tried"
+
+
+@query("split_report", _report_sql())
+def split_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = splitter.split_report(_trained(spark, sf_dir), FEW, KEY, thetas=THETAS, min_rows=GATE, most=MOST)
+    return found.withColumns({c: vec.tidy(F.col(c)) for c in ("spread_ratio", "gap_ratio")})
+
+
+def _split_ctes_at(gate: int, strata: float = 1.0) -> tuple[list[str], str]:
+    """CTEs, and rows of the whole method: the splitter's clusters on scaled rows, and a sample of each if asked for."""
+    ctes = [*_chosen(gate), sql.SCALED.removeprefix(sql.BASE + ",\n")]
+    label = " UNION ALL ".join(f"SELECT g.k1, g.k2, g.k3, g.k4, g.k5, g.cluster_id FROM g{k} g JOIN best b ON b.client_id = g.client_id AND b.tried = {k} JOIN tried t ON t.client_id = b.client_id AND t.tried = {k} AND t.accepted" for k in range(len(THETAS)))
+    key = "k1, k2, k3, k4, k5"
+    ctes.append(f"labels_of AS MATERIALIZED ({label})")
+    ctes.append(f"owned AS MATERIALIZED (SELECT CAST(k3 % {OWNERS} AS INTEGER) AS client_id, CAST(k3 % {OWNERS} % {SUBSERVERS} AS INTEGER) AS subserver_id, coalesce(l.cluster_id, 0) AS cluster_id, label AS y, {key}, {', '.join(FEW)} FROM (SELECT * EXCLUDE (cluster_id) FROM few) f LEFT JOIN labels_of l USING (k1, k2, k3, k4, k5) WHERE NOT is_test)")
+    if strata == 1:
+        return ctes, "SELECT * FROM owned"
+    mark = "md5(concat_ws('|', '0', " + ", ".join(f"CAST(k{k} AS VARCHAR)" for k in range(1, 6)) + "))"
+    ctes.append(f"drawn AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY client_id, cluster_id ORDER BY {mark}, {key}) AS place, count(*) OVER (PARTITION BY client_id, cluster_id) AS of FROM owned)")
+    return ctes, f"SELECT * FROM drawn WHERE place <= ceil(of * {strata!r}e0)"
+
+
+def _owned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = workloads.scaled(_base(spark, sf_dir), FEW).where("NOT is_test")
+    client = F.pmod(F.col("k3"), F.lit(OWNERS)).cast("int")
+    return rows.withColumns({"client_id": client, "subserver_id": client % SUBSERVERS})
 
-        def one(own: pd.DataFrame) -> pd.DataFrame:
-            z = own.sort_values(KEY, kind="stable")[FEW].to_numpy(float)
-            label, centres = splitter.maxmin(z, 1e-9, 3)
-            found = splitter.figures(z, label, z[centres])
-            return pd.DataFrame([{"client_id": own["client_id"].iloc[0], "ratio": found[f"{what}_ratio"], "accepted": splitter.accepted(found, what)}])
 
-        return rows.groupBy("client_id").applyInPandas(one, "client_id int, ratio double, accepted boolean").withColumn("ratio", vec.tidy(F.col("ratio")))
+def _whole(three: bool = False, **options) -> Query:
+    """The method from the rows on: clusters, their acceptance, a sample, training in each, both merges (and the third)."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return _vectors(spark, rounds.fit(_owned(spark, sf_dir), FEW, KEY, FedConfig(lr=0.5, **options), three, thetas=THETAS, min_rows=GATE, most=MOST).vectors)
 
     return run
 
 
-for _what in ("spread", "gap"):
-    in_part(f"split_accept_{_what}", _accept_sql(_what), f"{_FIFTH} AND pmod(k3, 10) < 3")(_accept(_what))
+for _name, _options, _three in (("sda_split_rounds", {"rounds": 3, "epochs": 2}, False), ("sda_3t_split_rounds", {"rounds": 2, "epochs": 2}, True), ("sda_split_gradient_rounds", {"rounds": 2, "epochs": 1, "local_mode": "gradient"}, False), ("sda_strata_rounds", {"rounds": 2, "epochs": 1, "strata_fraction": 0.25}, False)):
+    _source, _rows = _split_ctes_at(GATE, _options.get("strata_fraction", 1.0))
+    query(_name, sql.training(**{k: v for k, v in _options.items() if k != "strata_fraction"}, three=_three, source=_source, rows=_rows))(_whole(_three, **_options))
 
 
 @query(
@@ -385,12 +445,6 @@ def stratified_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     return taken.groupBy("client_id", "cluster_id").agg(F.count("*").alias("n"), F.sum(F.col("mix") % 1000003).alias("mark"))
 
 
-@query("split_report")
-def split_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = partitioners.by_key_bucket(_base(spark, sf_dir).where("NOT is_test"), "k3", 50)
-    return splitter.split_report(rows.select("client_id", *KEY, *FEW), FEW, KEY, thetas=(0.5, 0.7))
-
-
 # --- indicators -------------------------------------------------------------------------------------------------------
 
 
@@ -428,10 +482,21 @@ def indicators(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("round", "tp", *(vec.tidy(F.col(n)).alias(n) for n in _NAMES))
 
 
-@query("evaluate_rounds", f"WITH {_BY_ROUND}, c AS (SELECT round, {_COUNTS}, avg(-ln(CASE WHEN label = 1 THEN score ELSE 1 - score END)) AS loss FROM scored GROUP BY round), i AS (SELECT round, tp, fp, tn, fn, loss, {_FIGURES} FROM c)\nSELECT round, tp, fp, tn, fn, {', '.join(sql.tidy(n, n) for n in _NAMES)}, {sql.tidy('loss', 'logloss')} FROM i")
+_KS = f"ranks AS (SELECT round, z, sum(label) AS p, sum(1 - label) AS n FROM margins GROUP BY ALL), gaps AS (SELECT round, sum(p) OVER d / sum(p) OVER w - sum(n) OVER d / sum(n) OVER w AS gap FROM ranks WINDOW d AS (PARTITION BY round ORDER BY z DESC), w AS (PARTITION BY round)), k AS (SELECT round, greatest(max(gap), 0) AS ks FROM gaps GROUP BY round)"
+_MARGINS = "margins AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT CAST({t + 1} AS BIGINT) AS round, label, {sql.margin(w)} AS z FROM few WHERE is_test" for t, w in enumerate(_HISTORY)) + ")"
+
+
+@query("evaluate_rounds", f"WITH {_BY_ROUND}, {_MARGINS}, {_KS}, c AS (SELECT round, {_COUNTS}, avg(-ln(CASE WHEN label = 1 THEN score ELSE 1 - score END)) AS loss FROM scored GROUP BY round), i AS (SELECT round, tp, fp, tn, fn, loss, {_FIGURES} FROM c)\nSELECT round, tp, fp, tn, fn, {', '.join(sql.tidy(n, n) for n in _NAMES)}, {sql.tidy('ks', 'ks')}, {sql.tidy('loss', 'logloss')} FROM i JOIN k USING (round)")
 def evaluate_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = metrics.evaluate_rounds(_few(spark, sf_dir).where("is_test"), FEW, np.arange(1, 5), np.array(_HISTORY))
-    return found.select("round", "tp", "fp", "tn", "fn", *(vec.tidy(F.col(n)).alias(n) for n in (*_NAMES, "logloss")))
+    return found.select("round", "tp", "fp", "tn", "fn", *(vec.tidy(F.col(n)).alias(n) for n in (*_NAMES, "ks", "logloss")))
+
+
+@query("ks_curve", f"WITH {sql.SCALED}, {_MARGINS}, {_KS}\nSELECT round, {sql.tidy('ks', 'value')}, {sql.tidy('avg(ks) OVER (ORDER BY round ROWS 1 PRECEDING)', 'smooth')}, {sql.tidy('ks - lag(ks) OVER (ORDER BY round)', 'gain')} FROM k")
+def ks_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = metrics.evaluate_rounds(_few(spark, sf_dir).where("is_test"), FEW, np.arange(1, 5), np.array(_HISTORY))
+    found = metrics.curves(found.withColumn("method", F.lit("run")), "ks", window=2)
+    return found.select("round", *(vec.tidy(F.col(c)).alias(c) for c in ("value", "smooth", "gain")))
 
 
 @query("roc_curve", f"WITH {sql.SCORED}, {sql.ROC.format(source='(SELECT label, round(score, 3) AS score FROM scored)')}\nSELECT threshold, tp, fp, {sql.tidy('tpr', 'tpr')}, {sql.tidy('fpr', 'fpr')} FROM roc")
@@ -541,16 +606,6 @@ def quality_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", *(vec.tidy(F.col(f"x{k}")).alias(f"x{k}") for k in range(1, 7)), "label")
 
 
-@query("quality_fedavg")
-def quality_fedavg(spark: SparkSession, sf_dir: str) -> DataFrame:
-    columns = [f"x{k}" for k in range(1, 7)]
-    rows = features.standardize(workloads.document_quality(spark, sf_dir), columns)
-    held = blocks.to_blocks(rows, columns, order=["doc_id"]).persist()
-    result = rounds.train(held, 7, FedConfig(rounds=5, epochs=5, lr=0.5).fedavg())
-    held.unpersist()
-    return result.scored(rows, columns, "fedavg").select("method", "round", "accuracy", "recall", "logloss")
-
-
 @query("embedding_ovr", "SELECT CAST(floor(label / 2) AS INTEGER) AS client_id, count(*) AS n, CAST(sum(CASE WHEN label = 0 THEN 1 ELSE 0 END) AS BIGINT) AS positives, round(avg(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE)))), 6) + 0.0e0 AS mean_total FROM embeddings GROUP BY ALL")
 def embedding_ovr(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = workloads.embedding_one_vs_rest(spark, sf_dir)
@@ -558,16 +613,6 @@ def embedding_ovr(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.groupBy("client_id").agg(F.count("*").alias("n"), F.sum("target").cast("long").alias("positives"), vec.tidy(F.avg(total)).alias("mean_total"))
 
 
-@query("embedding_fedavg")
-def embedding_fedavg(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = workloads.wide(workloads.embedding_one_vs_rest(spark, sf_dir), "features", 64).withColumnRenamed("target", "label")
-    columns = [f"x{k}" for k in range(1, 65)]
-    held = blocks.to_blocks(rows, columns, order=["vec_id"]).persist()
-    result = rounds.train(held, 65, FedConfig(rounds=5, epochs=5, lr=0.5).fedavg())
-    held.unpersist()
-    return result.scored(rows, columns, "fedavg").select("method", "round", "accuracy", "recall", "logloss")
-
-
 _USERS = "SELECT user_id, count(*) AS n_events, count_if(event_type = 'purchase') AS n_purchases, sum(value) AS sum_value, avg(value) AS mean_value, count(DISTINCT CAST(ts AS DATE)) AS active_days, avg(CAST(json_extract_string(props, '$.k') AS INTEGER)) AS mean_k FROM events GROUP BY user_id"
 
 
@@ -604,6 +649,132 @@ def activity_last_week(spark: SparkSession, sf_dir: str) -> DataFrame:
     return events.select("event_id", F.count("*").over(week).alias("n_week"))
 
 
+# --- the method and the baselines on the other targets -------------------------------------------------------------------
+
+#: Both methods on scaled training rows, indicators of every round on the test rows.
+_BOTH = {"sda": {}, "fedavg": {"split": False, "client_rule": "samples", "server_rule": "samples", "subserver_rule": "samples"}}
+
+
+def _scale_sql(columns: list[str], keep: str, source: str) -> str:
+    scaled = ", ".join(f"CASE WHEN s_{c} > 0 THEN ({c} - m_{c}) / s_{c} ELSE 0.0e0 END AS {c}" for c in columns)
+    return f"few AS MATERIALIZED (SELECT {keep}, is_test, {scaled} FROM {source}, (SELECT {', '.join(f'avg({c}) AS m_{c}, stddev_samp({c}) AS s_{c}' for c in columns)} FROM {source} WHERE NOT is_test))"
+
+
+def _both_sql(ctes: list[str], columns: list[str], n_rounds: int, epochs: int, three: bool = False) -> str:
+    rows = f"SELECT client_id, {'subserver_id' if three else '0 AS subserver_id'}, 0 AS cluster_id, label AS y, {', '.join(columns)} FROM few WHERE NOT is_test"
+    out = list(ctes)
+    for name, options in _BOTH.items():
+        out += sql.training_ctes(n_rounds, epochs, 0.5, three=three, source=(), rows=rows, features=columns, tag=f"{name}_", **{k: v for k, v in options.items() if k != "subserver_rule" or three})
+    found, last = sql.evaluated(n_rounds, {name: f"{name}_" for name in _BOTH}, f"SELECT label AS y, {', '.join(columns)} FROM few WHERE is_test", columns)
+    return "WITH " + ",\n".join([*out, *found]) + "\n" + last
+
+
+def _both(rows: Callable[[SparkSession, str], DataFrame], columns: list[str], key: list[str], n_rounds: int, epochs: int, three: bool = False, **split_options) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        base = FedConfig(rounds=n_rounds, epochs=epochs, lr=0.5)
+        found = workloads.compare(spark, rows(spark, sf_dir), columns, key, {"sda": base, "fedavg": base.fedavg()}, three, **split_options)[1]
+        return found.select("method", "round", *(vec.tidy(F.col(c)).alias(c) for c in ("accuracy", "recall", "ks", "logloss")))
+
+    return run
+
+
+def _quality_sql(target: str, three: bool) -> str:
+    columns = [f"x{k}" for k in range(1, 7)]
+    rated = f"rated AS MATERIALIZED (SELECT *, doc_id % 7 = 0 AS is_test, CAST(regexp_extract(source, '([0-9]+)$', 1) AS INTEGER) AS client_id, CASE lang WHEN 'en' THEN 0 WHEN 'fr' THEN 1 WHEN 'de' THEN 2 ELSE 3 END AS subserver_id FROM ({_RATIOS.replace('CAST(quality', f'CAST({target}')}))"
+    return _both_sql([rated, _scale_sql(columns, "client_id, subserver_id, label", "rated")], columns, 5, 5, three)
+
+
+# a source sends labelled rows below the splitter's gate at the scale of the comparison, so each is one cluster there
+for _target in ("quality", "toxic"):
+    query(f"{_target}_rounds", _quality_sql(_target, False))(_both(lambda spark, sf_dir, target=_target: workloads.document_quality(spark, sf_dir, target), [f"x{k}" for k in range(1, 7)], ["doc_id"], 5, 5, min_rows=100))
+query("quality_3t_rounds", _quality_sql("quality", True))(_both(lambda spark, sf_dir: workloads.document_quality(spark, sf_dir).withColumn("client_id", F.col("client_id") * 4 + F.col("subserver_id")), [f"x{k}" for k in range(1, 7)], ["doc_id"], 5, 5, True, min_rows=100))
+ORACLES["quality_3t_rounds"] = ORACLES["quality_3t_rounds"].replace("SELECT client_id, subserver_id, 0 AS cluster_id", "SELECT client_id * 4 + subserver_id AS client_id, subserver_id, 0 AS cluster_id")
+
+
+def _embedding_sql() -> str:
+    columns = [f"x{k}" for k in range(1, 65)]
+    rows = f"vectors AS MATERIALIZED (SELECT vec_id % 7 = 0 AS is_test, CAST(floor(label / 2) AS INTEGER) AS client_id, CASE WHEN label = 0 THEN 1.0e0 ELSE 0.0e0 END AS label, {', '.join(f'CAST(embedding[{k}] AS DOUBLE) AS x{k}' for k in range(1, 65))} FROM embeddings)"
+    return _both_sql([rows, _scale_sql(columns, "client_id, label", "vectors")], columns, 3, 2)
+
+
+def _embedded(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return workloads.wide(workloads.embedding_one_vs_rest(spark, sf_dir), "features", 64).withColumnRenamed("target", "label").withColumn("is_test", F.col("vec_id") % 7 == 0)
+
+
+query("embedding_rounds", _embedding_sql())(_both(_embedded, [f"x{k}" for k in range(1, 65)], ["vec_id"], 3, 2))
+
+_ACTS = ["n_events", "sum_value", "mean_value", "active_days", "mean_k"]
+_ACTIVE = f"acts AS MATERIALIZED (SELECT user_id % 7 = 0 AS is_test, CAST(user_id % 10 AS INTEGER) AS client_id, CASE WHEN n_purchases / CAST(n_events AS DOUBLE) > 0.2e0 THEN 1.0e0 ELSE 0.0e0 END AS label, {', '.join(f'CAST({c} AS DOUBLE) AS {c}' for c in _ACTS)} FROM ({_USERS}))"
+
+
+def _active(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return workloads.activity(spark, sf_dir).withColumns({"is_test": F.col("user_id") % 7 == 0, **{c: F.col(c).cast("double") for c in _ACTS}})
+
+
+query("activity_rounds", _both_sql([_ACTIVE, _scale_sql(_ACTS, "client_id, label", "acts")], _ACTS, 4, 5))(_both(_active, _ACTS, ["user_id"], 4, 5))
+
+_TREE = "tree AS MATERIALIZED (SELECT CAST(s_suppkey AS INTEGER) AS client_id, CAST(n_regionkey AS INTEGER) AS subserver_id FROM supplier JOIN nation ON s_nationkey = n_nationkey)"
+
+
+def _natural(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = partitioners.by_key(_base(spark, sf_dir), "k3")
+    return rows.join(workloads.natural_tiers(spark, sf_dir), "client_id").withColumn("cluster_id", F.when(F.col("l_linestatus") == "F", 1).otherwise(0))
+
+
+def _natural_sql() -> str:
+    rows = f"SELECT client_id, subserver_id, CASE WHEN l_linestatus = 'F' THEN 1 ELSE 0 END AS cluster_id, label AS y, {', '.join(FEW)} FROM few WHERE NOT is_test"
+    out = [sql.BASE, _TREE, "own AS MATERIALIZED (SELECT b.*, client_id, subserver_id FROM base b JOIN tree ON k3 = client_id)", _scale_sql(list(FEW), "client_id, subserver_id, l_linestatus, label", "own")]
+    for name, options in _BOTH.items():
+        out += sql.training_ctes(3, 2, 0.5, three=True, source=(), rows=rows, tag=f"{name}_", **options)
+    found, last = sql.evaluated(3, {name: f"{name}_" for name in _BOTH}, f"SELECT label AS y, {', '.join(FEW)} FROM few WHERE is_test")
+    return "WITH " + ",\n".join([*out, *found]) + "\n" + last
+
+
+#: Suppliers below regions, the tree that the tables hold.
+query("natural_3t_rounds", _natural_sql())(_both(_natural, list(FEW), KEY, 3, 2, True))
+
+
+def _ablation_sql() -> str:
+    """Rules at all tiers, with and without clusters, in three tiers: the vector after one round."""
+    out, last = [sql.SCALED], []
+    for k, (split, rule) in enumerate(_ABLATIONS):
+        out += sql.training_ctes(1, 1, 0.5, split=split, client_rule=rule, subserver_rule=rule, server_rule=rule, three=True, source=(), tag=f"a{k}_")
+        last.append(sql.vectors(1, tag=f"a{k}_", name=f"{rule}_{'split' if split else 'whole'}"))
+    return "WITH " + ",\n".join(out) + "\n" + " UNION ALL ".join(last)
+
+
+_ABLATIONS = [(split, rule) for split in (True, False) for rule in weighting.RULES]
+
+
+@query("ablation_rules", _ablation_sql())
+def ablation_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every rule with and without clusters, side by side in one job."""
+    base = FedConfig(rounds=1, epochs=1, lr=0.5)
+    configs = {f"{rule}_{'split' if split else 'whole'}": replace(base, split=split, client_rule=rule, subserver_rule=rule, server_rule=rule) for split, rule in _ABLATIONS}
+    held = blocks.to_blocks(_few(spark, sf_dir).where("NOT is_test"), FEW, order=KEY).persist()
+    try:
+        found = baselines.grid(held, sql.D, configs, three_tier=True)
+    finally:
+        held.unpersist()
+    rows = [(name, 1, *map(float, r.weights)) for name, r in found.items()]
+    df = spark.createDataFrame(rows, "method string, round long, " + ", ".join(f"w{k} double" for k in range(sql.D)))
+    return df.select("method", "round", *(vec.tidy(F.col(f"w{k}")).alias(f"w{k}") for k in range(sql.D)))
+
+
+# --- set operations on keys ------------------------------------------------------------------------------------------------
+
+
+def _keys(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    return table(spark, sf_dir, "customer", ["c_nationkey"]).select(F.col("c_nationkey").alias("nation")), table(spark, sf_dir, "supplier", ["s_nationkey"]).select(F.col("s_nationkey").alias("nation"))
+
+
+for _name, _operation in (("keys_intersect_all", "intersectAll"), ("keys_except", "subtract"), ("keys_except_all", "exceptAll")):
+    _words = {"intersectAll": "INTERSECT ALL", "subtract": "EXCEPT", "exceptAll": "EXCEPT ALL"}[_operation]
+    query(_name, f"SELECT nation, count(*) AS n FROM (SELECT c_nationkey AS nation FROM customer {_words} SELECT s_nationkey FROM supplier) GROUP BY nation")(
+        lambda spark, sf_dir, operation=_operation: (lambda a, b: getattr(a, operation)(b))(*_keys(spark, sf_dir)).groupBy("nation").agg(F.count("*").alias("n"))
+    )
+
+
 # --- layouts of histories ---------------------------------------------------------------------------------------------
 
 _TWO = f"WITH {_BY_ROUND}, c AS (SELECT round, {_COUNTS} FROM scored GROUP BY round), i AS (SELECT round, {_FIGURES} FROM c), two AS (SELECT 'a' AS method, round, accuracy, recall FROM i UNION ALL SELECT 'b', round, accuracy / 2, recall / 2 FROM i WHERE round > 1)"
@@ -652,24 +823,24 @@ def top_deviating(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query("experiment_two_tier")
-def experiment_two_tier(spark: SparkSession, sf_dir: str) -> DataFrame:
+def experiment_two_tier(spark: SparkSession, sf_dir: str, rounds: int = 400) -> DataFrame:
     """The method and the baseline on unscaled features, summaries across all 400 rounds."""
-    base = FedConfig()
+    base = FedConfig(rounds=rounds)
     _, history = workloads.late_shipment_run(spark, sf_dir, {"sda": base, "fedavg": base.fedavg()}, k=100, scale="none")
     return workloads.summary(history)
 
 
 @query("experiment_three_tier")
-def experiment_three_tier(spark: SparkSession, sf_dir: str) -> DataFrame:
-    base = FedConfig()
+def experiment_three_tier(spark: SparkSession, sf_dir: str, rounds: int = 400) -> DataFrame:
+    base = FedConfig(rounds=rounds)
     _, history = workloads.late_shipment_run(spark, sf_dir, {"sda_3t": base, "fedavg_3t": base.fedavg()}, k=100, q=5, scale="none")
     return workloads.summary(history)
 
 
 @query("ablation_grid")
-def ablation_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every rule, at all tiers and at each alone, with and without splitting, under every partition and with two and three tiers: final indicators."""
-    base, found = FedConfig(), None
+def ablation_grid(spark: SparkSession, sf_dir: str, rounds: int = 20) -> DataFrame:
+    """Every rule, at all tiers and at each alone, with and without splitting, under every partition and with two and three tiers, 20 rounds each: final indicators."""
+    base, found = FedConfig(rounds=rounds), None
     for scheme in workloads.SCHEMES:
         for tiers in (2, 3):
             _, history = workloads.late_shipment_run(spark, sf_dir, baselines.tier_ablations(base, tiers == 3), scheme=scheme, k=20, q=5 if tiers == 3 else None)

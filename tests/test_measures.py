@@ -99,6 +99,23 @@ def test_ks_of_rounds_counts_saturated_scores(spark):
         m = b + a * x
         want = max(0.0, *((m[y == 1] >= t).mean() - (m[y == 0] >= t).mean() for t in m))
         assert abs(got[k] - want) < 1e-12
-    # nearly all scores lie in the last of 1000 bins
-    binned = {q["round"]: q["ks"] for q in metrics.evaluate_rounds(df, ["x1"], np.arange(1, 5), vectors, bins=1000).collect()}
-    assert got[2] > 0.5 and binned[2] < 0.1
+    # one class only
+    alone = metrics.evaluate_rounds(df.where("label = 1"), ["x1"], np.arange(1, 5), vectors).collect()
+    assert all(q["ks"] == 0 and q["tn"] == 0 for q in alone)
+
+
+def test_ks_looks_into_few_bins_and_adds_up_cells(spark, monkeypatch):
+    r = np.random.default_rng(2)
+    x = np.concatenate([r.normal(size=3000), r.normal(size=3000) + 0.4, np.zeros(50)])
+    y = np.concatenate([np.zeros(3000), np.ones(3000), r.integers(0, 2, 50)])
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in zip(x, y, strict=True)], "x1 double, label double").repartition(3)
+    vectors = np.array([[0.0, 1.0], [1e-9, 1e-12], [-3.0, 40.0]])
+    want = []
+    for b, a in vectors:
+        m = b + a * x
+        want.append(max((m[y == 1] >= t).mean() - (m[y == 0] >= t).mean() for t in np.unique(m)))
+    for held, bits in ((4_000_000, 18), (100, 18), (100, 6), (100, 40)):
+        monkeypatch.setattr(metrics, "HELD_CELLS", held)
+        monkeypatch.setattr(metrics, "BIN_BITS", bits)
+        got = {q["round"]: q["ks"] for q in metrics.evaluate_rounds(df, ["x1"], np.arange(1, 4), vectors).collect()}
+        assert [got[k + 1] for k in range(3)] == pytest.approx(want, abs=1e-12)

@@ -1,5 +1,9 @@
+import hashlib
+import math
+
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from devfed import queries
 from devfed.operators import splitter
@@ -110,41 +114,75 @@ def test_frame_and_kernel_agree_and_samples_nest(spark):
     assert splitter.report(split).first()["clients"] == 3
 
 
-@pytest.mark.parametrize("name", sorted(set(queries.PART_ORACLES) - {"maxmin_assign"}))
-def test_part_matches_sql(spark, sf_dir, name):
-    # maxmin_assign: see SKIPPED in test_oracles
-    import duckdb
-
-    con = duckdb.connect()
-    for t in ("lineitem", "orders", "supplier", "part", "customer", "nation", "region"):
-        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf_dir}/{t}.parquet'")
-    text, part = queries.PART_ORACLES[name]
-    found = con.execute(text)
-    df = queries.QUERIES[name](spark, sf_dir, part).select(*(d[0] for d in found.description))
-    tidy = lambda rows: sorted(tuple(f"{v:.5f}" if isinstance(v, float) else str(v) for v in r) for r in rows)
-    assert tidy(map(tuple, df.collect())) == tidy(found.fetchall())
-
-
 def test_splitter_queries_take_all_training_rows(spark, sf_dir):
-    rows = queries._trained(spark, sf_dir, "true").select("client_id", *queries.KEY, *queries.FEW).toPandas()
+    rows = queries._trained(spark, sf_dir).toPandas()
     sizes = rows.groupby("client_id").size().to_dict()
-    assert len(sizes) == 10 and sum(sizes.values()) == queries._base(spark, sf_dir).where("NOT is_test").count()
+    assert sum(sizes.values()) == queries._base(spark, sf_dir).where("NOT is_test").count()
     run = lambda name: queries.QUERIES[name](spark, sf_dir).toPandas()
-    assert len(run("maxmin_assign")) == len(rows)
-    assert run("maxmin_centers").groupby("client_id")["n"].sum().to_dict() == sizes
-    kernel, sweep, spread, gap = (run(n).set_index("client_id") for n in ("maxmin_kernel", "maxmin_single_sweep", "split_accept_spread", "split_accept_gap"))
-    assert set(sizes) == set(sweep.index) == set(spread.index) == set(gap.index) and kernel["n_rows"].to_dict() == sizes
-    assert kernel["n_clusters"].to_dict() == run("maxmin_centers").groupby("client_id").size().to_dict()
+    assert len(run("maxmin_assign")) == len(run("maxmin_kernel")) == len(run("maxmin_single_sweep")) == len(rows)
+    kernel, spread, gap = run("maxmin_kernel").groupby("client_id")["cluster_id"].nunique(), *(run(n).set_index("client_id") for n in ("split_accept_spread", "split_accept_gap"))
+    assert set(sizes) == set(kernel.index) == set(spread.index) == set(gap.index)
     for client, own in rows.sort_values(queries.KEY).groupby("client_id"):
         x = own[queries.FEW].to_numpy(float)
         z = (x - x.mean(axis=0)) / x.std(axis=0, ddof=1)
         pairs = np.sqrt(((z[:, None] - z[None]) ** 2).sum(axis=2))
         # the farthest row from all centres, by brute force
         centres = [0]
-        while len(centres) < 4 and (len(centres) == 1 or pairs[centres].min(axis=0).max() > 0.6 * pairs[0].max()):
+        while len(centres) < 8 and (len(centres) == 1 or pairs[centres].min(axis=0).max() > 0.6 * pairs[0].max()):
             centres.append(int(pairs[centres].min(axis=0).argmax()))
-        assert kernel.loc[client, "n_clusters"] == len(centres)
+        assert kernel[client] == len(centres)
         label, three = splitter.maxmin(z, 1e-9, 3)
         overall, mean = pairs.sum() / (len(z) * (len(z) - 1)), lambda d: d.sum() / max(1, len(d) * (len(d) - 1))  # noqa: B023
         assert spread.loc[client, "ratio"] == pytest.approx(max(mean(pairs[np.ix_(label == j, label == j)]) for j in range(3)) / overall, abs=2e-6)
         assert gap.loc[client, "ratio"] == pytest.approx(min(pairs[a, b] for a in three for b in three if a < b or a > b) / overall, abs=2e-6)
+
+
+def test_queries_change_with_the_kernel(spark, sf_dir, monkeypatch):
+    run = lambda name: sorted(map(tuple, queries.QUERIES[name](spark, sf_dir).collect()))
+    names = ("maxmin_kernel", "maxmin_single_sweep")
+    before = [run(n) for n in names]
+    # what the workers get is the function of this name
+    monkeypatch.setattr(splitter, "_split", lambda rows, features, options: (np.zeros(len(rows), int), {}))
+    assert all(run(n) != b for n, b in zip(names, before, strict=True))
+
+
+def test_whole_method_splits_below_its_gate_too(spark, sf_dir, monkeypatch):
+    import duckdb
+
+    # half of the owners have more rows than the gate
+    gate = int(queries._trained(spark, sf_dir).groupBy("client_id").count().toPandas()["count"].median())
+    monkeypatch.setattr(queries, "GATE", gate)
+    con = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf_dir}/{t}.parquet'")
+    report = queries.split_report(spark, sf_dir)
+    assert report.where("accepted").count() > 0 and report.where("NOT accepted").count() > 0
+    source, rows = queries._split_ctes_at(gate)
+    found = con.execute(queries.sql.training(2, 1, source=source, rows=rows)).fetchall()
+    got = [tuple(r) for r in queries._whole(rounds=2, epochs=1)(spark, sf_dir).collect()]
+    assert np.allclose(sorted(found), sorted(got), atol=2e-6)
+
+
+def test_frame_growth_scans_once_a_centre(spark):
+    df = spark.range(200).selectExpr("id AS k", "CAST(id % 3 AS INT) AS client_id", "rand(1) AS x1", "rand(2) AS x2")
+    scans = lambda n: splitter.maxmin_frame(df, ["x1", "x2"], ["k"], n)._jdf.queryExecution().optimizedPlan().toString().count("Range (")
+    assert scans(2) == scans(6) == 1
+
+
+def test_ranks_by_mark_are_those_of_one_window(spark):
+    rows = spark.range(3000).selectExpr("id AS k", "CAST(CASE WHEN id % 10 < 7 THEN NULL ELSE id % 4 END AS INT) AS g")
+    found = splitter.ranked(rows, F.md5(F.col("k").cast("string")), 0.13, ["g"], ["k"]).toPandas()
+    everyone = rows.toPandas()
+    everyone["mark"] = [hashlib.md5(str(k).encode()).hexdigest() for k in everyone["k"]]
+    for _, own in everyone.groupby("g", dropna=False):
+        want = own.sort_values("mark")["k"].tolist()[: math.ceil(len(own) * 0.13)]
+        got = found[found["k"].isin(own["k"])].sort_values("rank")
+        assert got["k"].tolist() == want and got["rank"].tolist() == list(range(1, len(want) + 1))
+
+
+def test_first_centres(spark):
+    z = np.random.default_rng(1).normal(size=(50, 2)) + 3
+    assert splitter.first_centre(z, "medoid") == int(np.linalg.norm(z - z.mean(axis=0), axis=1).argmin())
+    assert splitter.first_centre(z, "hash", [f"{97 * k % 50:02d}" for k in range(50)]) == 0
+    with pytest.raises(ValueError):
+        splitter.maxmin(z, seed_rule="hash")

@@ -120,10 +120,65 @@ def test_experiments_are_registered_in_full(spark, monkeypatch):
     for name in ("experiment_two_tier", "experiment_three_tier"):
         assert queries.QUERIES[name](spark, "").count() > 0
     grid = queries.QUERIES["ablation_grid"](spark, "")
-    assert {c.rounds for _, _, configs in runs for c in configs.values()} == {400}
+    assert {c.rounds for _, _, configs in runs[:2] for c in configs.values()} == {400}
+    assert {c.rounds for _, _, configs in runs[2:] for c in configs.values()} == {20}
     assert {(s, q) for s, q, _ in runs[2:]} == {(s, q) for s in workloads.SCHEMES for q in (None, 5)}
     assert grid.count() == grid.select("scheme", "tiers", "method").distinct().count() == sum(len(configs) for _, _, configs in runs[2:])
     three = next(configs for _, q, configs in runs[2:] if q == 5)
     assert {(c.client_rule, c.subserver_rule, c.server_rule) for c in three.values()} >= {tuple(r if k == t else "samples" for k in range(3)) for r in ("proportional", "inverse", "complement", "uniform") for t in range(3)}
     # with and without splitting, where a rule at that tier alone can act
     assert {c.split for c in three.values() if (c.client_rule, c.server_rule) == ("samples", "inverse")} == {True, False}
+
+
+def test_configurations_side_by_side_equal_runs_one_by_one(spark, held, monkeypatch):
+    configs = {"a": FedConfig(rounds=3, epochs=2), "b": FedConfig(rounds=2, epochs=1).fedavg(), "c": FedConfig(rounds=2, epochs=1, quorum=0.5, sub_rounds=2)}
+    for three in (False, True):
+        together = rounds.simulate(held, 3, configs, three)
+        for name, cfg in configs.items():
+            alone = rounds.train(held, 3, cfg, three)
+            assert np.allclose(together[name].vectors, alone.vectors) and sorted(together[name].ledger.collect()) == sorted(alone.ledger.collect())
+    monkeypatch.setattr(rounds, "SIMULATED_BYTES", 0)
+    assert np.allclose(rounds.simulate(held, 3, configs)["a"].vectors, rounds.train(held, 3, configs["a"]).vectors)
+
+
+def test_early_stop_leaves_its_history(spark, held, tmp_path):
+    path = str(tmp_path / "h")
+    rounds.train(held, 3, FedConfig(rounds=9, epochs=1, tol=1e9, history_path=path))
+    assert spark.read.parquet(path).count() == 1
+    assert rounds.train(held, 3, FedConfig(rounds=2, epochs=1, history_path=path)).first_round == 2
+
+
+def test_members_are_trained_once_a_round_and_their_owners_need_not_be_known(held, monkeypatch):
+    seen, own = [], weighting.merge
+
+    def merge(members, *a, **k):
+        merged = own(members, *a, **k)
+        seen.append(merged._jdf.queryExecution().optimizedPlan().toString())
+        return merged
+
+    monkeypatch.setattr(weighting, "merge", merge)
+    for rule in ("proportional", "inverse"):
+        rounds.train(held, 3, FedConfig(rounds=1, epochs=1, engine="frame", server_rule=rule))
+    assert seen and all("MapInArrow" not in p and "Window" not in p for p in seen)
+    cfg = FedConfig(rounds=3, epochs=1, quorum=0.5, engine="frame")
+    want = rounds.train(held, 3, cfg)
+    monkeypatch.setattr(rounds, "DRIVER_CLIENTS", 2)
+    assert np.allclose(rounds.train(held, 3, cfg).vectors, want.vectors)
+
+
+def test_batches_in_stored_order():
+    r = np.random.default_rng(3)
+    x, y, w = r.normal(size=(10, 2)), (r.random(10) > 0.5).astype(float), np.zeros(2)
+    for rows in (slice(0, 4), slice(4, 8), slice(8, 10)):
+        w = w - 0.1 * localtrain.gradient(x[rows], y[rows], w)
+    assert np.allclose(localtrain.sgd(x, y, np.zeros(2), 1, 0.1, 4, shuffle=False), w)
+    assert np.allclose(localtrain.sgd_stream([(x, y)], np.zeros(2), 1, 0.1, 4, shuffle=False), w)
+
+
+def test_strata_are_a_part_of_each_cluster(spark):
+    df = spark.range(400).selectExpr("id AS k", "CAST(id % 2 AS INT) AS client_id", "CAST(id % 3 AS INT) AS cluster_id", "rand(3) AS x1", "CAST(id % 5 < 2 AS DOUBLE) AS label")
+    n = lambda f: rounds.prepare(df, ["x1"], ["k"], FedConfig(strata_fraction=f)).groupBy("client_id", "cluster_id").agg({"n": "sum"}).toPandas().sort_values(["client_id", "cluster_id"])["sum(n)"].tolist()
+    assert n(1.0) == df.groupBy("client_id", "cluster_id").count().orderBy("client_id", "cluster_id").toPandas()["count"].tolist()
+    assert n(0.1) == [-(-c // 10) for c in n(1.0)]
+    with pytest.raises(ValueError):
+        FedConfig(strata_fraction=0)
