@@ -14,7 +14,8 @@ CLIP = vec.CLIP
 
 
 def _logistic(z: np.ndarray, y: np.ndarray) -> np.ndarray:
-    return 1 / (1 + np.exp(-np.clip(z, -CLIP, CLIP))) - y
+    # a plain minimum and maximum cost less than clip on the short vectors of a cluster
+    return 1 / (1 + np.exp(np.minimum(np.maximum(-z, -CLIP), CLIP))) - y
 
 
 def _squared(z: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -55,6 +56,8 @@ def sgd(x: np.ndarray, y: np.ndarray, w: Sequence[float], epochs: int, lr: float
 def sgd_stream(blocks: Sequence[tuple[np.ndarray, np.ndarray]] | Iterable, w: Sequence[float], epochs: int, lr: float, batch: int | None = None, seed: int = 0, loss: str = "logistic", shuffle: bool = True) -> np.ndarray:
     """The same over a cluster's blocks without joining them: whole epochs add up the blocks' gradients; batches don't cross blocks."""
     w, blocks = np.array(w, float), list(blocks)
+    if len(blocks) == 1:
+        return sgd(*blocks[0], w, epochs, lr, batch, seed, loss, shuffle)
     n = sum(len(y) for _, y in blocks)
     for epoch in range(epochs):
         if batch is None:

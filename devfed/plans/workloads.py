@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Sequence
 from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -72,7 +73,7 @@ def dealt(df: DataFrame, scheme: str, k: int) -> DataFrame:
 SCHEMES = ("attribute", "natural", "range", "label", "iid", "unequal")
 
 
-def late_shipment_run(spark: SparkSession, sf_dir: str, configs: dict[str, FedConfig], scheme: str = "attribute", k: int = 100, q: int | None = None, scale: str = "global", columns: Sequence[str] = tuple(ALL_FEATURES), split: bool = True, **split_options) -> tuple[dict[str, FedResult], DataFrame]:
+def late_shipment_run(spark: SparkSession, sf_dir: str, configs: dict[str, FedConfig], scheme: str = "attribute", k: int = 100, q: int | None = None, scale: str = "global", columns: Sequence[str] = tuple(ALL_FEATURES), split: bool = True, only_last: bool = False, **split_options) -> tuple[dict[str, FedResult], DataFrame]:
     """Trains every configuration on one partition of the rows; results by name, and the indicators of all rounds on the test rows."""
     columns = list(columns)
     rows = scaled(late_shipment(spark, sf_dir), columns, "none" if scale == "client" else scale)
@@ -80,20 +81,22 @@ def late_shipment_run(spark: SparkSession, sf_dir: str, configs: dict[str, FedCo
     if scale == "client":
         train = features.standardize(train, columns, ["client_id"])
     train = train.withColumn("subserver_id", F.pmod(F.col("client_id"), F.lit(q or 1)))
-    return trained(spark, train, rows.where("is_test"), columns, KEY, configs, q is not None, split, **split_options)
+    return trained(spark, train, rows.where("is_test"), columns, KEY, configs, q is not None, split, only_last, **split_options)
 
 
-def trained(spark: SparkSession, train: DataFrame, test: DataFrame, columns: Sequence[str], key: Sequence[str], configs: dict[str, FedConfig], three_tier: bool = False, split: bool = True, **split_options) -> tuple[dict[str, FedResult], DataFrame]:
-    """Every configuration on one split of the same training rows; results by name, and the indicators of all rounds on the test rows."""
+def trained(spark: SparkSession, train: DataFrame, test: DataFrame, columns: Sequence[str], key: Sequence[str], configs: dict[str, FedConfig], three_tier: bool = False, split: bool = True, only_last: bool = False, **split_options) -> tuple[dict[str, FedResult], DataFrame]:
+    """Every configuration on one split of the same training rows; results by name, and the indicators of all rounds, or of the last alone, on the test rows."""
     columns, base = list(columns), next(iter(configs.values()))
     held = rounds.prepare(train, columns, key, replace(base, split=split), **split_options).persist()
     test = test.select(*columns, "label").persist()
     try:
         results = rounds.simulate(held, len(columns) + 1, configs, three_tier)
-        history = None
-        for name, result in results.items():
-            scored = result.scored(test, columns, name)
-            history = scored if history is None else history.unionByName(scored)
+        # all rounds of all configurations are scored together, and told apart by a running number
+        numbers = [(name, result.first_round + k) for name, result in results.items() for k in range(len(result.vectors) - 1 if only_last else 0, len(result.vectors))]
+        vectors = np.concatenate([result.vectors[-1:] if only_last else result.vectors for result in results.values()])
+        scored = metrics.evaluate_rounds(test, columns, np.arange(len(vectors)), vectors)
+        named = spark.createDataFrame([(k, *n) for k, n in enumerate(numbers)], "at long, method string, number long")
+        history = scored.withColumnRenamed("round", "at").join(F.broadcast(named), "at").select("method", F.col("number").alias("round"), *scored.columns[1:])
         history = spark.createDataFrame(history.collect(), history.schema)
     finally:
         held.unpersist()

@@ -843,7 +843,7 @@ def ablation_grid(spark: SparkSession, sf_dir: str, rounds: int = 20) -> DataFra
     base, found = FedConfig(rounds=rounds), None
     for scheme in workloads.SCHEMES:
         for tiers in (2, 3):
-            _, history = workloads.late_shipment_run(spark, sf_dir, baselines.tier_ablations(base, tiers == 3), scheme=scheme, k=20, q=5 if tiers == 3 else None)
+            _, history = workloads.late_shipment_run(spark, sf_dir, baselines.tier_ablations(base, tiers == 3), scheme=scheme, k=20, q=5 if tiers == 3 else None, only_last=True)
             last = history.where(F.col("round") == base.rounds).select(F.lit(scheme).alias("scheme"), F.lit(tiers).alias("tiers"), "method", "accuracy", "recall", "f1", "ks", "logloss")
             found = last if found is None else found.unionByName(last)
     return found
