@@ -4,18 +4,23 @@ A tolerant parser builds the element tree (implied end tags, void and raw-text e
 end tags). Trees judge every element by subtree density, link density, attribute tokens, depth,
 sibling statistics and what its ancestors are. A bottom-up pass then chooses, for each subtree,
 the best of "all of it", "none of it" and "each child as is best for it", so that no kept element
-lies in a dropped one. Elements that never hold text of their own kind (scripts, styles, forms,
-head) are dropped before.
+lies in a dropped one. Elements that never hold main text (scripts, styles, forms, head) are dropped
+before, with all in them.
+
+Attribute tokens (of class, id, role and itemprop) count by what was learned of them: each is hashed into one of TOKENS
+places, a place's weight is the log odds with which training elements with such a token were main text, and
+trees see the sum, least and most of an element's and of its ancestors' weights. No word list is given.
 
 The model is trained here, on PAGES generated pages of many layouts (a bounded sample whose
-labels are known by construction), and sent to the executors as three small arrays.
+labels are known by construction), and sent to the executors as a few small arrays. The trees see weights that
+the other half of the pages gave, as they will with tokens of pages that they don't know.
 
 Text: character references are decoded; white space (space, \t, \n, \v, \f, \r) inside a block
 becomes one space; blocks are trimmed, empty ones left out, and joined by one \n. Block elements
 begin and end blocks; <br> is white space. Defined results: a null or empty page, and one
 without main text, gives an empty text; repeated rows are handled one by one; an empty table
-gives an empty result; only the named columns are read. Memory is bounded by a batch of rows
-and the longest page.
+gives an empty result; only the named columns are read. U+00A0 and other white space beyond ASCII stays as it is. Time grows with a
+page's length, however deep its elements lie. Memory is bounded by a batch of rows and the longest page.
 """
 
 from __future__ import annotations
@@ -24,7 +29,10 @@ import functools
 import html as entities
 import random
 import re
+import zlib
+from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +42,7 @@ from pyspark.sql import functions as F
 from . import gbt
 
 #: Generated pages for training; a bound of the labelled sample.
-PAGES, SEED = 1000, 7
+PAGES, SEED, TREES = 1000, 7, 40
 #: Weight of an element's own verdict beside that of its texts (1 each).
 CONTAINER = 0.05
 
@@ -49,9 +57,8 @@ ENDS_P = BLOCKS - frozenset("caption legend optgroup option summary tbody td tfo
 ENDS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tbody", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
 SCOPES = frozenset("ul ol dl table select div article section main body html aside nav footer header td th".split())
 
-# fixed values: attribute tokens that tell what an element is for
-GOOD_TOKENS = frozenset("article articlebody body content entry main post story text page hentry prose blog copy".split())
-BAD_TOKENS = frozenset("ad ads advert advertisement adsense aside banner bar breadcrumb breadcrumbs comment comments cookie consent disqus footer foot form header links login menu meta modal nav navbar navigation newsletter notice pagination popup promo promoted related reply replies respond share sharing shoutbox sidebar signup skip social sponsor sponsored subscribe tags toolbar topbar widget widgets".split())
+#: Places that attribute tokens are hashed into, and what a place's counts are shrunk by.
+TOKENS, SHRINK = 8192, 4.0
 
 _TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]*"|'[^']*'|["'])*+)(?:>|\Z)""", re.S)
 _ATTRIBUTE = re.compile(r"""\b(?:class|id|role|itemprop)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
@@ -69,6 +76,7 @@ class Page:
     def __init__(self, source: str) -> None:
         self.tag, self.parent, self.attributes = ["#root"], [-1], [""]
         self.parts: list[tuple[int, str | None]] = []
+        self.open: Counter[str] = Counter()
         stack, at, n = [0], 0, len(source)
         while at < n:
             found = _TAG.search(source, at)
@@ -104,11 +112,14 @@ class Page:
                 at = at or n
             elif name not in VOID:
                 stack.append(node)
+                self.open[name] += 1
 
     def _text(self, node: int, raw: str, decode: bool = True) -> None:
         self.parts.append((node, entities.unescape(raw) if decode and "&" in raw else raw))
 
     def _end(self, stack: list[int], name: str) -> None:
+        if not self.open[name]:
+            return
         for k in range(len(stack) - 1, 0, -1):
             own = self.tag[stack[k]]
             if own == name:
@@ -121,11 +132,12 @@ class Page:
     def _close(self, stack: list[int], k: int) -> None:
         while len(stack) > k:
             node = stack.pop()
+            self.open[self.tag[node]] -= 1
             if self.tag[node] in BLOCKS:
                 self.parts.append((stack[-1], None))
 
     def _implied(self, stack: list[int], name: str) -> None:
-        if name in ENDS_P:
+        if name in ENDS_P and self.open["p"]:
             for k in range(len(stack) - 1, 0, -1):
                 own = self.tag[stack[k]]
                 if own == "p":
@@ -134,6 +146,8 @@ class Page:
                 if own in BLOCKS:
                     break
         for kind in ENDS.get(name, ()):
+            if not self.open[kind]:
+                continue
             for k in range(len(stack) - 1, 0, -1):
                 own = self.tag[stack[k]]
                 if own == kind:
@@ -142,7 +156,17 @@ class Page:
                 if own in SCOPES and own not in ENDS[name]:
                     break
 
-    def features(self) -> np.ndarray:
+    def tokens(self) -> list[tuple[int, list[int]]]:
+        """(element, the places of its attributes' distinct tokens) of the elements that have any."""
+        out = []
+        for i, text in enumerate(self.attributes):
+            if "=" in text:
+                found = {t for a in _ATTRIBUTE.findall(text) for t in _TOKEN.findall("".join(a).lower())}
+                if found:
+                    out.append((i, [place_of(t) for t in found]))
+        return out
+
+    def features(self, weights: np.ndarray) -> np.ndarray:
         """A row for each element."""
         n = len(self.tag)
         parent = np.array(self.parent)
@@ -153,21 +177,21 @@ class Page:
                 own_stops[node] += len(_PUNCTUATION.findall(text))
                 own_words[node] += text.count(" ") + 1
         depth, in_link = np.zeros(n), np.zeros(n, bool)
-        good, bad, tag_good, tag_bad = np.zeros(n), np.zeros(n), np.zeros(n), np.zeros(n)
-        for i, (tag, text) in enumerate(zip(self.tag, self.attributes, strict=True)):
+        # sum, least and most of the element's tokens
+        token = np.zeros((3, n))
+        for i, places in self.tokens():
+            own = weights[places]
+            token[:, i] = own.sum(), min(own.min(), 0.0), max(own.max(), 0.0)
+        tag_good, tag_bad = np.array([t in GOOD_TAGS for t in self.tag], float), np.array([t in BAD_TAGS for t in self.tag], float)
+        above = np.zeros((4, n))
+        for i, tag in enumerate(self.tag):
             up = self.parent[i]
-            tokens = {t for a in _ATTRIBUTE.findall(text) for t in _TOKEN.findall("".join(a).lower())} if "=" in text else ()
-            good[i] = sum(t in GOOD_TOKENS for t in tokens)
-            bad[i] = sum(t in BAD_TOKENS for t in tokens)
-            tag_good[i], tag_bad[i] = tag in GOOD_TAGS, tag in BAD_TAGS
             in_link[i] = tag == "a"
             if up >= 0:
                 depth[i] = depth[up] + 1
                 in_link[i] |= in_link[up]
-        above = np.zeros((4, n))
-        for i in range(1, n):
-            up = self.parent[i]
-            above[:, i] = np.maximum(above[:, up], (good[up], bad[up], tag_good[up], tag_bad[up]))
+                above[0, i] = min(above[0, up], token[1, up])
+                above[1:, i] = np.maximum(above[1:, up], (token[2, up], tag_good[up], tag_bad[up]))
         sums = np.stack([own_text, np.where(in_link, own_text, 0), own_stops, own_words, np.ones(n), np.array([t == "p" for t in self.tag], float), np.array([t == "a" for t in self.tag], float)])
         children, place = np.zeros(n), np.zeros(n)
         for i in range(1, n):
@@ -180,14 +204,16 @@ class Page:
         kind = np.stack([np.array([t == k for t in self.tag], float) for k in TAGS])
         return np.column_stack([
             kind.T, np.log1p(text), np.log1p(own_text), link / np.maximum(text, 1), text / nodes, stops / np.maximum(words, 1), text / np.maximum(words, 1), np.log1p(paragraphs), np.log1p(anchors), depth, children,
-            place / np.maximum(children[up], 1), children[up], text / np.maximum(text[up], 1), link[up] / np.maximum(text[up], 1), text / max(text[0], 1), good, bad, above.T,
+            place / np.maximum(children[up], 1), children[up], text / np.maximum(text[up], 1), link[up] / np.maximum(text[up], 1), text / max(text[0], 1), token.T, above.T,
         ])
 
     def keep(self, margin: np.ndarray) -> np.ndarray:
         """Flags of the kept elements: of every subtree all, none, or what is best for each child."""
         n = len(self.tag)
-        margin = np.clip(margin, -6, 6)
-        margin = np.where([t in NEVER for t in self.tag], -1e6, margin)
+        never = np.zeros(n, bool)
+        for i, tag in enumerate(self.tag):
+            never[i] = tag in NEVER or (i > 0 and never[self.parent[i]])
+        margin = np.where(never, -1e6, np.clip(margin, -6, 6))
         weight = np.full(n, CONTAINER)
         for node, text in self.parts:
             if text and text.strip():
@@ -209,7 +235,7 @@ class Page:
                 state = 1 if every[i] > 0 and every[i] >= mixed[i] else 2 if mixed[i] > 0 else 0
             chosen[i] = state
             out[i] = state == 1 or (state == 2 and margin[i] > 0)
-        return out & np.array([t not in NEVER for t in self.tag])
+        return out & ~never
 
     def text(self, kept: np.ndarray) -> str:
         blocks, now = [], []
@@ -223,6 +249,33 @@ class Page:
         return "\n".join(blocks)
 
 
+@functools.lru_cache(maxsize=1 << 16)
+def place_of(token: str) -> int:
+    return zlib.crc32(token.encode()) % TOKENS
+
+
+@dataclass
+class Model:
+    """Boosted trees and the learned weights of attribute tokens."""
+
+    trees: gbt.Trees
+    tokens: np.ndarray
+
+    def margins(self, pages: list[Page]) -> list[np.ndarray]:
+        rows = [p.features(self.tokens) for p in pages]
+        return np.split(self.trees.margin(np.concatenate(rows)), np.cumsum([len(x) for x in rows])[:-1]) if rows else []
+
+
+def token_weights(pages: list[Page], labels: list[np.ndarray]) -> np.ndarray:
+    """Log odds of main text given a token's place, less those of all elements with tokens; 0 where none was seen."""
+    counts = np.zeros((2, TOKENS))
+    for page, y in zip(pages, labels, strict=True):
+        for i, places in page.tokens():
+            counts[int(y[i]), places] += 1
+    share = (counts[1].sum() + 1) / (counts.sum() + 2)
+    return np.log((counts[1] + SHRINK * share) / (counts[0] + SHRINK * (1 - share))) - np.log(share / (1 - share))
+
+
 def _words(r: random.Random, n: int) -> str:
     out = []
     while len(out) < n:
@@ -232,11 +285,36 @@ def _words(r: random.Random, n: int) -> str:
     return " ".join(out[: max(n, 1)])
 
 
+#: What authors call the parts of pages, for generated ones.
+NAMES = {
+    "menu": "menu nav navbar navigation topnav breadcrumb breadcrumbs crumbs links subnav".split(),
+    "side": "sidebar side widget rail related recommended trending more-stories promo-box secondary".split(),
+    "ad": "ad ads advert advertisement banner promo sponsored sponsor adslot dfp outbrain".split(),
+    "notice": "cookie cookie-notice consent notice alert newsletter signup popup modal share social toast gdpr".split(),
+    "comments": "comments comment-list replies respond discussion thread disqus reactions feedback".split(),
+    "tags": "tags meta pagination pager byline-links categories filed".split(),
+    "head": "header top masthead branding site-header logo".split(),
+    "foot": "footer bottom colophon copyright site-footer legal".split(),
+    "main": "content article post entry story body main text prose article-body post-content entry-content blog page-content copy".split(),
+    "any": "wrapper container row inner box col-8 clearfix wrap block section-1 js-x grid u-mt l-page module".split(),
+}
+
+
 def generate(seed: int) -> tuple[str, list[str]]:
     """A page of a random layout, and its main blocks (marked by construction). Words are invented."""
     r = random.Random(seed)
     some = lambda low, high: _words(r, r.randint(low, high))
-    name = lambda *c: f' {r.choice(("class", "id"))}="{r.choice(c)}"' if r.random() < 0.7 else ""
+
+    def named(kind: str, always: bool = False) -> str:
+        """A class or id for a part of the page, among others that say nothing."""
+        if not always and r.random() < 0.25:
+            return ""
+        own = [r.choice(NAMES[kind])] + [r.choice(NAMES["any"]) for _ in range(r.choice((0, 0, 1, 2)))]
+        if r.random() < 0.2:
+            own.append("c" + "".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(5)))
+        r.shuffle(own)
+        return f' {r.choice(("class", "class", "id"))}="{" ".join(own)}"'
+
     link = lambda: f'<a href="/{r.randint(1, 999)}">{some(1, 3)}</a>'
     links = lambda: "<ul>" + "".join(f"<li>{link()}</li>" for _ in range(r.randint(2, 9))) + "</ul>"
     main: list[str] = []
@@ -244,34 +322,34 @@ def generate(seed: int) -> tuple[str, list[str]]:
     def paragraph() -> str:
         text, tag = some(1, r.choice((4, 12, 40, 160))), r.choice(("p", "p", "p", "p", "p", "h2", "li", "blockquote", "div", "pre"))
         main.append(text)
-        shown = text if r.random() < 0.8 else r.choice((f"<b>{text}<br>", f"<b>{text}</b>", f'<a href="/x">{text}</a>', f"<em>{text}</em>"))
+        shown = text if r.random() < 0.8 else r.choice((f"<b>{text}</b>", f'<a href="/x">{text}</a>', f"<em>{text}</em>", f"<span{named('any')}>{text}</span>", f"<strong><i>{text}</strong>"))
         return f"<ul><li>{shown}</li></ul>" if tag == "li" else f"<{tag}>{shown}" + (f"</{tag}>" if tag != "p" or r.random() < 0.8 else "")
 
     def furniture() -> str:
         kind = r.randrange(9)
         if kind == 0:
-            return r.choice(("<nav{}>{}</nav>", "<div{}>{}</div>")).format(name("menu", "nav", "navbar", "main-nav", "breadcrumbs"), links())
+            return r.choice((f"<nav{named('menu')}>{links()}</nav>", f"<div{named('menu')}>{links()}</div>", f'<div role="navigation">{link()} {link()}</div>'))
         if kind == 1:
-            return f"<aside{name('sidebar', 'widget', 'related')}>{r.choice((links(), f'<p>{some(5, 60)}</p>', f'<h3>{some(1, 3)}</h3>{links()}'))}</aside>"
+            return f"<aside{named('side')}>{r.choice((links(), f'<p>{some(5, 60)}</p>', f'<h3>{some(1, 3)}</h3>{links()}'))}</aside>"
         if kind == 2:
-            return f'<div class="{r.choice(("ad", "ads", "advert", "banner-ad", "promo", "sponsored"))}">{r.choice((some(3, 30), f"<p>{some(3, 30)}</p>"))}</div>'
+            return f"<{(tag := r.choice(('div', 'section')))}{named('ad', True)}>{r.choice((some(3, 30), f'<p>{some(3, 30)}</p>', f'<a href=/x>{some(2, 8)}</a>'))}</{tag}>"
         if kind == 3:
-            return f'<div class="{r.choice(("cookie-notice", "notice", "cookie-consent", "newsletter", "popup", "share", "social"))}"><p>{some(4, 30)}</p></div>'
+            return f"<div{named('notice', True)}><p>{some(4, 30)}</p></div>"
         if kind == 4:
-            return f"<form{name('login', 'search', 'signup')}><label>{some(1, 3)}</label><input type=text><button>{some(1, 2)}</button></form>"
+            return f"<form{named('notice')}><label>{some(1, 3)}</label><input type=text><button>{some(1, 2)}</button></form>"
         if kind == 5:
-            return f'<{r.choice(("div", "section"))} {r.choice(("class", "id"))}="{r.choice(("comments", "comment-list", "replies", "respond"))}"><h3>{some(1, 3)}</h3>' + "".join(f'<div{name("comment", "reply")}><p>{some(3, 60)}</p></div>' for _ in range(r.randint(1, 6))) + "</div>"
+            return f"<{(tag := r.choice(('div', 'section', 'ol')))}{named('comments', True)}><h3>{some(1, 3)}</h3>" + "".join(f"<div{named('comments')}><p>{some(3, 60)}</p></div>" for _ in range(r.randint(1, 6))) + f"</{tag}>"
         if kind == 6:
-            return f'<div class="{r.choice(("sidebar", "widget", "related-links"))}"><p>{some(3, 40)}</p>{links()}</div>'
+            return f"<div{named('side', True)}><p>{some(3, 40)}</p>{links()}</div>"
         if kind == 7:
             return f"<script>var a = '{some(3, 9)}';</script>"
-        return f"<p{name('tags', 'meta', 'pagination')}>{link()} | {link()} | {link()}</p>"
+        return f"<p{named('tags')}>{link()} | {link()} | {link()}</p>"
 
     def around(n: int) -> str:
         return "".join(furniture() for _ in range(r.randint(0, n)))
 
-    head = r.choice(("", f"<header{name('header', 'top')}><h1>{some(1, 4)}</h1>{links()}</header>", f"<nav>{links()}</nav>", f'<div id="header">{link()} {link()}</div>'))
-    foot = r.choice(("", f"<footer{name('footer')}>&copy; {some(2, 30)}</footer>", f'<div class="footer"><p>{some(3, 20)}</p>{links()}</div>'))
+    head = r.choice(("", f"<header{named('head')}><h1>{some(1, 4)}</h1>{links()}</header>", f"<nav>{links()}</nav>", f"<div{named('head', True)}>{link()} {link()}</div>"))
+    foot = r.choice(("", f"<footer{named('foot')}>&copy; {some(2, 30)}</footer>", f"<div{named('foot', True)}><p>{some(3, 20)}</p>{links()}</div>"))
     before, after = around(3), around(3)
     title = some(1, 12)
     body = ""
@@ -282,14 +360,15 @@ def generate(seed: int) -> tuple[str, list[str]]:
     if r.random() < 0.25:
         inside.insert(r.randrange(len(inside) + 1), furniture())
     body += "".join(inside)
-    box = r.choice(("<article>{}</article>", "<article{n}>{}</article>", "<main>{}</main>", "<main><article>{}</article></main>", '<div class="content">{}</div>', '<div id="main-content"><div class="post">{}</div></div>', '<section class="entry">{}</section>', "<div><div>{}</div></div>"))
-    body = box.replace("{n}", name("post", "article", "story")).replace("{}", body)
-    if r.random() < 0.15:
-        # an end tag that is missing: what follows lies inside the article
+    box = r.choice(("<article>{}</article>", "<article{n}>{}</article>", "<main>{}</main>", "<main{n}><article>{}</article></main>", "<div{a}>{}</div>", "<div{a}><div{n}>{}</div></div>", "<section{a}>{}</section>", "<div{a}><div>{}</div></div>"))
+    body = box.replace("{n}", named("main")).replace("{a}", named("main", True)).replace("{}", body)
+    if r.random() < 0.1 and not after:
+        # an end tag that is missing
         body = body[: body.rindex("</")]
     if r.random() < 0.3:
-        body = f'<div class="{r.choice(("wrapper", "container", "page", "row"))}">{body}{around(1)}</div>'
-    return f"<!DOCTYPE html><html><head><title>{title}</title><style>p{{margin:0}}</style></head><body>{head}{before}{body}{after}{foot}</body></html>", main
+        body = f"<div{named('any', True)}>{body}{around(1)}</div>"
+    sheet = r.choice(("", f"<style>.{r.choice(NAMES['main'])}{{color:#{r.randint(100, 999)}}}</style>"))
+    return f"{r.choice(('<!DOCTYPE html>', ''))}<html><head><title>{title}</title>{sheet}</head><body>{head}{before}{body}{after}{foot}{r.choice(('</body></html>', ''))}", main
 
 
 def labelled(page: Page, main: list[str]) -> np.ndarray:
@@ -313,34 +392,32 @@ def labelled(page: Page, main: list[str]) -> np.ndarray:
 
 
 @functools.lru_cache(maxsize=2)
-def model(pages: int = PAGES, seed: int = SEED) -> gbt.Trees:
-    """The trees, trained on generated pages; the same every time."""
-    x, y = [], []
-    for k in range(pages):
-        page = Page((made := generate(seed * 100_003 + k))[0])
-        x.append(page.features())
-        y.append(labelled(page, made[1]))
-    return gbt.train(np.concatenate(x), np.concatenate(y))
-
-
-def main_text(source: str, trees: gbt.Trees) -> str:
+def model(pages: int = PAGES, seed: int = SEED) -> Model:
+    """Trained on generated pages; the same every time."""
+    made = [generate(seed * 100_003 + k) for k in range(pages)]
+    read = [Page(source) for source, _ in made]
+    labels = [labelled(p, main) for p, (_, main) in zip(read, made, strict=True)]
+    # each half is seen with the tokens' weights of the other
+    halves = [token_weights(read[1 - k :: 2], labels[1 - k :: 2]) for k in (0, 1)]
+    x = [p.features(halves[k % 2]) for k, p in enumerate(read)]
+    return Model(gbt.train(np.concatenate(x), np.concatenate(labels), trees=TREES), token_weights(read, labels))
+
+
+def main_text(source: str, fitted: Model) -> str:
     page = Page(source)
-    return page.text(page.keep(trees.margin(page.features())))
+    return page.text(page.keep(fitted.margins([page])[0]))
 
 
-def extract(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", carry: tuple[str, ...] = ("url",), trees: gbt.Trees | None = None) -> DataFrame:
+def extract(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", carry: tuple[str, ...] = ("url",), fitted: Model | None = None) -> DataFrame:
     """One row per row of ``pages``: the id, the carried columns, ``text`` and ``n_chars``. No shuffle."""
     source = pages.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{html_col}`").cast("string").alias("html"), *(F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(carry)))
-    trees = trees or model()
+    fitted = fitted or model()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in (batch.slice(i, 200) for i in range(0, len(batch), 200)):
-                texts = []
                 read = [Page(x or "") for x in part.column(1).to_pylist()]
-                rows = [p.features() for p in read]
-                margins = np.split(trees.margin(np.concatenate(rows)), np.cumsum([len(x) for x in rows])[:-1])
-                texts = [p.text(p.keep(m)) for p, m in zip(read, margins, strict=True)]
+                texts = [p.text(p.keep(m)) for p, m in zip(read, fitted.margins(read), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), *part.columns[2:], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [id_col, *carry, "text", "n_chars"])
 
     kinds = [f"`{c}` {source.schema[f'c{k}'].dataType.simpleString()}" for k, c in enumerate(carry)]
