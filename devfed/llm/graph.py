@@ -2,29 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-
-def checkpoint_folder(spark: SparkSession) -> str:
-    """The shared folder of the session's checkpoints. Only where none is set (tests) a temporary one is made."""
-    context = spark.sparkContext
-    if (folder := context.getConf().get("spark.checkpoint.dir")) is not None:
-        return folder
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
-    return context.getCheckpointDir()
-
-
-def checkpointed(df: DataFrame) -> DataFrame:
-    """df, computed and written to the shared checkpoint folder, so that lost executors cost no lineage."""
-    checkpoint_folder(df.sparkSession)
-    return df.checkpoint()
+from ..sources.checkpoints import folder as checkpoint_folder  # noqa: F401
+from ..sources.checkpoints import materialised as checkpointed
 
 
 #: Edges up to which components are found in one task; a stated bound of its memory.
@@ -79,25 +65,24 @@ def components(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).union(edges.select("b", "b").distinct())
 
 
-#: Bits of a filter that is sent to the executors: 8 MB, however many values it holds.
-FILTER_BITS = 1 << 26
+#: Least and most bits of a filter that is sent to the executors: 8 MB to 64 MB, however many values it holds.
+FILTER_BITS, MOST_FILTER_BITS = 1 << 26, 1 << 29
 
 
 class Filter:
-    """Rows whose value may be among given ones: a bit map of bounded size. It loses no row; the fuller it is, the fewer it drops."""
+    """Rows whose value may be among given ones: a bit map of bounded size, of eight bits for each of ``expected`` values if they fit. It loses no row; the fuller it is, the fewer it drops."""
 
-    def __init__(self, values: DataFrame) -> None:
-        name = values.columns[0]
+    def __init__(self, values: DataFrame, expected: int = 0) -> None:
+        name, self.bits = values.columns[0], min(max(FILTER_BITS, 1 << (8 * expected).bit_length()), MOST_FILTER_BITS)
         at = values.select(self.place(F.col(name)).alias("at"))
         rows = at.groupBy(F.expr("at div 32768").alias("part")).agg(F.bitmap_construct_agg(F.expr("at % 32768")).alias("bits")).collect()
-        bits = np.zeros(FILTER_BITS // 8, np.uint8)
+        bits = np.zeros(self.bits // 8, np.uint8)
         for row in rows:
             bits[row["part"] * 4096 : (row["part"] + 1) * 4096] = np.frombuffer(row["bits"], np.uint8)
         self.sent = values.sparkSession.sparkContext.broadcast(bits.tobytes())
 
-    @staticmethod
-    def place(column: Column) -> Column:
-        return F.pmod(F.xxhash64(column), F.lit(FILTER_BITS))
+    def place(self, column: Column) -> Column:
+        return F.pmod(F.xxhash64(column), F.lit(self.bits))
 
     def of(self, df: DataFrame, name: str) -> DataFrame:
         """The rows of df that may have one of the values in a column."""

@@ -17,13 +17,16 @@ shingle hashes.
    joins one cluster, unfiltered. So clusters may be too large but split no link.
 4. Clusters of up to BLOCK classes are solved exactly, many in a task. Larger ones are
    dealt into blocks: each block by itself, then with the classes of most likeness
-   of all blocks ("hubs"), then whatever is outside the cluster's largest component
-   against all blocks. Each block gives back a spanning forest of its links, never pairs.
+   of all blocks ("hubs"). What is then outside the cluster's largest component meets the classes
+   that shared a leader with it (its "stars") and no others, in blocks of a star; so a cluster
+   that is chained of many small groups costs its groups, not its square. Each block gives back a
+   spanning forest of its links, never pairs.
 
 Defined results: null or empty texts have no shingles and are linked with nothing; rows with
-equal ids are judged by their own text; an empty table gives an empty result; other columns,
-whatever their names, are not read by ``link`` and pass through ``drop_near_copies``. Memory
-is bounded by a slice, two blocks of sets and the longest text.
+equal ids are judged by their own text; a row without an id is linked like any other, and its
+component has the smallest id there is in it (null if none); rows equal in id and text are one document; an
+empty table gives an empty result; other columns, whatever their names, are not read by ``link``
+and pass through ``drop_near_copies``. Memory is bounded by a slice, two blocks of sets and the longest text.
 """
 
 from __future__ import annotations
@@ -32,7 +35,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -90,11 +93,11 @@ def signatures(hashes: np.ndarray, first: np.ndarray, k: int = BANDS * ROWS) ->
 
 
 def _describe(docs: DataFrame) -> DataFrame:
-    """(id, n, cls, bands, sketch) of rows (id, text)."""
+    """(id, key, n, cls, bands, sketch) of rows (id, key, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i, j, t in textnp.slices(batch.column(1), True, 1 << 20):
+            for i, j, t in textnp.slices(batch.column(2), True, 1 << 20):
                 hashes, doc = shingles(t)
                 n = np.bincount(doc, minlength=t.n).astype(np.int64)
                 has = np.flatnonzero(n)
@@ -110,9 +113,9 @@ def _describe(docs: DataFrame) -> DataFrame:
                     for row, d in enumerate(has):
                         bands[d], sketch[d] = keys[row], low[row].tobytes()
                 columns = [pa.array(n), pa.array(cls.view(np.int64), mask=n == 0), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.binary())]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), *columns], ["id", "n", "cls", "bands", "sketch"])
+                yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in batch.columns[:2]), *columns], ["id", "key", "n", "cls", "bands", "sketch"])
 
-    return docs.mapInArrow(run, f"id {docs.schema['id'].dataType.simpleString()}, n long, cls long, bands array<long>, sketch binary")
+    return docs.mapInArrow(run, f"id {docs.schema['id'].dataType.simpleString()}, key long, n long, cls long, bands array<long>, sketch binary")
 
 
 def _compare(pairs: DataFrame) -> DataFrame:
@@ -129,14 +132,14 @@ def _compare(pairs: DataFrame) -> DataFrame:
     return pairs.mapInArrow(run, "key long, cls long, sketch binary, lead long, like int")
 
 
-def _candidates(described: DataFrame) -> DataFrame:
-    """Edges (a, b) that join whatever may be linked into clusters."""
+def _candidates(described: DataFrame, rows_known: int = 0) -> DataFrame:
+    """Edges (a, b) from classes to their leaders: two classes that may be linked share a leader, or one is the other's."""
     rows = described.where("cls IS NOT NULL").select("cls", F.explode("bands").alias("key"))
     # copies of one class are no company; the filter keeps all keys that hold two classes
     shared = rows.groupBy("key").agg(F.min("cls").alias("a"), F.max("cls").alias("z")).where("a < z").select("key")
-    active, found = checkpointed(Filter(shared).of(rows, "key").distinct()), None
+    active, found = checkpointed(Filter(shared, rows_known).of(rows, "key").distinct()), None
     lead = active.groupBy("key").agg(F.min("cls").alias("lead"), F.max("cls").alias("z")).where("lead < z").select("key", "lead")
-    of_these = Filter(active.select("cls")).of(described.where("cls IS NOT NULL").select("cls", "sketch"), "cls")
+    of_these = Filter(active.select("cls"), rows_known).of(described.where("cls IS NOT NULL").select("cls", "sketch"), "cls")
     sketches = checkpointed(of_these.dropDuplicates(["cls"]))
     for k in range(ROUNDS):
         pairs = active.join(lead.join(sketches.toDF("lead", "lead_sketch"), "lead"), "key").where("cls <> lead")
@@ -229,8 +232,20 @@ def _solve_bin(table: pa.Table) -> pa.Table:
     return _edges(np.concatenate([a for a, _ in found]), np.concatenate([b for _, b in found]))
 
 
-def _solve_large(sets: DataFrame) -> DataFrame:
-    """Links in clusters of more than BLOCK classes, given (cls, cluster, size, hashes)."""
+def _meetings(parts: DataFrame, stars: DataFrame, half: int) -> DataFrame:
+    """(cls, star, i, j, left): which classes meet in which block, for stars (a, b) that hold a class outside its cluster's largest component; parts: (cls, rest)."""
+    star = stars.select(F.col("b").alias("star"), F.col("a").alias("cls")).union(stars.select("b", "b").distinct())
+    own = star.join(parts.select("cls", "rest"), "cls")
+    sizes = own.groupBy("star").agg(F.sum(F.col("rest").cast("long")).alias("n_rest"), F.count("*").alias("n")).where("n_rest > 0")
+    own = own.join(sizes.select("star", F.ceil(F.col("n_rest") / half).cast("int").alias("rests"), F.ceil(F.col("n") / half).cast("int").alias("blocks")), "star")
+    block = lambda n: F.pmod(F.xxhash64("cls"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    left = own.where("rest").select("cls", "star", block("rests").alias("i"), every("blocks").alias("j"), F.lit(True).alias("left"))
+    return left.unionByName(own.select("cls", "star", every("rests").alias("i"), block("blocks").alias("j"), F.lit(False).alias("left")))
+
+
+def _solve_large(sets: DataFrame, stars: DataFrame) -> DataFrame:
+    """Links in clusters of more than BLOCK classes, given (cls, cluster, size, hashes) and the candidate edges."""
     half = BLOCK // 2
     n_blocks = F.ceil(F.col("size") / half).cast("int")
     sets = checkpointed(sets.dropDuplicates(["cls"]).withColumn("block", F.pmod(F.xxhash64("cls"), n_blocks).cast("int")))
@@ -257,12 +272,8 @@ def _solve_large(sets: DataFrame) -> DataFrame:
     parts = sets.join(components(edges).withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
     sizes = parts.groupBy("cluster", "component").count()
     largest = sizes.groupBy("cluster").agg(F.max(F.struct("count", "component")).alias("top")).select("cluster", F.col("top.component").alias("largest"))
-    parts = checkpointed(parts.join(largest, "cluster").withColumn("rest", F.col("component") != F.col("largest")).drop("largest"))
-    rest = parts.groupBy("cluster").agg(F.sum(F.col("rest").cast("long")).alias("n_rest")).where("n_rest > 0")
-    parts = parts.join(rest, "cluster").withColumn("rest_blocks", F.ceil(F.col("n_rest") / half).cast("int"))
-    side = lambda df, n, own, other: df.withColumn(other, F.explode(F.sequence(F.lit(0), n - 1))).withColumn(own, F.pmod(F.xxhash64("cls"), F.col("rest_blocks") if own == "i" else n_blocks).cast("int"))
-    left = side(parts.where("rest"), n_blocks, "i", "j").withColumn("left", F.lit(True))
-    right = side(parts, F.col("rest_blocks"), "j", "i").withColumn("left", F.lit(False))
+    parts = checkpointed(parts.join(largest, "cluster").select("cls", (F.col("component") != F.col("largest")).alias("rest")))
+    meetings = _meetings(parts, stars, half).join(sets.select("cls", "hashes"), "cls")
 
     def across(table: pa.Table) -> pa.Table:
         flags = table["left"].to_numpy(zero_copy_only=False)
@@ -275,36 +286,52 @@ def _solve_large(sets: DataFrame) -> DataFrame:
         square[: len(a)], square[:, : len(a)] = links, square[:, : len(a)] | links.T
         return _edges(*_forest(square, np.concatenate([a_names, b_names])))
 
-    third = left.unionByName(right).groupBy("cluster", "i", "j").applyInArrow(across, "a long, b long")
+    third = meetings.groupBy("star", "i", "j").applyInArrow(across, "a long, b long")
     return edges.union(third)
 
 
-def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per row of ``docs``: its id, ``n_shingles``, ``component_id`` (the smallest id in its component) and ``kept`` (that id is its own)."""
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+def _linked_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(id, key, n, component_id, stays) of all rows; key tells rows apart by id and text, stays is true for one key of each component."""
+    texts = docs.select(F.col(f"`{id_col}`").alias("id"), _key(id_col, text_col).alias("key"), F.col(f"`{text_col}`").cast("string").alias("text"))
     described = checkpointed(_describe(texts))
-    plain = described.select("id", "n", "cls")
-    least = plain.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("rep"))
-    clusters = components(_candidates(described)).withColumnRenamed("node", "cls").withColumnRenamed("component", "cluster")
+    rows_known = described.count()
+    plain = described.select("id", "key", "n", "cls")
+    # the row that stands for a class: of the smallest id, rows without one last
+    least = plain.where("cls IS NOT NULL").groupBy("cls").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "key")).alias("rep"))
+    candidates = checkpointed(_candidates(described, rows_known))
+    clusters = components(candidates).withColumnRenamed("node", "cls").withColumnRenamed("component", "cluster")
     sizes = clusters.groupBy("cluster").agg(F.count("*").alias("size"))
     members = checkpointed(clusters.join(sizes, "cluster").join(least, "cls"))
     large = members.where(F.col("size") > BLOCK).select("cluster").limit(1).count() > 0
-    of_these = Filter(members.select("rep")).of(texts, "id")
-    sets = of_these.join(members.withColumnRenamed("rep", "id"), "id").select("cls", "cluster", "size", "text")
+    wanted = members.select("cls", "cluster", "size", F.col("rep.key").alias("key"))
+    # a row that occurs often is fetched once
+    of_these = Filter(wanted.select("key"), rows_known).of(texts.select("key", "text"), "key").dropDuplicates(["key"])
+    sets = of_these.join(wanted, "key").select("cls", "cluster", "size", "text")
     small = _sets(sets.where(F.col("size") <= BLOCK))
     bins = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) * 4, members.count() // 2000)
     edges = small.withColumn("bin", F.pmod(F.xxhash64("cluster"), F.lit(bins))).groupBy("bin").applyInArrow(_solve_bin, "a long, b long")
     if large:
-        edges = edges.union(_solve_large(_sets(sets.where(F.col("size") > BLOCK))))
-    parts = components(edges)
-    named = parts.withColumnRenamed("node", "cls").join(members.select("cls", "rep"), "cls")
-    final = named.join(named.groupBy("component").agg(F.min("rep").alias("component_id")), "component").select("cls", "component_id")
-    by_class = checkpointed(least.join(final, "cls", "left").select("cls", F.coalesce("component_id", "rep").alias("component_id")))
-    out = plain.join(by_class, "cls", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
-    return out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
+        of_large = members.where(F.col("size") > BLOCK).select(F.col("cls").alias("a"))
+        edges = edges.union(_solve_large(_sets(sets.where(F.col("size") > BLOCK)), candidates.join(of_large, "a")))
+    named = components(edges).withColumnRenamed("node", "cls").join(members.select("cls", "rep"), "cls")
+    final = named.join(named.groupBy("component").agg(F.min("rep").alias("first")), "component").select("cls", "first")
+    by_class = checkpointed(least.join(final, "cls", "left").select("cls", F.coalesce("first", "rep").alias("first")))
+    out = plain.join(by_class, "cls", "left")
+    alone = F.col("cls").isNull()
+    return out.select("id", "key", "n", F.when(alone, F.col("id")).otherwise(F.col("first.id")).alias("component_id"), (alone | (F.col("key") == F.col("first.key"))).alias("stays"))
+
+
+def _key(id_col: str, text_col: str) -> Column:
+    return F.xxhash64(F.col(f"`{id_col}`"), F.col(f"`{text_col}`").cast("string"))
+
+
+def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per row of ``docs``: its id, ``n_shingles``, ``component_id`` (the smallest id in its component) and ``kept`` (that id is its own)."""
+    found = _linked_rows(docs, id_col, text_col)
+    return found.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose id is the smallest of their component; rows with equal ids go together if any of them goes."""
-    gone = link(docs, id_col, text_col).where("NOT kept").select(F.col(id_col).alias("gone")).distinct()
-    return docs.join(gone, F.col(f"`{id_col}`") == F.col("gone"), "left_anti")
+    """One document of each component, that of the smallest id, and all that are linked with nothing. Rows equal in id and text are one document and stay together."""
+    gone = _linked_rows(docs, id_col, text_col).where("NOT stays").select(F.col("key").alias("__gone_key")).distinct()
+    return docs.join(gone, _key(id_col, text_col) == F.col("__gone_key"), "left_anti")
