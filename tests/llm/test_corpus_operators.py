@@ -84,6 +84,39 @@ def test_large_clusters_in_blocks(spark, monkeypatch):
     assert got == _components(rows)
 
 
+def test_chained_clusters_cost_their_groups(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "BLOCK", 8)
+    words = [f"w{k}" for k in range(9000)]
+    # each is like the next at about 0.59: candidates all along, hardly a link
+    rows = [(i, " ".join(words[25 * i : 25 * i + 100])) for i in range(300)] + [(1000 + i, " ".join(words[25 * i + 2 : 25 * i + 100])) for i in range(0, 300, 50)]
+    seen, own = [], neardup._meetings
+
+    def meetings(*a):
+        seen.append(out := own(*a).persist())
+        return out
+
+    monkeypatch.setattr(neardup, "_meetings", meetings)
+    got = {x["doc_id"]: (x["n_shingles"], x["component_id"], x["kept"]) for x in neardup.link(_docs(spark, rows)).collect()}
+    assert got == _components(rows) and sum(not v[2] for v in got.values()) == 6
+    copies = seen[0].count()
+    # a square of blocks would copy every set some 75 times on each side
+    assert 0 < copies < 20 * len(rows)
+
+
+def test_rows_without_ids_are_linked(spark):
+    base = [f"w{k}" for k in range(27)]
+    near, other = " ".join([*base[:26], "x"]), " ".join(f"v{k}" for k in range(20))
+    rows = [(5, " ".join(base)), (None, near), (None, other), (None, other + " y"), (7, ""), (None, None), (9, other[:40]), (3, near), (3, near), (3, " ".join(base) + " z")]
+    got = Counter((x["doc_id"], x["n_shingles"], x["component_id"], x["kept"]) for x in neardup.link(_docs(spark, rows)).collect())
+    assert got == Counter({(5, 23, 3, False): 1, (None, 23, 3, False): 1, (None, 16, None, True): 1, (None, 17, None, True): 1, (7, 0, 7, True): 1, (None, 0, None, True): 1, (9, len(_set(other[:40])), 9, True): 1, (3, 23, 3, True): 2, (3, 24, 3, True): 1})
+    left = [(x["doc_id"], x["text"]) for x in neardup.drop_near_copies(_docs(spark, rows)).collect()]
+    # one of the two without an id, one text of id 3 (as often as it occurs)
+    assert sum(t in (other, other + " y") for _, t in left) == 1 and len({t for i, t in left if i == 3}) == 1 and not any(i == 5 for i, _ in left)
+    assert (7, "") in left and (None, None) in left
+    text_ids = _docs(spark, [(1, "a b c d e f g h"), (2, "a b c d e f g h"), (3, "q")]).withColumn("doc_id", F.concat(F.lit("k"), "doc_id"))
+    assert {(x["doc_id"], x["component_id"]) for x in neardup.link(text_ids).collect()} == {("k1", "k1"), ("k2", "k1"), ("k3", "k3")}
+
+
 def test_near_dedup_odd_tables(spark):
     assert neardup.link(_docs(spark, [(1, "a")]).limit(0)).count() == 0
     nulls = _docs(spark, [(1, None), (2, ""), (3, "a b")])
@@ -147,6 +180,8 @@ def test_substring_odd_tables(spark):
     got = Counter((x["doc_id"], x["n_removed"]) for x in substring.measure(rows).collect())
     # a text twice in a row: the windows over the seam are new, but all words lie in old ones too
     assert got == Counter({(1, 0): 2, (None, 20): 1, (2, 40): 1})
+    with pytest.raises(TypeError):
+        substring.measure(rows.withColumn("doc_id", F.col("doc_id").cast("string")))
     assert substring.measure(rows.limit(0)).count() == 0 and substring.remove(rows.limit(0)).count() == 0
 
 
