@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SQL_FUNCTIONS = {
@@ -40,6 +40,19 @@ class RocPoints:
                 yield float(t), float(((s >= t) & (y == 0)).sum() / negatives), float(((s >= t) & (y == 1)).sum() / positives)
 
 
+def federated_train(df: DataFrame | str, features: list[str], key: list[str], options: dict | None = None, three_tier: bool = False, spark: SparkSession | None = None, **split_options) -> DataFrame:
+    """The method on a table (a DataFrame or a view's name) with client_id, label and features: (method, round, w) of every round.
+
+    options are FedConfig's fields; split_options go to the splitter.
+    """
+    from ..operators import rounds
+
+    if isinstance(df, str):
+        df = (spark or SparkSession.active()).table(df)
+    result = rounds.fit(df, features, key, rounds.FedConfig(**(options or {})), three_tier, **split_options)
+    return result.history(df.sparkSession, "federated")
+
+
 def register(spark: SparkSession) -> None:
     for name, body in SQL_FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name} {body}")

@@ -8,7 +8,6 @@ from dataclasses import replace
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from .functions import vec
 from .operators import align, baselines, blocks, commcost, features, localtrain, metrics, noniid, objective, partitioners, predict, rounds, splitter, weighting
@@ -645,8 +644,7 @@ def events_activity_session(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("activity_last_week", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 7 days PRECEDING AND CURRENT ROW) AS n_week FROM events")
 def activity_last_week(spark: SparkSession, sf_dir: str) -> DataFrame:
     events = table(spark, sf_dir, "events", ["event_id", "user_id", "ts"])
-    week = Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-7 * 86400 * 10**6, 0)
-    return events.select("event_id", F.count("*").over(week).alias("n_week"))
+    return windows.count_back(events, "user_id", "ts", 7 * 86400 * 10**6, "n_week").select("event_id", "n_week")
 
 
 # --- the method and the baselines on the other targets -------------------------------------------------------------------

@@ -1,7 +1,9 @@
 """Rounds over a stream of clients' vectors: a sub-server merges when enough of a round's vectors have arrived.
 
-Late vectors are dropped by the watermark, repeated ones by (client, round). A group's state holds the vectors of one
-(sub-server, round) until the quorum is met; then it is emptied and later arrivals of that round are counted, not used.
+Vectors behind the watermark are dropped by the engine (``dropped_late`` reads how many from a query's progress), repeated ones by
+(client, round). A group's state holds the vectors of one (sub-server, round) until the quorum is met; then it holds counts
+alone, of what still arrives. When the watermark is ``expiry_ms`` past the group's last arrival the state is removed, and what came
+late, or too little for a quorum, is reported in the ledger row of the group.
 """
 
 from __future__ import annotations
@@ -12,49 +14,67 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.window import Window
 
 from ..operators import weighting
 
 SCHEMA = "ts timestamp, client_id int, subserver_id int, round int, n_rows long, w array<double>"
-_OUT = "subserver_id int, round int, n_rows long, members int, complete boolean, w array<double>"
-_STATE = "done boolean, clients array<int>, rows array<long>, vectors array<array<double>>"
+_OUT = "subserver_id int, round int, n_rows long, members int, complete boolean, late int, w array<double>"
+_STATE = "done boolean, late int, clients array<int>, rows array<long>, vectors array<array<double>>"
 
 
-def quorum_rounds(updates: DataFrame, quorum: int, rule: str = "proportional", watermark: str = "10 minutes", timeout_ms: int | None = None) -> DataFrame:
-    """A stream of (subserver_id, round, n_rows, members, complete, w), one row when a round's quorum is met, or, with a timeout, what has arrived by then."""
+def quorum_rounds(updates: DataFrame, quorum: int, rule: str = "proportional", watermark: str = "10 minutes", expiry_ms: int = 3_600_000) -> DataFrame:
+    """A stream of (subserver_id, round, n_rows, members, complete, late, w).
+
+    A round whose quorum is met gives a row at once (complete, late null) and a ledger row when its state expires (no vector, late:
+    the arrivals since); one whose quorum isn't gives a row of what has arrived when it expires (not complete).
+    """
+    if quorum < 1:
+        raise ValueError("a quorum has at least one client")
+
+    def row(key: tuple, n_rows: int, members: int, complete: bool, late: int | None, w: list[float] | None) -> pd.DataFrame:
+        return pd.DataFrame({"subserver_id": [key[0]], "round": [key[1]], "n_rows": [n_rows], "members": [members], "complete": [complete], "late": pd.array([late], "Int32"), "w": [w]})
 
     def merged(key: tuple, clients: list, rows: list, vectors: list, complete: bool) -> pd.DataFrame:
         order = np.argsort(clients)
         counts, stacked = np.array(rows, float)[order], np.array([list(v) for v in vectors], float)[order]
-        return pd.DataFrame([{"subserver_id": key[0], "round": key[1], "n_rows": int(counts.sum()), "members": len(clients), "complete": complete, "w": weighting.merge_np(stacked, counts, rule).tolist()}])
+        return row(key, int(counts.sum()), len(clients), complete, None if complete else 0, weighting.merge_np(stacked, counts, rule).tolist())
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        done, clients, rows, vectors = state.get if state.exists else (False, [], [], [])
+        done, late, clients, rows, vectors = state.get if state.exists else (False, 0, [], [], [])
         clients, rows, vectors = list(clients), list(rows), [list(v) for v in vectors]
         if state.hasTimedOut:
             state.remove()
-            if not done and clients:
+            if done:
+                yield row(key, 0, 0, True, late, None)
+            elif clients:
                 yield merged(key, clients, rows, vectors, False)
             return
+        newest = 0
         for batch in batches:
-            for row in batch.sort_values(["ts", "client_id"]).itertuples():
-                if done or row.client_id in clients:
-                    continue
-                clients.append(int(row.client_id))
-                rows.append(int(row.n_rows))
-                vectors.append([float(x) for x in row.w])
-                if len(clients) == quorum:
-                    yield merged(key, clients, rows, vectors, True)
-                    done, clients, rows, vectors = True, [], [], []
-        state.update((done, clients, rows, vectors))
-        if timeout_ms is not None:
-            state.setTimeoutDuration(timeout_ms)
-
-    kind = GroupStateTimeout.NoTimeout if timeout_ms is None else GroupStateTimeout.ProcessingTimeTimeout
+            newest = max(newest, int(batch["ts"].max().timestamp() * 1000))
+            for arrival in batch.sort_values(["ts", "client_id"]).itertuples():
+                if done:
+                    late += 1
+                elif arrival.client_id not in clients:
+                    clients.append(int(arrival.client_id))
+                    rows.append(int(arrival.n_rows))
+                    vectors.append([float(x) for x in arrival.w])
+                    if len(clients) == quorum:
+                        yield merged(key, clients, rows, vectors, True)
+                        done, clients, rows, vectors = True, [], [], []
+        state.update((done, late, clients, rows, vectors))
+        state.setTimeoutTimestamp(max(newest, state.getCurrentWatermarkMs()) + expiry_ms)
+
     arrived = updates.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["client_id", "round"])
-    return arrived.groupBy("subserver_id", "round").applyInPandasWithState(run, _OUT, _STATE, "append", kind)
+    return arrived.groupBy("subserver_id", "round").applyInPandasWithState(run, _OUT, _STATE, "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def dropped_late(query: StreamingQuery) -> int:
+    """Vectors that a query has dropped behind the watermark so far, by the progress that it still remembers."""
+    return sum(int(o.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for o in p["stateOperators"])
 
 
 def quorum_batch(updates: DataFrame, quorum: int, rule: str = "proportional") -> DataFrame:

@@ -35,6 +35,20 @@ def test_stream_merges_as_the_batch_does(spark, tmp_path):
         assert np.allclose(row["w"], weighting.merge_np(np.array([o[3] for o in own]), np.array([o[2] for o in own], float)))
 
 
+def test_late_vectors_are_counted_and_states_expire(spark, tmp_path):
+    t0 = dt.datetime(2024, 1, 1)
+    row = lambda minutes, client, number: (t0 + dt.timedelta(minutes=minutes), client, 0, number, 2, [float(client), 1.0])
+    # round 0 gets a quorum of 2 and two more; round 1 never gets it; round 9 moves the watermark; the last arrives behind it
+    batches = [[row(0, 1, 0), row(1, 2, 0), row(2, 3, 0), row(2, 1, 1)], [row(3, 4, 0), row(3, 4, 0)], [row(300, 1, 9)], [row(1, 7, 0)], [row(301, 2, 9)], [row(600, 1, 10)]]
+    for k, rows in enumerate(batches):
+        spark.createDataFrame(rows, quorum.SCHEMA).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        stream = spark.readStream.schema(quorum.SCHEMA).parquet(str(tmp_path / "in"))
+        q = quorum.quorum_rounds(stream, 2, watermark="10 minutes", expiry_ms=60_000).writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+        assert q.awaitTermination(120) and (k != 3 or quorum.dropped_late(q) >= 1)
+    got = {(r["round"], r["complete"], r["members"], r["late"]) for r in spark.read.parquet(str(tmp_path / "out")).collect() if r["round"] < 9}
+    assert got == {(0, True, 2, None), (0, True, 0, 2), (1, False, 1, 0)}
+
+
 def test_windows_and_running_moments_on_streams(spark, sf_dir, tmp_path):
     events = spark.read.parquet(f"{sf_dir}/events.parquet").selectExpr("event_id", "user_id", "CAST(ts AS timestamp) AS ts", "value").orderBy("ts")
     events.coalesce(1).write.parquet(str(tmp_path / "e"))
