@@ -17,10 +17,10 @@ shingle hashes.
    joins one cluster, unfiltered. So clusters may be too large but split no link.
 4. Clusters of up to BLOCK classes are solved exactly, many in a task. Larger ones are
    dealt into blocks: each block by itself, then with the classes of most likeness
-   of all blocks ("hubs"). What is then outside the cluster's largest component meets the classes
-   that shared a leader with it (its "stars") and no others, in blocks of a star; so a cluster
-   that is chained of many small groups costs its groups, not its square. Each block gives back a
-   spanning forest of its links, never pairs.
+   of all blocks ("hubs"). What is then outside the cluster's largest component meets all blocks, where that is
+   little, and else the classes that shared a leader with it (its "stars") and no others, in blocks
+   of a star; so a cluster that is chained of many small groups costs its groups, not its square.
+   Each block gives back a spanning forest of its links, never pairs.
 
 Defined results: null or empty texts have no shingles and are linked with nothing; rows with
 equal ids are judged by their own text; a row without an id is linked like any other, and its
@@ -46,6 +46,8 @@ SHINGLE, PERCENT = 5, 75
 BANDS, ROWS = 32, 4
 LOOSE, TIGHT, ROUNDS = 30, 80, 3
 BLOCK, HUBS = 512, 4
+#: Copies of a class's set, on average, from which on a cluster is solved by its stars.
+COPIES = 2 * BANDS
 
 _U = np.uint64
 
@@ -233,9 +235,20 @@ def _solve_bin(table: pa.Table) -> pa.Table:
 
 
 def _meetings(parts: DataFrame, stars: DataFrame, half: int) -> DataFrame:
-    """(cls, star, i, j, left): which classes meet in which block, for stars (a, b) that hold a class outside its cluster's largest component; parts: (cls, rest)."""
-    star = stars.select(F.col("b").alias("star"), F.col("a").alias("cls")).union(stars.select("b", "b").distinct())
-    own = star.join(parts.select("cls", "rest"), "cls")
+    """(cls, star, i, j, left): which classes meet in which block, so that every class outside its cluster's largest component meets all that it may be linked with; parts: (cls, cluster, rest).
+
+    A cluster with few such classes is one star. Where that would copy each of its classes COPIES times or more, they meet in the stars (a, b)
+    that hold one of them, of which a class has up to BANDS in each round.
+    """
+    sizes = parts.groupBy("cluster").agg(F.sum(F.col("rest").cast("long")).alias("n_rest"), F.count("*").alias("n")).where("n_rest > 0")
+    copies = F.col("n_rest") * F.ceil(F.col("n") / half) + F.col("n") * F.ceil(F.col("n_rest") / half)
+    sizes = checkpointed(sizes.withColumn("whole", copies < COPIES * F.col("n")))
+    own = parts.join(sizes.where("whole"), "cluster").select(F.col("cluster").alias("star"), "cls", "rest")
+    if sizes.where("NOT whole").limit(1).count():
+        chained = parts.join(sizes.where("NOT whole").select("cluster"), "cluster").select("cls", "rest")
+        star = stars.select(F.col("b").alias("star"), F.col("a").alias("cls")).union(stars.select("b", "b").distinct())
+        own = own.unionByName(star.join(chained, "cls").select("star", "cls", "rest"))
+    own = checkpointed(own)
     sizes = own.groupBy("star").agg(F.sum(F.col("rest").cast("long")).alias("n_rest"), F.count("*").alias("n")).where("n_rest > 0")
     own = own.join(sizes.select("star", F.ceil(F.col("n_rest") / half).cast("int").alias("rests"), F.ceil(F.col("n") / half).cast("int").alias("blocks")), "star")
     block = lambda n: F.pmod(F.xxhash64("cls"), F.col(n)).cast("int")
@@ -272,7 +285,7 @@ def _solve_large(sets: DataFrame, stars: DataFrame) -> DataFrame:
     parts = sets.join(components(edges).withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
     sizes = parts.groupBy("cluster", "component").count()
     largest = sizes.groupBy("cluster").agg(F.max(F.struct("count", "component")).alias("top")).select("cluster", F.col("top.component").alias("largest"))
-    parts = checkpointed(parts.join(largest, "cluster").select("cls", (F.col("component") != F.col("largest")).alias("rest")))
+    parts = checkpointed(parts.join(largest, "cluster").select("cls", "cluster", (F.col("component") != F.col("largest")).alias("rest")))
     meetings = _meetings(parts, stars, half).join(sets.select("cls", "hashes"), "cls")
 
     def across(table: pa.Table) -> pa.Table:
