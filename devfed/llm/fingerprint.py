@@ -37,6 +37,8 @@ from .neardup import shingle_rows
 
 BINS, BITS = 512, 4
 ROWS = 200
+#: Rows of a range, which is one task's work.
+TASK_ROWS = 20_000
 
 _U = np.uint64
 _EMPTY = np.iinfo(np.uint64).max
@@ -114,7 +116,7 @@ def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     """One row per row of ``docs``: the id, n_chars, edited_sha256, fingerprint and edited_fingerprint (binary), near_edited and near_next."""
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     kind = source.schema["id"].dataType.simpleString()
-    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    tasks = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-docs.count() // TASK_ROWS))
     in_order = source.repartitionByRange(tasks, "id").sortWithinPartitions("id", "text")
     edge = ["part", "first_text", "last_text"]
 

@@ -17,7 +17,8 @@ Defined results: a null url or one without "://" has an empty host and path, no
 mass reaches an empty host, the verdict allow; pages without html have no links; repeated rows are
 judged one by one and their links count again; an empty table gives an empty result; only the
 named columns are read. Hosts and edges are aggregated before every shuffle; a hot host's
-pages meet only in partial aggregates and in a join whose one side has a row per host.
+pages meet only in partial aggregates and in a join whose one side has a row per host, which the engine splits by
+rows where one host has many (adaptive skew handling) or turns into a broadcast below its own limit.
 """
 
 from __future__ import annotations
