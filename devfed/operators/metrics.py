@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -31,39 +32,61 @@ def indicators(counts: DataFrame) -> DataFrame:
     return out.withColumn("f1_harmonic", F.when(p + r > 0, 2 / (1 / p + 1 / r)).when(p.isNotNull() & r.isNotNull(), F.lit(0.0)))
 
 
+#: Distinct scores up to which one window runs over them; more are dealt out by ranges.
+WINDOW_POINTS = 1_000_000
+
+
+def _points(scored: DataFrame, by: list[str], bins: int | None = None) -> DataFrame:
+    """(by, threshold, p, n, tp, fp, all_p, all_n): rows of each class at a score, at or above it, and in all."""
+    level = F.floor(F.least(F.col("score"), F.lit(1 - 1e-12)) * bins) / bins if bins else F.col("score")
+    points = scored.groupBy(*by, level.alias("threshold")).agg(F.sum(F.when(F.col("label") == 1, 1).otherwise(0)).alias("p"), F.sum(F.when(F.col("label") == 0, 1).otherwise(0)).alias("n"))
+    points = materialised(points)
+    totals = points.groupBy(*by).agg(F.sum("p").alias("all_p"), F.sum("n").alias("all_n"))
+    many, keys = points.count(), [*by, "__range"]
+    if many <= WINDOW_POINTS:
+        down = Window.partitionBy(*by).orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, 0)
+        points = points.withColumns({"tp": F.sum("p").over(down), "fp": F.sum("n").over(down)})
+    else:
+        # each range is summed up on its own; what lies above it comes from a row for each range and group
+        order = [*by, F.desc("threshold")]
+        dealt = points.repartitionByRange(math.ceil(many / WINDOW_POINTS) + 1, *order).sortWithinPartitions(*order)
+        dealt = materialised(dealt.withColumn("__range", F.spark_partition_id()))
+        above = Window.partitionBy(*by).orderBy("__range").rowsBetween(Window.unboundedPreceding, -1)
+        sums = dealt.groupBy(*keys).agg(F.sum("p").alias("p"), F.sum("n").alias("n"))
+        sums = sums.select(*keys, *(F.coalesce(F.sum(c).over(above), F.lit(0)).alias(f"__{c}") for c in "pn"))
+        own = Window.partitionBy(*keys).orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, 0)
+        points = dealt.join(F.broadcast(sums), keys).withColumns({"tp": F.sum("p").over(own) + F.col("__p"), "fp": F.sum("n").over(own) + F.col("__n")}).drop("__p", "__n", "__range")
+    return points.join(totals, by) if by else points.crossJoin(F.broadcast(totals))
+
+
 def roc(scored: DataFrame, by: Sequence[str] = (), bins: int | None = None) -> DataFrame:
     """ROC points: threshold, tp, fp, tpr, fpr, from (0, 0) at an infinite threshold down to (1, 1). Tied scores make one point.
 
-    With bins the scores are first rounded down to that many equal steps, which bounds the points, and so the window, whatever the rows.
+    With bins the scores are first rounded down to that many equal steps, which bounds the points whatever the rows.
     """
     by = list(by)
-    level = F.floor(F.least(F.col("score"), F.lit(1 - 1e-12)) * bins) / bins if bins else F.col("score")
-    points = scored.groupBy(*by, level.alias("threshold")).agg(F.sum(F.when(F.col("label") == 1, 1).otherwise(0)).alias("p"), F.sum(F.when(F.col("label") == 0, 1).otherwise(0)).alias("n"))
-    start = points.select(*by).distinct() if by else points.limit(1).select(F.lit(1).alias("__one")).select()
-    start = start.withColumns({"threshold": F.lit(float("inf")), "p": F.lit(0).cast("long"), "n": F.lit(0).cast("long")})
-    points = points.unionByName(start)
-    down = Window.partitionBy(*by).orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, 0)
-    whole = Window.partitionBy(*by)
-    out = points.withColumns({"tp": F.sum("p").over(down), "fp": F.sum("n").over(down), "__p": F.sum("p").over(whole), "__n": F.sum("n").over(whole)})
-    return out.select(*by, "threshold", "tp", "fp", F.when(F.col("__p") > 0, F.col("tp") / F.col("__p")).alias("tpr"), F.when(F.col("__n") > 0, F.col("fp") / F.col("__n")).alias("fpr"))
+    points = _points(scored, by, bins).select(*by, "threshold", "tp", "fp", "all_p", "all_n")
+    nothing = F.lit(0).cast("long")
+    start = points.groupBy(*by).agg(F.first("all_p").alias("all_p"), F.first("all_n").alias("all_n")).where("all_p IS NOT NULL").select(*by, F.lit(float("inf")).alias("threshold"), nothing.alias("tp"), nothing.alias("fp"), "all_p", "all_n")
+    share = lambda c, all_c: F.when(F.col(all_c) > 0, F.col(c) / F.col(all_c))
+    return points.unionByName(start).select(*by, "threshold", "tp", "fp", share("tp", "all_p").alias("tpr"), share("fp", "all_n").alias("fpr"))
 
 
 def auc(scored: DataFrame, by: Sequence[str] = (), method: str = "trapezoid", bins: int | None = None) -> DataFrame:
     """Area under the ROC curve by trapezoids, or as the tie-corrected rank statistic; null if a class is missing."""
     by = list(by)
-    if method == "trapezoid":
-        down = Window.partitionBy(*by).orderBy(F.desc("threshold"))
-        part = (F.col("fpr") - F.lag("fpr").over(down)) * (F.col("tpr") + F.lag("tpr").over(down)) / 2
-        return roc(scored, by, bins).withColumn("__part", part).groupBy(*by).agg(F.sum("__part").alias("auc"))
-    if method != "rank":
+    if method not in ("trapezoid", "rank"):
         raise ValueError("method is 'trapezoid' or 'rank'")
-    # ranks of distinct scores, not of rows: a tie's mean rank follows from running counts
-    points = scored.groupBy(*by, "score").agg(F.count("*").alias("c"), F.sum(F.when(F.col("label") == 1, 1).otherwise(0)).alias("p"))
-    up = Window.partitionBy(*by).orderBy("score").rowsBetween(Window.unboundedPreceding, 0)
-    points = points.withColumn("rank", F.sum("c").over(up) - (F.col("c") - 1) / 2)
-    sums = points.groupBy(*by).agg(F.sum(F.col("p") * F.col("rank")).alias("s"), F.sum("p").alias("np"), F.sum(F.col("c") - F.col("p")).alias("nn"))
-    value = (F.col("s") - F.col("np") * (F.col("np") + 1) / 2) / (F.col("np") * F.col("nn"))
-    return sums.select(*by, F.when((F.col("np") > 0) & (F.col("nn") > 0), value).alias("auc"))
+    points = _points(scored, by, bins if method == "trapezoid" else None)
+    p, n, tp, fp, all_p, all_n = (F.col(c).cast("double") for c in ("p", "n", "tp", "fp", "all_p", "all_n"))
+    if method == "trapezoid":
+        # a step to the right by n rows, at the mean height of its ends
+        part = n * (2 * tp - p) / 2
+    else:
+        # the mean rank from below of a tie's rows, less the least that its positives could have together
+        part = p * (all_p + all_n - tp - fp + (p + n + 1) / 2) - p * (all_p + 1) / 2
+    both = F.max(all_p) * F.max(all_n)
+    return points.groupBy(*by).agg(F.when(both > 0, F.sum(part) / both).alias("auc"))
 
 
 def ks(scored: DataFrame, by: Sequence[str] = (), bins: int | None = None) -> DataFrame:

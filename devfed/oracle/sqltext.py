@@ -188,16 +188,17 @@ _DISTANCE = "sqrt(" + " + ".join(f"({{0}}.{c} - {{1}}.{c}) * ({{0}}.{c} - {{1}}.
 SEEDS = {"first": STRUCT, "medoid": "{'d': " + " + ".join(f"{c} * {c}" for c in FEW) + ", 'k': " + STRUCT + "}", "hash": "{'m': md5(concat_ws('|', " + ", ".join(f"CAST(k{k} AS VARCHAR)" for k in range(1, 6)) + ")), 'k': " + STRUCT + "}"}
 
 
-def splitting(centres: int, cap: str = "1000000", clients: int = 10, seed: str = "first", tag: str = "") -> list[str]:
+def splitting(centres: int, cap: str = "1000000", clients: int = 10, seed: str = "first", tag: str = "", source: str | None = None) -> list[str]:
     """CTEs of max-min growth within clients up to a number of centres: ``s_j``, rows with nearest and cluster_id after j centres, ``c_j``, the j-th centres, and ``fars`` (client_id, j, far, gap, n): how far from j centres the next one lies.
 
-    cap: an expression of {n}, a client's rows, that bounds its centres. Names begin with the tag.
+    cap: an expression of {n}, a client's rows, that bounds its centres. source: training rows with client_id, in place of
+    owners by a key's remainder. Names begin with the tag.
     """
     z = ", ".join(f"CASE WHEN stddev_samp({c}) OVER w > 0 THEN ({c} - avg({c}) OVER w) / stddev_samp({c}) OVER w ELSE 0.0e0 END AS {c}" for c in FEW)
     point = lambda of: ", ".join(f"arg_min({c}, {of}) AS {c}" for c in FEW)
     far_key = "{'d': -nearest, 'k': " + STRUCT + "}"
     ctes = [
-        f"{tag}own AS MATERIALIZED (SELECT k1, k2, k3, k4, k5, CAST(k3 % {clients} AS INTEGER) AS client_id, {z} FROM base WHERE NOT is_test WINDOW w AS (PARTITION BY k3 % {clients}))",
+        f"{tag}own AS MATERIALIZED (SELECT k1, k2, k3, k4, k5, client_id, {z} FROM {source or f'(SELECT *, CAST(k3 % {clients} AS INTEGER) AS client_id FROM base WHERE NOT is_test)'} WINDOW w AS (PARTITION BY client_id))",
         f"{tag}c_1 AS MATERIALIZED (SELECT client_id, {point(SEEDS[seed])}, count(*) AS n FROM {tag}own GROUP BY client_id)",
         f"{tag}s_1 AS MATERIALIZED (SELECT r.*, {_DISTANCE.format('r', 'p')} AS nearest, 0 AS cluster_id FROM {tag}own r JOIN {tag}c_1 p ON r.client_id = p.client_id)",
     ]

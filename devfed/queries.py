@@ -399,6 +399,30 @@ def split_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumns({c: vec.tidy(F.col(c)) for c in ("spread_ratio", "gap_ratio")})
 
 
+def _shards_sql() -> str:
+    """A hundred shards along the binary attribute, with the published constants: more than 300 rows, n / 50 centres at most, one theta."""
+    shards = f"(SELECT *, CAST(ntile(100) OVER (ORDER BY l_linestatus, k1, k2, k3, k4, k5) - 1 AS INTEGER) AS client_id FROM base WHERE NOT is_test)"
+    # shards differ by one row; the unrolled centres are enough up to 649 rows
+    ctes = [sql.BASE, *sql.splitting(12, "greatest(2, {n} // 50)", source=shards), *sql.grown(12, 0.5, "g"), *sql.accepting(12, "g")]
+    counts = "c.n > 300 AND f.j > 1"
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT c.client_id, c.n AS n_rows, CAST(CASE WHEN {counts} AND spread < 1.2e0 THEN f.j ELSE 1 END AS BIGINT) AS n_clusters, {counts} AND spread < 1.2e0 AS accepted, {sql.tidy(f'CASE WHEN {counts} THEN spread END', 'spread_ratio')}, {sql.tidy(f'CASE WHEN {counts} THEN gap END', 'gap_ratio')} FROM c_1 c JOIN g_f f ON f.client_id = c.client_id"
+
+
+@query("split_shards", _shards_sql())
+def split_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = workloads.dealt(_base(spark, sf_dir).where("NOT is_test"), "attribute", 100)
+    found = splitter.split_report(rows.select("client_id", *KEY, *FEW), FEW, KEY)
+    return found.select("client_id", "n_rows", "n_clusters", "accepted", *(vec.tidy(F.col(c)).alias(c) for c in ("spread_ratio", "gap_ratio")))
+
+
+@query("complete_linkage")
+def complete_linkage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Suppliers' rows in as many clusters as max-min finds, joined by their farthest rows."""
+    rows = partitioners.by_key(_base(spark, sf_dir).where("NOT is_test"), "k3").select("client_id", *KEY, *FEW)
+    found = splitter.split_clients(rows, FEW, KEY, thetas=(0.6,), min_rows=1, cap=4, accept="always", dist="centroid", method="complete_linkage")
+    return found.groupBy("client_id", "cluster_id").agg(F.count("*").alias("n"), *(vec.tidy(F.avg(c), 4).alias(c) for c in FEW))
+
+
 def _split_ctes_at(gate: int, strata: float = 1.0) -> tuple[list[str], str]:
     """CTEs, and rows of the whole method: the splitter's clusters on scaled rows, and a sample of each if asked for."""
     ctes = [*_chosen(gate), sql.SCALED.removeprefix(sql.BASE + ",\n")]
@@ -433,6 +457,18 @@ for _name, _options, _three in (("sda_split_rounds", {"rounds": 3, "epochs": 2},
     query(_name, sql.training(**{k: v for k, v in _options.items() if k != "strata_fraction"}, three=_three, source=_source, rows=_rows))(_whole(_three, **_options))
 
 
+def _statistics_sql() -> str:
+    ctes, rows = _split_ctes_at(GATE)
+    ctes += [f"sizes AS (SELECT client_id, cluster_id, count(*) AS n FROM ({rows}) GROUP BY ALL)", "owners AS (SELECT client_id, count(*) AS j, min(n) AS least, max(n) AS most FROM sizes GROUP BY client_id)"]
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT count(*) AS clients, count_if(j > 1) AS split_clients, {sql.tidy('avg(j)', 'mean_clusters')}, max(j) AS most_clusters, min(least) AS smallest_cluster, max(most) AS largest_cluster, bool_or(j > 1) AS any_split FROM owners"
+
+
+@query("split_statistics", _statistics_sql())
+def split_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = splitter.split_clients(_trained(spark, sf_dir), FEW, KEY, thetas=THETAS, min_rows=GATE, most=MOST)
+    return splitter.report(found).withColumn("mean_clusters", vec.tidy(F.col("mean_clusters")))
+
+
 @query(
     "stratified_sample",
     f"WITH {sql.SCALED}, r AS (SELECT client_id, cluster_id, mix, row_number() OVER (PARTITION BY client_id, cluster_id ORDER BY md5(concat_ws('|', '0', CAST(mix AS VARCHAR))), mix) AS rank, count(*) OVER (PARTITION BY client_id, cluster_id) AS c FROM few)\n"
@@ -732,6 +768,39 @@ def _natural_sql() -> str:
 query("natural_3t_rounds", _natural_sql())(_both(_natural, list(FEW), KEY, 3, 2, True))
 
 
+#: How rows are dealt out under stress, as an order that is cut into shards, or an expression.
+_STRESS = {"attribute": "l_linestatus", "range": "x6", "label": "label", "iid": None, "unequal": None}
+
+
+def _stress_sql(scheme: str) -> str:
+    order, expression = _STRESS[scheme], {"iid": "(mix // 7) % 20", "unequal": _unequal_sql()}.get(scheme)
+    client = expression or f"ntile({SHARDS}) OVER (ORDER BY {order}, k1, k2, k3, k4, k5) - 1"
+    dealt = f"dealt AS MATERIALIZED (SELECT *, CAST({client} AS INTEGER) AS client_id FROM base WHERE NOT is_test UNION ALL SELECT *, CAST(NULL AS INTEGER) FROM base WHERE is_test)"
+    moments = ", ".join(f"avg({c}) AS m_{c}, stddev_samp({c}) AS s_{c}" for c in FEW)
+    few = f"few AS MATERIALIZED (SELECT client_id, client_id % 5 AS subserver_id, label, is_test, CASE WHEN x1 > 25 THEN 1 ELSE 0 END AS cluster_id, {', '.join(f'({c} - m_{c}) / s_{c} AS {c}' for c in FEW)} FROM dealt, (SELECT {moments} FROM base WHERE NOT is_test))"
+    rows, out = f"SELECT client_id, subserver_id, cluster_id, label AS y, {', '.join(FEW)} FROM few WHERE NOT is_test", [sql.BASE, dealt, few]
+    for name, options in _BOTH.items():
+        out += sql.training_ctes(2, 2, 0.5, three=True, source=(), rows=rows, tag=f"{name}_", **options)
+    found, last = sql.evaluated(2, {name: f"{name}_" for name in _BOTH}, f"SELECT label AS y, {', '.join(FEW)} FROM few WHERE is_test")
+    return "WITH " + ",\n".join([*out, *found]) + "\n" + last
+
+
+def _stress(scheme: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = workloads.scaled(_base(spark, sf_dir).withColumn("cluster_id", F.when(F.col("x1") > 25, 1).otherwise(0)), FEW)
+        # ranges are those of the rows as they are, which scaling keeps in order
+        train = workloads.dealt(rows.where("NOT is_test"), scheme, SHARDS).withColumn("subserver_id", F.col("client_id") % 5)
+        base = FedConfig(rounds=2, epochs=2, lr=0.5)
+        found = workloads.trained(spark, train, rows.where("is_test"), FEW, KEY, {"sda": base, "fedavg": base.fedavg()}, True)[1]
+        return found.select("method", "round", *(vec.tidy(F.col(c)).alias(c) for c in ("accuracy", "recall", "ks", "logloss")))
+
+    return run
+
+
+for _scheme in _STRESS:
+    query(f"stress_{_scheme}_rounds", _stress_sql(_scheme))(_stress(_scheme))
+
+
 def _ablation_sql() -> str:
     """Rules at all tiers, with and without clusters, in three tiers: the vector after one round."""
     out, last = [sql.SCALED], []

@@ -36,6 +36,17 @@ def test_binned_curve_is_close(spark):
     assert metrics.auc(df, bins=1000).first()["auc"] == pytest.approx(metrics.auc(df).first()["auc"], abs=5e-3)
 
 
+def test_curves_over_ranges_equal_those_of_one_window(spark, monkeypatch):
+    r = np.random.default_rng(6)
+    rows = [(int(g), float(np.round(v, 2)), int(v + e > 0.5)) for g, v, e in zip(r.integers(0, 3, 2000), r.random(2000), r.normal(size=2000) * 0.3, strict=True)]
+    df = spark.createDataFrame(rows, "g int, score double, label int")
+    run = lambda by: [sorted(map(tuple, f(df, by).collect())) for f in (metrics.roc, metrics.auc, lambda d, b: metrics.auc(d, b, "rank"), metrics.ks)]
+    before = run([]), run(["g"])
+    monkeypatch.setattr(metrics, "WINDOW_POINTS", 20)
+    assert (run([]), run(["g"])) == before
+    assert before[0][1][0][0] == pytest.approx(before[0][2][0][0])
+
+
 def test_summary_and_targets(spark):
     h = spark.createDataFrame([("a", i, float(v)) for i, v in enumerate([0.1, 0.2, 0.4, 0.8], 1)], "method string, round int, accuracy double")
     s = metrics.round_summary(h, ["accuracy"], q3=True).first()

@@ -74,3 +74,14 @@ def test_sql_functions(spark):
     assert spark.sql("SELECT fed_vec_wavg(w, n) AS m FROM vectors").first()["m"] == [2.5, 5.0]
     points = spark.sql("SELECT * FROM fed_roc_points(array(0.9D, 0.2D), array(1, 0))").collect()
     assert [(p["fpr"], p["tpr"]) for p in points] == [(0.0, 0.0), (0.0, 1.0), (1.0, 1.0)]
+
+
+def test_counts_back_over_spans_equal_one_window(spark):
+    from pyspark.sql import Window
+    from pyspark.sql import functions as F
+
+    r = np.random.default_rng(4)
+    df = spark.createDataFrame([(k, int(u), dt.datetime(2024, 1, 1) + dt.timedelta(hours=int(h))) for k, (u, h) in enumerate(zip(r.integers(0, 3, 400), r.integers(0, 900, 400), strict=True))], "event_id long, user_id long, ts timestamp")
+    week = 7 * 86400 * 10**6
+    plain = df.withColumn("n", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-week, 0)))
+    assert sorted(map(tuple, activity.count_back(df, "user_id", "ts", week).collect())) == sorted(map(tuple, plain.collect()))
