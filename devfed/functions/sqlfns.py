@@ -29,15 +29,15 @@ def vec_wavg():
 
 @F.udtf(returnType="threshold double, fpr double, tpr double")
 class RocPoints:
-    """The ROC points of one small group of scores and labels; operators.metrics.roc is for large ones."""
+    """The ROC points of one small group of scores and labels, or of counted levels of them; operators.metrics.roc is for large ones."""
 
-    def eval(self, scores: list, labels: list) -> Iterator[tuple]:
-        s, y = np.array(scores, float), np.array(labels, int)
-        positives, negatives = int((y == 1).sum()), int((y == 0).sum())
+    def eval(self, scores: list, labels: list, counts: list = None) -> Iterator[tuple]:
+        s, y, n = np.array(scores, float), np.array(labels, int), np.array(counts if counts is not None else [1] * len(scores), float)
+        positives, negatives = n[y == 1].sum(), n[y == 0].sum()
         yield float("inf"), 0.0, 0.0
         if positives and negatives:
             for t in np.unique(s)[::-1]:
-                yield float(t), float(((s >= t) & (y == 0)).sum() / negatives), float(((s >= t) & (y == 1)).sum() / positives)
+                yield float(t), float(n[(s >= t) & (y == 0)].sum() / negatives), float(n[(s >= t) & (y == 1)].sum() / positives)
 
 
 def federated_train(df: DataFrame | str, features: list[str], key: list[str], options: dict | None = None, three_tier: bool = False, spark: SparkSession | None = None, **split_options) -> DataFrame:

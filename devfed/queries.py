@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions import vec
+from .functions import sqlfns, vec
 from .operators import align, baselines, blocks, commcost, features, localtrain, metrics, noniid, objective, partitioners, predict, rounds, splitter, weighting
 from .operators.rounds import FedConfig
 from .oracle import sqltext as sql
@@ -17,6 +17,7 @@ from .plans import workloads
 from .sources.checkpoints import materialised
 from .sources.tables import table
 from .streaming import activity as windows
+from .streaming import quorum as arrivals
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -585,6 +586,40 @@ def accuracy_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("round", *(vec.tidy(F.col(c)).alias(c) for c in ("value", "smooth", "gain")))
 
 
+# --- functions for SQL users --------------------------------------------------------------------------------------------
+
+
+@query("roc_points", f"WITH {_BY_ROUND}, points AS (SELECT round, score AS threshold, sum(label) AS p, sum(1 - label) AS n FROM (SELECT round, round(score, 2) AS score, label FROM scored) GROUP BY ALL UNION ALL SELECT DISTINCT round, CAST('infinity' AS DOUBLE), 0, 0 FROM scored)\nSELECT round, threshold, round(sum(n) OVER d / sum(n) OVER w, 6) + 0.0e0 AS fpr, round(sum(p) OVER d / sum(p) OVER w, 6) + 0.0e0 AS tpr FROM points WINDOW d AS (PARTITION BY round ORDER BY threshold DESC), w AS (PARTITION BY round)")
+def roc_points(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The curve of each round's scores, to two digits, by the table function."""
+    sqlfns.register(spark)
+    # two digits make a hundred levels of a class at most, whatever the rows
+    levels = _by_round(spark, sf_dir).groupBy("round", F.round("score", 2).alias("score"), F.col("label").cast("int").alias("label")).count()
+    lists = (F.col(f"l.{f}").alias(n) for f, n in (("score", "scores"), ("label", "labels"), ("count", "counts")))
+    levels.groupBy("round").agg(F.collect_list(F.struct("score", "label", "count")).alias("l")).select("round", *lists).createOrReplaceTempView("scored_rounds")
+    found = spark.sql("SELECT s.round, p.threshold, p.fpr, p.tpr FROM scored_rounds s, LATERAL fed_roc_points(s.scores, s.labels, s.counts) p")
+    return found.select("round", "threshold", vec.tidy(F.col("fpr")).alias("fpr"), vec.tidy(F.col("tpr")).alias("tpr"))
+
+
+_WAVG = ", ".join(f"avg({_ERROR} * {c}) AS w{k}" for k, c in enumerate(("1.0e0", *FEW)))
+
+
+@query("vector_mean", f"WITH {sql.SCALED}, m AS (SELECT CAST(client_id % 3 AS INTEGER) AS subserver_id, client_id, count(*) AS n, {_WAVG} FROM few WHERE NOT is_test GROUP BY ALL)\nSELECT subserver_id, {', '.join(sql.tidy(f'sum(w{k} * n) / sum(n)', f'w{k}') for k in range(sql.D))} FROM m GROUP BY subserver_id")
+def vector_mean(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Members' vectors averaged by rows below each sub-server, by the grouped aggregate for SQL users."""
+    sqlfns.register(spark)
+    _members(spark, sf_dir).createOrReplaceTempView("members")
+    found = spark.sql("SELECT CAST(client_id % 3 AS INT) AS subserver_id, fed_vec_wavg(w, CAST(n_rows AS DOUBLE)) AS w FROM members GROUP BY 1")
+    return found.select("subserver_id", *(vec.tidy(F.col("w")[k]).alias(f"w{k}") for k in range(sql.D)))
+
+
+@query("arrivals_in_round", "SELECT event_id, CAST(k AS INTEGER) AS round FROM events JOIN (SELECT unnest(range(0, 40)) AS k) ON k = user_id % 40 AND ts >= make_timestamp(2024, 1, 1, 0, 0, 0.0) + INTERVAL 36 hours * k AND ts < make_timestamp(2024, 1, 1, 0, 0, 0.0) + INTERVAL 36 hours * k + INTERVAL 30 hours")
+def arrivals_in_round(spark: SparkSession, sf_dir: str) -> DataFrame:
+    events = table(spark, sf_dir, "events", ["event_id", "user_id", "ts"]).withColumn("round", F.pmod("user_id", F.lit(40)).cast("int"))
+    opened = spark.range(40).select((F.lit("2024-01-01").cast("timestamp") + F.make_dt_interval(hours=F.col("id").cast("int") * 36)).alias("opened_at"), F.col("id").cast("int").alias("round"))
+    return arrivals.in_round(events, opened, "30 hours", watermark=None).select("event_id", "round")
+
+
 # --- costs ------------------------------------------------------------------------------------------------------------
 
 _LEDGER = "SELECT round, tier, direction, CAST(m AS BIGINT) AS messages, CAST(m * 40 AS BIGINT) AS bytes FROM (SELECT unnest(range(1, 6)) AS round) CROSS JOIN (VALUES ('centre', 3), ('edge', 20)) t(tier, m) CROSS JOIN (VALUES ('up'), ('down')) d(direction)"

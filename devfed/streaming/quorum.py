@@ -96,6 +96,15 @@ def with_tier(updates: DataFrame, tier_map: DataFrame) -> DataFrame:
     return updates.drop("subserver_id").join(tier_map, "client_id")
 
 
+def in_round(updates: DataFrame, opened: DataFrame, length: str = "1 hour", watermark: str | None = "10 minutes") -> DataFrame:
+    """Arrivals (ts, round, ...) beside the opening (opened_at, round) of their round, those up to a length of time after it: a join of two streams within bounds of time, or, without a watermark, of two tables."""
+    if watermark:
+        updates, opened = updates.withWatermark("ts", watermark), opened.withWatermark("opened_at", watermark)
+    a, b = updates.alias("a"), opened.alias("b")
+    within = (F.col("a.round") == F.col("b.round")) & (F.col("a.ts") >= F.col("b.opened_at")) & (F.col("a.ts") < F.col("b.opened_at") + F.expr(f"INTERVAL {length}"))
+    return a.join(b, within).select("a.*", "b.opened_at")
+
+
 def score_stream(rows: DataFrame, features: list[str], newest, out: list) -> object:
     """Scores each micro-batch with the newest vector and appends (batch, rows, accuracy) to out: test, then train. newest() returns a vector."""
     from ..operators import metrics, predict

@@ -49,6 +49,19 @@ def test_late_vectors_are_counted_and_states_expire(spark, tmp_path):
     assert got == {(0, True, 2, None), (0, True, 0, 2), (1, False, 1, 0)}
 
 
+def test_arrivals_within_a_round(spark, tmp_path):
+    t0 = dt.datetime(2024, 1, 1)
+    arrivals = [(t0 + dt.timedelta(minutes=m), c, 0, r, 1, [0.5]) for m, c, r in ((-1, 1, 0), (0, 2, 0), (59, 3, 0), (60, 4, 0), (70, 5, 1))]
+    a, b = spark.createDataFrame(arrivals, quorum.SCHEMA), spark.createDataFrame([(t0, 0), (t0 + dt.timedelta(hours=1), 1)], "opened_at timestamp, round int")
+    assert {r["client_id"] for r in quorum.in_round(a, b, watermark=None).collect()} == {2, 3, 5}
+    a.coalesce(1).write.parquet(str(tmp_path / "a"))
+    b.coalesce(1).write.parquet(str(tmp_path / "b"))
+    streams = [spark.readStream.schema(df.schema).parquet(str(tmp_path / n)) for df, n in ((a, "a"), (b, "b"))]
+    q = quorum.in_round(*streams).writeStream.format("memory").queryName("joined").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    assert {r["client_id"] for r in spark.sql("SELECT * FROM joined").collect()} == {2, 3, 5}
+
+
 def test_windows_and_running_moments_on_streams(spark, sf_dir, tmp_path):
     events = spark.read.parquet(f"{sf_dir}/events.parquet").selectExpr("event_id", "user_id", "CAST(ts AS timestamp) AS ts", "value").orderBy("ts")
     events.coalesce(1).write.parquet(str(tmp_path / "e"))
