@@ -145,6 +145,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         kind[place[: len(word)]] = 1
         edges = np.searchsorted(_bucket(values, buckets), np.arange(buckets + 1))
         used = np.flatnonzero(np.diff(edges))
+        textnp.release()
         data = [packed(*(x[edges[b] : edges[b + 1]] for x in (values, every, some, kind))) for b in used]
         return pa.table({"chunk": pa.array(np.full(len(used), table["chunk"][0].as_py(), np.int32)), "bucket": pa.array(used.astype(np.int32)), "data": pa.array(data, pa.binary())})
 
@@ -153,6 +154,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         values, every, some, kind = (np.concatenate([p[k] for p in parts]) for k in range(4))
         distinct_values, place = np.unique(values, return_inverse=True)
         data = replies_of(place, every, some, np.cumsum([len(p[0]) for p in parts])[:-1])
+        textnp.release()
         word = kind == 1
         is_word = np.zeros(len(distinct_values), bool)
         is_word[place[word]] = True
@@ -182,6 +184,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
             each = losses(of_pair - less * own[m:], of_history - less * own_history, of_word - less * own[:m], (n - left_out * length)[doc], v, weight)
             means.append(np.divide(np.bincount(doc, each, t.n), length, out=np.zeros(t.n), where=length > 0))
         none = t.n_words == 0
+        textnp.release()
         return pa.table({id_col: table["i"], "n_words": pa.array(t.n_words.astype(np.int64)), "target_loss": pa.array(means[0], mask=none), "background_loss": pa.array(means[1], mask=none), "score": pa.array(means[0] - means[1], mask=none)})
 
     by_chunk = texts.groupBy("chunk")

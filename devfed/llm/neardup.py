@@ -116,6 +116,7 @@ def _describe(docs: DataFrame) -> DataFrame:
                         bands[d], sketch[d] = keys[row], low[row].tobytes()
                 columns = [pa.array(n), pa.array(cls.view(np.int64), mask=n == 0), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.binary())]
                 yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in batch.columns[:2]), *columns], ["id", "key", "n", "cls", "bands", "sketch"])
+        textnp.release()
 
     return docs.mapInArrow(run, f"id {docs.schema['id'].dataType.simpleString()}, key long, n long, cls long, bands array<long>, sketch binary")
 
@@ -212,6 +213,7 @@ def _sets(texts: DataFrame) -> DataFrame:
                 right = (sums[edges[1:]] - sums[edges[:-1]]).view(np.int64) == own.column(0).to_numpy(zero_copy_only=False)
                 data = [hashes[a:b].tobytes() for a, b in zip(edges, edges[1:], strict=False)]
                 yield pa.RecordBatch.from_arrays([*own.columns[:3], pa.array(data, pa.binary())], ["cls", "cluster", "size", "hashes"]).filter(pa.array(right))
+        textnp.release()
 
     return texts.mapInArrow(run, "cls long, cluster long, size long, hashes binary")
 

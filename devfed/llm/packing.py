@@ -29,6 +29,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import textnp
+
 CAPACITY, END_ID, PIECE, GROUP = 2048, 1, 384, 64
 #: Ids of each window that a full group leaves open, so that slightly unequal windows fit.
 SLACK = 8
@@ -186,5 +188,6 @@ def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
                 yield from rows(done)
         if packer.open:
             yield from rows(list(packer.close()))
+        textnp.release()
 
     return source.mapInArrow(run, f"`{id_col}` {kind}, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary")

@@ -104,6 +104,7 @@ def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", win
             for i, j, texts in textnp.slices(batch.column(1)):
                 found = judge(texts, limits, line_limit)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), *(pa.array(found[c]) for c in [*counts, "base_failed", "kept"])], [id_col, *counts, "base_failed", "kept"])
+        textnp.release()
 
     kind = source.schema["id"].dataType.simpleString()
     return source.mapInArrow(run, f"`{id_col}` {kind}, {', '.join(f'{c} long' for c in counts)}, base_failed boolean, kept boolean")
@@ -118,5 +119,6 @@ def keep_good(docs: DataFrame, text_col: str = "text", window_limits: dict[int,
             kept = [judge(texts, window_limits, line_limit)["kept"] for _, _, texts in textnp.slices(batch.column(at))]
             if kept:
                 yield batch.filter(pa.array(np.concatenate(kept)))
+        textnp.release()
 
     return docs.mapInArrow(run, docs.schema)

@@ -106,6 +106,7 @@ def _low(hashes: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.n
 
 def _answer(table: pa.Table, decide: Callable[[list[bytes]], list[np.ndarray]]) -> pa.Table:
     bits = decide(table["data"].to_pylist())
+    textnp.release()
     return pa.table({"chunk": table["chunk"], "bucket": table["bucket"], "bits": pa.array([np.packbits(x).tobytes() for x in bits], pa.binary())})
 
 
@@ -154,6 +155,7 @@ def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], win
 
     def send_low(table: pa.Table) -> pa.Table:
         low, edges, _ = _low(own(table).hashes, buckets)
+        textnp.release()
         used = np.flatnonzero(np.diff(edges))
         data = [low[edges[b] : edges[b + 1]].tobytes() for b in used]
         return pa.table({"chunk": pa.array(np.full(len(used), table["chunk"][0].as_py(), np.int32)), "bucket": pa.array(used.astype(np.int32)), "data": pa.array(data, pa.binary())})
@@ -172,6 +174,7 @@ def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], win
             return pa.table({"chunk": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32()), "data": pa.array([], pa.binary())})
         chunk = own(table)
         at = shared(chunk, replies)
+        textnp.release()
         hashes, least = chunk.hashes[at], chunk.least[at].view(np.uint64)
         # the places are sent along to no one: the next pass finds them by the hashes
         return _blobs(table["chunk"][0].as_py(), hashes, buckets, lambda a, b: hashes[a:b].tobytes() + least[a:b].tobytes())
@@ -183,6 +186,7 @@ def _exchange(docs: DataFrame, id_col: str, text_col: str, carry: list[str], win
         elsewhere[at] = _replies(replies, chunk.hashes[at], buckets)
         drop = elsewhere[chunk.place] | (chunk.id_of > chunk.least[chunk.place])
         n = len(chunk.texts.starts)
+        textnp.release()
         edge = np.zeros(n + 1, np.int64)
         at = chunk.at[drop]
         edge[at] += 1

@@ -9,6 +9,7 @@ the inverse power of the base. A final mix spreads the bits.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,6 +21,8 @@ SLICE_BYTES = 4 << 20
 SPAN_BYTES = 1 << 18
 
 _U = np.uint64
+#: Of the C library, where it has it.
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
 _BYTE_BASE, _WORD_BASE = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
 
 
@@ -39,6 +42,13 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[32, 9, 10, 11, 12, 13]] = True
 
 
+def release() -> None:
+    """Gives memory that is free back to the system, which a worker would keep between tasks."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
+
+
 class _Powers:
     """Powers of an odd base and of its inverse, grown on demand."""
 
