@@ -71,6 +71,41 @@ def sgd_stream(blocks: Sequence[tuple[np.ndarray, np.ndarray]] | Iterable, w: Se
     return w
 
 
+#: Bytes of a stack of clusters, which stays in a core's cache over the epochs.
+STACK_BYTES = 1 << 20
+
+
+def stacks(clusters: Sequence[Sequence[tuple[np.ndarray, np.ndarray]]]) -> list[tuple[np.ndarray, ...]]:
+    """Clusters of about one size stacked up: their numbers, rows padded to the largest, labels, and each row's share of its cluster (0 for padding)."""
+    whole = [tuple(np.concatenate([b[k] for b in blocks]) for k in (0, 1)) for blocks in clusters]
+    sizes = np.array([len(y) for _, y in whole])
+    groups, width = [], whole[0][0].shape[1]
+    for k in np.argsort(sizes, kind="stable"):
+        own = groups[-1] if groups else None
+        if own is None or sizes[k] > 1.25 * sizes[own[0]] or (len(own) + 1) * sizes[k] * width * 8 > STACK_BYTES:
+            groups.append([])
+        groups[-1].append(int(k))
+    out = []
+    for own in groups:
+        x, y, share = np.zeros((len(own), sizes[own].max(), width)), np.zeros((len(own), sizes[own].max())), np.zeros((len(own), sizes[own].max()))
+        for i, k in enumerate(own):
+            x[i, : sizes[k]], y[i, : sizes[k]], share[i, : sizes[k]] = *whole[k], 1 / sizes[k]
+        out.append((np.array(own), x, y, share))
+    return out
+
+
+def sgd_stacked(held: list[tuple[np.ndarray, ...]], w: np.ndarray, epochs: int, lr: float, loss: str = "logistic") -> np.ndarray:
+    """Whole epochs of descent in all stacked clusters, each from its own row of w."""
+    out = np.array(w, float)
+    for own, x, y, share in held:
+        now = out[own][:, :, None]
+        for _ in range(epochs):
+            error = SLOPES[loss]((x @ now)[:, :, 0], y) * share
+            now = now - lr * (error[:, None, :] @ x).transpose(0, 2, 1)
+        out[own] = now[:, :, 0]
+    return out
+
+
 def gradients(df: DataFrame, features: Sequence[str], w: Sequence[float], by: Sequence[str], label: str = "label", intercept: bool = True) -> DataFrame:
     """One whole-set logistic gradient at w for each group: one aggregate of the engine, unrolled over features (``g0``, ``g1``, ...)."""
     error = vec.sigmoid(vec.margin(features, w, intercept)) - F.col(label)

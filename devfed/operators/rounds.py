@@ -256,10 +256,25 @@ def simulate(blocks: DataFrame, width: int, configs: dict[str, FedConfig], three
         order = np.lexsort([table[c].to_numpy() for c in ("block", "cluster_id", "client_id")])
         owners = list(packed.clients(table.select(packed.NAMES).take(order).to_batches()))
         w, out = np.zeros(width), []
+        # every owner's clusters, one after another, for whole epochs in stacks
+        units = [(c, s, k, blocks) for c, s, held in owners for k, blocks in (sorted(held.items()) if cfg.split else [(0, [b for k in sorted(held) for b in held[k]])])]
+        stacked = localtrain.stacks([u[3] for u in units]) if cfg.batch_size is None and cfg.local_mode == "params" and cfg.client_rounds == 1 else None
+        sizes = np.array([sum(len(y) for _, y in u[3]) for u in units], float)
+        first = [*(i for i, u in enumerate(units) if i == 0 or u[0] != units[i - 1][0]), len(units)]
+
+        def trained(at: dict[int, np.ndarray]) -> Iterator[tuple[int, np.ndarray]]:
+            """Rows and new vector of each owner."""
+            if stacked is None:
+                yield from (train_client(held, at.get(s, at[-1]), cfg) for _, s, held in owners)
+                return
+            vectors = localtrain.sgd_stacked(stacked, np.stack([at.get(u[1], at[-1]) for u in units]), cfg.epochs, cfg.lr, cfg.loss)
+            for a, b in zip(first, first[1:], strict=False):
+                yield int(sizes[a:b].sum()), weighting.merge_np(vectors[a:b], sizes[a:b], cfg.client_rule, cfg.eps)
+
         for number in range(1, cfg.rounds + 1):
             last, at = _last_of([c for c, _, _ in owners], number, cfg.quorum, cfg.seed) if cfg.quorum else None, {-1: w}
             for _ in range(cfg.sub_rounds if three_tier else 1):
-                members = [(c, s if three_tier else -1, *train_client(held, at.get(s, at[-1]), cfg)) for c, s, held in owners if last is None or (mark(cfg.seed, number, c), c) <= last]
+                members = [(c, s if three_tier else -1, *found) for (c, s, _), found in zip(owners, trained(at), strict=True) if last is None or (mark(cfg.seed, number, c), c) <= last]
                 servers = merge_members(members, cfg, cfg.subserver_rule if three_tier else cfg.server_rule, three_tier)
                 at = at | {s: v for s, _, v in servers}
             w = _centre(servers, cfg, three_tier)

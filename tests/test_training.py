@@ -131,7 +131,7 @@ def test_experiments_are_registered_in_full(spark, monkeypatch):
 
 
 def test_configurations_side_by_side_equal_runs_one_by_one(spark, held, monkeypatch):
-    configs = {"a": FedConfig(rounds=3, epochs=2), "b": FedConfig(rounds=2, epochs=1).fedavg(), "c": FedConfig(rounds=2, epochs=1, quorum=0.5, sub_rounds=2)}
+    configs = {"a": FedConfig(rounds=3, epochs=2), "b": FedConfig(rounds=2, epochs=1).fedavg(), "c": FedConfig(rounds=2, epochs=1, quorum=0.5, sub_rounds=2), "d": FedConfig(rounds=2, epochs=2, loss="hinge"), "e": FedConfig(rounds=2, epochs=2, batch_size=20, shuffle=False), "f": FedConfig(rounds=2, epochs=1, local_mode="gradient")}
     for three in (False, True):
         together = rounds.simulate(held, 3, configs, three)
         for name, cfg in configs.items():
@@ -141,6 +141,22 @@ def test_configurations_side_by_side_equal_runs_one_by_one(spark, held, monkeypa
     assert np.allclose(rounds.simulate(held, 3, configs)["a"].vectors, rounds.train(held, 3, configs["a"]).vectors)
 
 
+def test_stacked_clusters_descend_as_each_does(monkeypatch):
+    r = np.random.default_rng(5)
+    clusters = []
+    for n in (1, 3, 3, 50, 55, 400, 7):
+        x, y = r.normal(size=(n, 4)), (r.random(n) > 0.5).astype(float)
+        clusters.append([(x[: n // 2], y[: n // 2]), (x[n // 2 :], y[n // 2 :])] if n > 5 else [(x, y)])
+    w = r.normal(size=(len(clusters), 4))
+    for size in (1 << 20, 1000):
+        monkeypatch.setattr(localtrain, "STACK_BYTES", size)
+        held = localtrain.stacks(clusters)
+        assert sorted(np.concatenate([h[0] for h in held]).tolist()) == list(range(len(clusters)))
+        for loss in localtrain.SLOPES:
+            got = localtrain.sgd_stacked(held, w, 5, 0.3, loss)
+            assert np.allclose(got, [localtrain.sgd_stream(c, w[k], 5, 0.3, loss=loss) for k, c in enumerate(clusters)])
+
+
 def test_early_stop_leaves_its_history(spark, held, tmp_path):
     path = str(tmp_path / "h")
     rounds.train(held, 3, FedConfig(rounds=9, epochs=1, tol=1e9, history_path=path))
