@@ -78,3 +78,43 @@ def test_owners_of_many_rows_as_sql():
     mean = con.execute("SELECT avg(sqrt((p.a-q.a)*(p.a-q.a)+(p.b-q.b)*(p.b-q.b)+(p.c-q.c)*(p.c-q.c)+(p.d-q.d)*(p.d-q.d))) FROM rows p JOIN rows q ON p.index < q.index").fetchone()[0]
     assert pairwise.total(*splitter.distinct(z)) is not None
     assert splitter.mean_pairwise(z) == pytest.approx(mean, rel=1e-7)
+
+
+def test_bounds_hold_and_settle_what_measuring_says():
+    r, told = np.random.default_rng(8), set()
+    for k in range(120):
+        n, width, parts = int(r.integers(2, 400)), int(r.integers(1, 13)), int(r.integers(1, 5))
+        z = splitter.standardized(np.round(r.normal(size=(n, width)) * np.exp(r.normal(size=width)), int(r.integers(0, 4))) + 5 * r.integers(0, 2, size=(n, 1)))
+        label = r.integers(0, parts, n) if k % 2 else splitter.assign(z, z[:parts])
+        label, mean = np.unique(label, return_inverse=True)[1], splitter.mean_pairwise(z)
+        assert splitter._least_mean(z) <= mean <= splitter._most_mean(z)
+        centres = np.stack([z[label == j].mean(axis=0) for j in range(label.max() + 1)])
+        found = splitter.figures(z, label, centres)
+        for accept in splitter.ACCEPT:
+            for factors in ((1.2, 0.5), (0.7, 1.0), (0.3, 0.05)):
+                sure = splitter.settled(z, label, centres, accept, *factors)
+                assert sure is None or sure == splitter.accepted(found, accept, *factors)
+                told.add((accept, sure))
+    assert told == {(a, s) for a in splitter.ACCEPT for s in (True, False, None)} - {("always", False), ("always", None)}
+
+
+def test_splits_need_no_measure_where_bounds_settle_them(monkeypatch):
+    # owners of the whole method were measured, pair by pair or by cubes, once for each threshold
+    z = _rows(20_000, 9)
+    label, told = splitter.split_rows(z, (0.5, 0.7), 1000, most=8)
+    taken = []
+    measure = splitter.mean_pairwise
+    monkeypatch.setattr(splitter, "mean_pairwise", lambda rows, limit=None: taken.append(len(rows)) or measure(rows, limit))
+    again, report = splitter.split_rows(z, (0.5, 0.7), 1000, most=8, ratios=())
+    assert not taken and (label == again).all()
+    assert all(report[c] == told[c] for c in ("n_rows", "n_clusters", "accepted", "theta")) and report["spread_ratio"] is None
+    # a factor that no bound settles is measured
+    factor = told["spread_ratio"] * (1 + 1e-6)
+    assert splitter.split_rows(z, (0.5, 0.7), 1000, most=8, spread_factor=factor, ratios=())[1]["accepted"] and taken
+    assert not splitter.split_rows(z, (0.5, 0.7), 1000, most=8, spread_factor=told["spread_ratio"] * (1 - 1e-6), ratios=())[1]["accepted"]
+
+
+def test_equal_clusters_of_two_thresholds_are_judged_once(monkeypatch):
+    taken, figures = [], splitter.figures
+    monkeypatch.setattr(splitter, "figures", lambda *a, **k: taken.append(1) or figures(*a, **k))
+    assert splitter.split_rows(_rows(2000, 10), (0.3, 0.31), 1000, most=3)[1]["theta"] == 0.3 and len(taken) == 1
