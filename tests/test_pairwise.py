@@ -118,3 +118,10 @@ def test_equal_clusters_of_two_thresholds_are_judged_once(monkeypatch):
     taken, figures = [], splitter.figures
     monkeypatch.setattr(splitter, "figures", lambda *a, **k: taken.append(1) or figures(*a, **k))
     assert splitter.split_rows(_rows(2000, 10), (0.3, 0.31), 1000, most=3)[1]["theta"] == 0.3 and len(taken) == 1
+
+
+def test_gaps_alone_need_no_cluster_measured(monkeypatch):
+    taken, measure = [], splitter.mean_pairwise
+    monkeypatch.setattr(splitter, "mean_pairwise", lambda rows, limit=None: taken.append(len(rows)) or measure(rows, limit))
+    report = splitter.split_rows(_rows(2000, 11), (1e-9,), 1, cap=3, accept="gap", ratios=("gap",))[1]
+    assert taken == [2000] and report["gap_ratio"] > 0 and report["spread_ratio"] is None
